@@ -11,10 +11,12 @@ more miss at most |x| - ceil(t |x|) tokens of x, so they meet within a prefix of
 * a set too small to spare that extension indexes its plain prefix token by token, and sets
   near that size do both, so that every pair of sizes has one way in common.
 
-Candidates are verified on the whole texts.  A signature that many sets hold is first linked as
-a star around one of them, and only pairs across the components known so far are compared
-afterwards, so a large group of near copies costs its size and not its square.  No candidate is
-dropped: pairs that remain unlinked after the stars are all compared.
+Sets that share a signature and may have similar sizes are chained, not paired, so a signature
+costs the size of its group and not its square.  The chains' components are families; all pairs
+that share a signature lie within one.  Each family's texts come together once and are compared
+exactly, by bit rows or postings, only as far as they are not yet linked.  A family beyond a block's
+size is compared in blocks that share a few pivots; what the pivots do not tie to the rest is then
+compared with every block.  No candidate is dropped.
 """
 
 from __future__ import annotations
@@ -29,15 +31,15 @@ from pyspark.sql import functions as F
 from . import common
 from .textkernel import mix64, shingle_sets
 
-#: Cells of the count sketch; its size does not depend on the input.
-SKETCH_CELLS = 1 << 21
+#: Cells of the count sketch; its size does not depend on the input.  A task's own counts stop at 255.
+SKETCH_CELLS = 1 << 24
 #: A token is frequent if its cell holds this many more sets than the mean cell has, in standard deviations, and FREQUENT_LEAST.
 FREQUENT_SIGMAS, FREQUENT_LEAST = 8.0, 64
 #: Classes of frequent tokens, each indexed by pairs.
 CLASSES = 64
-#: Groups of up to this many sets emit their pairs at once (the number of pairs is bounded by 3.5 times the rows).
-SMALL_GROUP = 8
-STAR_ROUNDS = 2
+#: A family's block has about this many sets and bytes of text at most.
+BLOCK_SETS, BLOCK_BYTES = 2048, 8 << 20
+PIVOTS = 8
 
 
 def _row(batch: pa.RecordBatch, name: str) -> list:
@@ -68,28 +70,28 @@ def count_sketch(texts: DataFrame) -> np.ndarray:
     blocks, width = 64, SKETCH_CELLS // 64
 
     def run(batches):
-        counts = np.zeros(SKETCH_CELLS, np.int64)
+        counts = np.zeros(SKETCH_CELLS, np.uint8)
         for batch in batches:
             for _, chunk in common.utf8_chunks(_row(batch, "text")):
-                counts += np.bincount(_cells(np.concatenate(shingle_sets(chunk))), minlength=SKETCH_CELLS)
+                cells, n = np.unique(_cells(np.concatenate(shingle_sets(chunk))), return_counts=True)
+                counts[cells] = np.minimum(counts[cells] + n, 255)
         if counts.any():
-            part = counts.astype(np.uint32).reshape(blocks, width)
-            yield pa.RecordBatch.from_arrays([pa.array(range(blocks), pa.int32()), pa.array([p.tobytes() for p in part], pa.binary())], ["block", "counts"])
+            yield pa.RecordBatch.from_arrays([pa.array(range(blocks), pa.int32()), pa.array([p.tobytes() for p in counts.reshape(blocks, width)], pa.binary())], ["block", "counts"])
 
     def add(batches):
         totals = {}
         for batch in batches:
             for block, v in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                part = np.frombuffer(v.as_buffer(), np.uint32)
-                totals[block] = totals.get(block, 0) + part.astype(np.int64)
+                total = totals.setdefault(block, np.zeros(width, np.uint32))
+                total += np.frombuffer(v.as_buffer(), np.uint8)
         if totals:
             yield pa.RecordBatch.from_arrays([pa.array(totals, pa.int32()), pa.array([t.tobytes() for t in totals.values()], pa.binary())], ["block", "counts"])
 
     parts = texts.mapInArrow(run, "block int, counts binary")
     merged = parts.repartition("block").mapInArrow(add, "block int, counts binary")
-    out = np.zeros((blocks, width), np.int64)
-    for row in merged.collect():
-        out[row["block"]] = np.frombuffer(row["counts"], np.int64)
+    out = np.zeros((blocks, width), np.uint32)
+    for row in merged.toLocalIterator():
+        out[row["block"]] = np.frombuffer(row["counts"], np.uint32)
     return out.ravel()
 
 
@@ -129,7 +131,7 @@ def signatures(texts: DataFrame, sketch: np.ndarray, num: int, den: int) -> Data
     spark = texts.sparkSession
     mean = sketch.mean()
     limit = max(FREQUENT_LEAST, mean + FREQUENT_SIGMAS * np.sqrt(mean))
-    shared = spark.sparkContext.broadcast(np.minimum(sketch, np.iinfo(np.uint32).max).astype(np.uint32))
+    shared = spark.sparkContext.broadcast(np.minimum(sketch, 65535).astype(np.uint16))
 
     def run(batch):
         ids = batch.column(0).to_numpy(zero_copy_only=False)
@@ -149,163 +151,158 @@ def signatures(texts: DataFrame, sketch: np.ndarray, num: int, den: int) -> Data
     return common.map_arrow(texts.select("doc_id", "text"), run, "sig long, id long, n int")
 
 
-def shared_signatures(sigs: DataFrame) -> DataFrame:
-    """Groups of a signature: pairs of small groups (a, b), and rows of large ones (sig, id, n), in one table.
+def chains(sigs: DataFrame, num: int, den: int) -> DataFrame:
+    """(a, b): neighbours by size within each signature's group, if their sizes allow the similarity.
 
-    Rows come sorted by signature; a group is read as a stream, so its size does not matter.
+    Two sets of one group whose sizes allow it are joined by the neighbours between them, so the
+    components over these rows hold all candidates.  A group is read as a stream, whatever its size.
     """
-    parts = sigs.repartition("sig").sortWithinPartitions("sig", "id")
+    parts = sigs.repartition("sig").sortWithinPartitions("sig", "n", "id")
 
     def run(batches):
-        held = None  # (sig, ids, n) rows of the last, open group while it is small
-        large = None  # the signature of the open group once it is large
+        last = None
         for batch in batches:
             if not batch.num_rows:
                 continue
             sig, ids, n = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(3))
-            if held is not None:
-                sig, ids, n = (np.concatenate([x, y]) for x, y in zip(held, (sig, ids, n), strict=True))
-            held = None
-            edges = np.flatnonzero(np.append(True, sig[1:] != sig[:-1]))
-            size = np.diff(np.append(edges, len(sig)))
-            last = size[-1]
-            open_large = large is not None and sig[-1] == large
-            if last <= SMALL_GROUP and not open_large:
-                held = tuple(x[len(x) - last :] for x in (sig, ids, n))
-                sig, ids, n = (x[: len(x) - last] for x in (sig, ids, n))
-                edges, size = edges[:-1], size[:-1]
-            if len(sig):
-                big = (size > SMALL_GROUP) | (sig[edges] == (large if large is not None else sig[edges[0]])) & (large is not None)
-                if last > SMALL_GROUP or open_large:
-                    large = batch.column(0)[batch.num_rows - 1].as_py()
-                yield from _emit(sig, ids, n, edges, size, big)
-        if held is not None and len(held[0]):
-            yield from _emit(*held, np.array([0]), np.array([len(held[0])]), np.array([False]))
-
-    return parts.mapInArrow(run, "sig long, a long, b long, n int")
-
-
-def _close(n, m):
-    return 4 * np.minimum(n, m).astype(np.int64) >= 3 * np.maximum(n, m).astype(np.int64)
-
-
-def _emit(sig, ids, n, edges, size, big):
-    """Pairs (sig null) of small groups with two members or more, and the rows of big groups (b null)."""
-    first, second = [], []
-    for k in range(2, SMALL_GROUP + 1):
-        at = edges[(size == k) & ~big]
-        if len(at):
-            i, j = np.triu_indices(k, 1)
-            first.append((at[:, None] + i).ravel())
-            second.append((at[:, None] + j).ravel())
-    if first:
-        i, j = np.concatenate(first), np.concatenate(second)
-        keep = (ids[i] != ids[j]) & _close(n[i], n[j])
-        pairs = np.unique(np.stack([ids[i[keep]], ids[j[keep]]], 1), axis=0)
-        if len(pairs):
-            yield pa.RecordBatch.from_arrays(
-                [pa.nulls(len(pairs), pa.int64()), pa.array(pairs[:, 0].copy()), pa.array(pairs[:, 1].copy()), pa.nulls(len(pairs), pa.int32())], ["sig", "a", "b", "n"]
-            )
-    rows = np.repeat(big, size)
-    if rows.any():
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(sig[rows]), pa.array(ids[rows]), pa.nulls(int(rows.sum()), pa.int64()), pa.array(n[rows])], ["sig", "a", "b", "n"]
-        )
-
-
-def verify(pairs: DataFrame, texts: DataFrame, num: int, den: int) -> DataFrame:
-    """Those of the distinct pairs (a, b) whose texts have similarity num/den or more.
-
-    Only texts of some pair are shuffled: a bitmap of their ids, of bounded size, filters the scan.
-    """
-    ids = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id")))
-    needed = texts.where(_in_bitmap(ids, "doc_id"))
-    joined = pairs.join(needed.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b")), "b").join(
-        needed.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a")), "a"
-    )
+            if last is not None:
+                sig, ids, n = (np.append(x, y) for x, y in zip(last, (sig, ids, n), strict=True))
+            last = (sig[-1:], ids[-1:], n[-1:])
+            near = (sig[1:] == sig[:-1]) & (ids[1:] != ids[:-1]) & (den * n[:-1].astype(np.int64) >= num * n[1:].astype(np.int64))
+            if near.any():
+                pairs = np.stack([ids[:-1][near], ids[1:][near]], 1)
+                pairs.sort(1)
+                pairs = pairs[np.lexsort((pairs[:, 1], pairs[:, 0]))]
+                pairs = pairs[np.append(True, (pairs[1:] != pairs[:-1]).any(1))]
+                yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0].copy()), pa.array(pairs[:, 1].copy())], ["a", "b"])
+
+    return parts.mapInArrow(run, "a long, b long")
+
+
+def family_links(ids: np.ndarray, sets: list[np.ndarray], num: int, den: int) -> list[tuple[int, int]]:
+    """Links of similarity num/den or more that span the components of these sets, by exact overlaps."""
+    f = len(sets)
+    sizes = np.array([len(s) for s in sets], np.int64)
+    token, df = np.unique(np.concatenate(sets), return_counts=True)
+    token = token[df > 1]
+    rows, cols = [], []
+    for i, s in enumerate(sets):
+        at = np.searchsorted(token, s)
+        at = at[(at < len(token))]
+        at = at[np.isin(token[at], s, assume_unique=True)] if len(at) else at
+        rows.append(i)
+        cols.append(at)
+    shared = np.array([len(c) for c in cols], np.int64)
+    # A set with too many tokens of its own is linked with nothing.
+    able = np.flatnonzero(den * shared >= num * sizes)
+    able = able[np.argsort(sizes[able], kind="stable")]
+    if len(able) < 2:
+        return []
+    dense = len(able) * (len(token) // 8 + 1) <= 64 << 20
+    if dense:
+        bits = np.zeros((len(able), -(-len(token) // 64) * 8), np.uint8)
+        for r, i in enumerate(able):
+            line = np.zeros(bits.shape[1] * 8, np.uint8)
+            line[cols[i]] = 1
+            bits[r] = np.packbits(line)
+        bits = bits.view(np.uint64)
+    else:
+        order = np.concatenate([cols[i] for i in able])
+        owner = np.repeat(np.arange(len(able)), shared[able])
+        by_token = np.argsort(order, kind="stable")
+        posting, begin = owner[by_token], np.searchsorted(order[by_token], np.arange(len(token) + 1))
+    n = sizes[able]
+    group = np.arange(len(able))
+    out = []
+    for r in range(len(able) - 1):
+        # Sizes rise, so only sets up to den/num of this size can be near enough.
+        end = int(np.searchsorted(n, n[r] * den // num, "right"))
+        other = np.flatnonzero(group[r + 1 : end] != group[r]) + r + 1
+        if not len(other):
+            continue
+        if dense:
+            both = np.bitwise_count(bits[other] & bits[r]).sum(1, dtype=np.int64)
+        else:
+            met = np.concatenate([posting[begin[t] : begin[t + 1]] for t in cols[able[r]]])
+            both = np.bincount(met, minlength=len(able))[other]
+        for k in other[den * both >= num * (n[r] + n[other] - both)]:
+            if group[k] != group[r]:
+                out.append((int(ids[able[r]]), int(ids[able[k]])))
+                group[group == group[k]] = group[r]
+    return out
 
-    def run(batch):
-        left, right = _row(batch, "text_a"), _row(batch, "text_b")
-        keep, last, own = [], None, None
-        for i, (x, y) in enumerate(zip(left, right, strict=True)):
-            if x != last:
-                last, own = x, shingle_sets([x.encode()])[0]
-            other = shingle_sets([y.encode()])[0]
-            small, large = (own, other) if len(own) <= len(other) else (other, own)
-            if den * len(small) >= num * len(large) and len(small):
-                at = np.minimum(np.searchsorted(large, small), len(large) - 1)
-                both = int((large[at] == small).sum())
-                if den * both >= num * (len(small) + len(large) - both):
-                    keep.append(i)
-        if keep:
-            return batch.select([0, 1]).take(pa.array(keep))
-
-    return common.map_arrow(joined.select("a", "b", "text_a", "text_b"), run, "a long, b long")
-
-
-def _in_bitmap(ids: DataFrame, column: str, bits: int = 1 << 25):
-    """Whether column may be in ids: a one-hash Bloom filter of a fixed number of bits (4 MB), built over all ids."""
-    words = (
-        ids.select(F.pmod(F.xxhash64("id"), F.lit(bits)).alias("bit")).groupBy((F.col("bit") / 512).cast("int").alias("word"))
-        .agg(F.collect_set("bit").alias("set"))
-    )
 
-    def pack(batch):
-        out = []
-        for bit_list in batch.column(1).to_pylist():
-            line = np.zeros(512, np.uint8)
-            line[np.array(bit_list, np.int64) % 512] = 1
-            out.append(np.packbits(line).tobytes())
-        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], ["word", "line"])
+def _compare(groups: DataFrame, keys: list[str], num: int, den: int) -> DataFrame:
+    """Links (a, b) within each group of rows (keys, id, text); groups are of bounded size."""
+    dealt = groups.select(*keys, "id", "text").repartition(*keys).sortWithinPartitions(*keys)
+    width = len(keys)
 
-    table = np.zeros((bits // 512, 64), np.uint8)
-    for row in common.map_arrow(words, pack, "word int, line binary").toLocalIterator():
-        table[row["word"]] = np.frombuffer(row["line"], np.uint8)
-    shared = ids.sparkSession.sparkContext.broadcast(table.ravel())
+    def run(batches):
+        key, ids, sets = None, [], []
+
+        def close():
+            links = family_links(np.array(ids, np.int64), sets, num, den) if len(sets) > 1 else []
+            if links:
+                a, b = zip(*((min(x), max(x)) for x in links), strict=True)
+                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
 
-    @F.pandas_udf("boolean")
-    def test(bit):
-        at = bit.to_numpy()
-        return __import__("pandas").Series((shared.value[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1)
+        for batch in batches:
+            columns = [batch.column(i).to_pylist() for i in range(width + 1)]
+            for first, chunk in common.utf8_chunks(_row(batch, "text")):
+                for i, s in enumerate(shingle_sets(chunk), first):
+                    now = tuple(c[i] for c in columns[:width])
+                    if now != key:
+                        yield from close()
+                        key, ids, sets = now, [], []
+                    ids.append(columns[width][i])
+                    sets.append(s)
+        yield from close()
 
-    return test(F.pmod(F.xxhash64(column), F.lit(bits)))
+    return dealt.mapInArrow(run, "a long, b long")
 
 
 def jaccard_links(texts: DataFrame, num: int, den: int) -> DataFrame:
     """Links (a, b) that span every component of the graph of pairs with similarity num/den or more.
 
-    texts: (doc_id, text), no two with the same set.
+    texts: (doc_id, text), materialised, no two with the same set.
     """
     sketch = count_sketch(texts)
-    grouped = common.checkpointed(shared_signatures(signatures(texts, sketch, num, den)))
-    tested = common.checkpointed(grouped.where("b is not null").select("a", "b").distinct())
-    links = common.checkpointed(verify(tested, texts, num, den))
-    large = grouped.where("b is null").select("sig", F.col("a").alias("id"), "n")
+    near = common.checkpointed(chains(signatures(texts, sketch, num, den), num, den).distinct())
+    family = common.checkpointed(common.components(near))
+    member = family.join(texts.select(F.col("doc_id").alias("id"), "text"), "id")
+    rows = common.checkpointed(member.withColumnRenamed("component", "family"))
+    sized = rows.groupBy("family").agg(F.count("*").alias("sets"), F.sum(F.octet_length("text")).alias("bytes"))
+    blocks = F.greatest(F.ceil(F.col("sets") / BLOCK_SETS), F.ceil(F.col("bytes") / BLOCK_BYTES))
+    # Few families need blocks: at most one for each block of the input.
+    large = common.checkpointed(sized.withColumn("blocks", blocks).where("blocks > 1").select("family", "blocks"))
     if large.isEmpty():
-        return links
-    for round_ in range(STAR_ROUNDS + 1):
-        parts = common.checkpointed(_with_component(large, links))
-        mixed = parts.groupBy("sig").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("size")).where("lo <> hi")
-        if round_ < STAR_ROUNDS:
-            # One member of each component against the group's centre, which differs by round.
-            one = parts.groupBy("sig", "component").agg(F.min_by(F.struct("id", "n"), F.xxhash64(F.col("id"), F.lit(round_))).alias("m"))
-            centre = one.groupBy("sig").agg(F.min_by("m", F.xxhash64(F.col("m.id"), F.lit(round_))).alias("c"), F.count("*").alias("k")).where("k > 1")
-            new = one.join(centre, "sig").select(F.least("m.id", "c.id").alias("a"), F.greatest("m.id", "c.id").alias("b"), F.col("m.n").alias("n"), F.col("c.n").alias("p"))
-        else:
-            left = parts.join(mixed.select("sig"), "sig", "left_semi")
-            right = left.select("sig", F.col("id").alias("id2"), F.col("n").alias("p"), F.col("component").alias("component2"))
-            new = left.join(right, "sig").where("component < component2").select(F.least("id", "id2").alias("a"), F.greatest("id", "id2").alias("b"), "n", "p")
-        new = new.where(f"a <> b and {den} * least(n, p) >= {num} * greatest(n, p)").select("a", "b").distinct()
-        new = common.checkpointed(new.join(tested, ["a", "b"], "left_anti"))
-        if not new.isEmpty():
-            links = common.checkpointed(links.unionByName(verify(new, texts, num, den)))
-            tested = tested.unionByName(new)
-    return links
-
-
-def _with_component(rows: DataFrame, links: DataFrame) -> DataFrame:
-    found = common.checkpointed(common.components(links))
-    return rows.join(found, "id", "left").select("sig", "id", "n", F.coalesce("component", "id").alias("component"))
+        return common.checkpointed(_compare(rows, ["family"], num, den))
+    small = _compare(rows.join(large, "family", "left_anti"), ["family"], num, den)
+    cut = rows.join(large, "family").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
+    pivots = _pivots(rows.join(large, "family"))
+    shared = pivots.select("family", "id", "text", F.explode(F.sequence(F.lit(0), F.col("blocks").cast("int") - 1)).cast("long").alias("block"))
+    first = common.checkpointed(small.unionByName(_compare(cut.select("family", "block", "id", "text").unionByName(shared), ["family", "block"], num, den)))
+    # What is not tied to its family's largest component is compared with every block.
+    found = cut.join(common.components(first), "id", "left").withColumn("component", F.coalesce("component", "id"))
+    found = common.checkpointed(found.select("family", "block", "blocks", "id", "component", "text"))
+    main = found.groupBy("family", "component").agg(F.count("*").alias("n")).groupBy("family").agg(F.max_by("component", F.struct("n", "component")).alias("main"))
+    loose = found.join(main, "family").where("component <> main")
+    dealt = loose.withColumn("part", F.pmod(F.xxhash64("id", F.lit(2)), F.col("blocks")))
+    parts = dealt.select("family", "part").distinct()
+    guests = dealt.select("family", "part", "id", "text", F.explode(F.sequence(F.lit(0), F.col("blocks").cast("int") - 1)).cast("long").alias("block"))
+    hosts = found.select("family", "block", "id", "text").join(parts, "family").select("family", "part", "id", "text", "block")
+    second = _compare(guests.unionByName(hosts).dropDuplicates(["family", "part", "block", "id"]), ["family", "part", "block"], num, den)
+    return common.checkpointed(first.unionByName(second))
+
+
+def _pivots(rows: DataFrame) -> DataFrame:
+    """PIVOTS rows of each family, those of the smallest hash; partial results are as short."""
+    from pyspark.sql import Window
+
+    order = Window.partitionBy("family").orderBy("h", "id")
+    # A first cut by hash leaves few rows to rank, however large the family.
+    cut = rows.withColumn("h", F.xxhash64("id", F.lit(1))).where(F.pmod("h", F.col("blocks")) == 0)
+    return cut.withColumn("r", F.row_number().over(order)).where(F.col("r") <= PIVOTS).select("family", "blocks", "id", "text")
 
 
 def similarity_classes(docs: DataFrame, num: int = 3, den: int = 4) -> DataFrame:
