@@ -23,14 +23,15 @@ VOCABULARY = "piece_bpe_32k.model"
 #: Labelled rows that the model is fitted on, at most for each language: those of the smallest hash.
 TRAINING_ROWS = 400
 #: Distinct words of training texts kept by language, the most frequent ones.
-TRAINING_WORDS = 20_000
+TRAINING_WORDS = 8_000
 EM_STEPS = 3
 SMOOTHING = 0.5
-#: Words remembered by a worker.
-MEMORY_WORDS = 120_000
+#: Sums are kept in range by this factor (as a log) for each character.
+CHARACTER_SCALE = 7.0
 LONGEST_WORD = 64
 UNKNOWN = "und"
 _WORD = re.compile(r"[^\W\d_]+")
+_BASE = np.uint64(0xD1342543DE82EF95)
 
 
 def vocabulary(name: str = VOCABULARY) -> dict[str, int]:
@@ -52,52 +53,96 @@ class Pieces:
         self.unknown = math.exp(float(logp.min()) - 2)
         self.longest = max(map(len, pieces))
         self.langs = len(logp)
-        self.seen: dict[str, list[float]] = {}
+        # Pieces by the hash of their characters, for whole arrays of substrings at once.
+        names = sorted(pieces, key=pieces.get)
+        by_hash = np.array([self._hash(np.array([[ord(c) for c in p]], np.uint64))[0, -1] for p in names], np.uint64)
+        order = np.argsort(by_hash)
+        self.hashes = by_hash[order]
+        if (self.hashes[1:] == self.hashes[:-1]).any():
+            raise ValueError("two pieces share a hash")
+        scale = np.exp(CHARACTER_SCALE * np.array([len(p) for p in names]))
+        self.table = (np.exp(logp.astype(np.float64)) * scale).T[order]
+        self.filter = np.zeros(1 << 22, bool)
+        self.filter[self._slot(self.hashes)] = True
+
+    @staticmethod
+    def _slot(h: np.ndarray) -> np.ndarray:
+        return ((h * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(42)).astype(np.int64)
+
+    @staticmethod
+    def _hash(chars: np.ndarray) -> np.ndarray:
+        """Hashes of all prefixes of the rows, the empty one first."""
+        out = np.zeros((len(chars), chars.shape[1] + 1), np.uint64)
+        with np.errstate(over="ignore"):
+            for j in range(chars.shape[1]):
+                out[:, j + 1] = out[:, j] * _BASE + chars[:, j] + np.uint64(1)
+        return out
 
     def lattice(self, word: str) -> list[tuple[int, int, str]]:
         text = "▁" + word
         return [(i, j, text[i:j]) for j in range(1, len(text) + 1) for i in range(max(0, j - self.longest), j) if text[i:j] in self.rows or j == i + 1]
 
-    def forward(self, word: str) -> list[float]:
-        """Log probability of the word in each language; very long words are summed in parts."""
-        out = self.seen.get(word)
-        if out is None:
-            if len(word) > LONGEST_WORD:
-                parts = [self.forward(word[i : i + LONGEST_WORD]) for i in range(0, len(word), LONGEST_WORD)]
-                return [sum(p) for p in zip(*parts, strict=True)]
-            text, n = "▁" + word, self.langs
-            alpha = [[1.0] * n]
-            get, unknown = self.rows.get, [self.unknown] * n
-            for j in range(1, len(text) + 1):
-                total = [0.0] * n
-                for i in range(max(0, j - self.longest), j):
-                    p = get(text[i:j]) or (unknown if j == i + 1 else None)
-                    if p:
-                        a = alpha[i]
-                        for k in range(n):
-                            total[k] += a[k] * p[k]
-                alpha.append(total)
-            out = [math.log(max(a, 1e-290)) for a in alpha[-1]]
-            if len(self.seen) >= MEMORY_WORDS:
-                self.seen.clear()
-            self.seen[word] = out
+    def scores(self, words: list[str]) -> np.ndarray:
+        """Log probability of each word in each language; words beyond LONGEST_WORD letters are summed in parts."""
+        out = np.zeros((len(words), self.langs))
+        by_length: dict[int, list[int]] = {}
+        parts, owner = [], []
+        for n, w in enumerate(words):
+            for at in range(0, len(w), LONGEST_WORD):
+                part = w[at : at + LONGEST_WORD]
+                by_length.setdefault(len(part), []).append(len(parts))
+                parts.append(part)
+                owner.append(n)
+        for length, rows in by_length.items():
+            for at in range(0, len(rows), 20_000):
+                some = rows[at : at + 20_000]
+                np.add.at(out, np.array(owner)[some] if len(parts) != len(words) else some, self._forward([parts[k] for k in some], length))
         return out
 
-    def score(self, text: str) -> list[float] | None:
-        """Log probability of the text's words in each language; None without a letter."""
-        words = _WORD.findall(text.lower())
-        if not words:
-            return None
-        total = [0.0] * self.langs
-        seen = self.seen
-        if len(words) < 200:
-            rows = [seen.get(w) or self.forward(w) for w in words]
-            return np.sum(np.array(rows), 0).tolist()
-        for w, n in Counter(words).items():
-            row = seen.get(w) or self.forward(w)
+    def _forward(self, words: list[str], length: int) -> np.ndarray:
+        chars = np.empty((len(words), length + 1), np.uint64)
+        chars[:, 0] = ord("▁")
+        chars[:, 1:] = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), "<u4").reshape(len(words), length)
+        prefix = self._hash(chars)
+        power = [np.uint64(1)]
+        with np.errstate(over="ignore"):
+            for _ in range(self.longest):
+                power.append(power[-1] * _BASE)
+        alpha = np.zeros((length + 2, len(words), self.langs))
+        alpha[0] = 1
+        single = self.unknown * math.exp(CHARACTER_SCALE)
+        for j in range(1, length + 2):
+            for i in range(max(0, j - self.longest), j):
+                with np.errstate(over="ignore"):
+                    h = prefix[:, j] - prefix[:, i] * power[j - i]
+                hit = np.flatnonzero(self.filter[self._slot(h)])
+                if len(hit):
+                    at = np.minimum(np.searchsorted(self.hashes, h[hit]), len(self.hashes) - 1)
+                    true = self.hashes[at] == h[hit]
+                    hit, at = hit[true], at[true]
+                    alpha[j, hit] += alpha[i, hit] * self.table[at]
+                if j == i + 1 and len(hit) < len(words):
+                    rest = np.ones(len(words), bool)
+                    rest[hit] = False
+                    alpha[j, rest] += alpha[i, rest] * single
+        return np.log(np.maximum(alpha[-1], 1e-300)) - CHARACTER_SCALE * (length + 1)
+
+    def totals(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        """(log probability of each text's words in each language, number of words)."""
+        index: dict[str, int] = {}
+        place, counts = [], []
+        for text in texts:
+            words = _WORD.findall(text.lower()) if text else ()
+            place += [index.setdefault(w, len(index)) for w in words]
+            counts.append(len(words))
+        counts = np.array(counts, np.int64)
+        out = np.zeros((len(texts), self.langs))
+        if place:
+            each = self.scores(list(index))
+            owner = np.repeat(np.arange(len(texts)), counts)
             for k in range(self.langs):
-                total[k] += n * row[k]
-        return total
+                out[:, k] = np.bincount(owner, each[np.array(place), k], minlength=len(texts))
+        return out, counts
 
 
 def _expected(words: Counter, model: Pieces, lang: int, pieces: dict[str, int]) -> np.ndarray:
@@ -170,20 +215,34 @@ def predict(docs: DataFrame, model: dict) -> DataFrame:
         scorer = Pieces(m["pieces"], m["logp"]) if langs else None
         for batch in batches:
             preds, scores = [], []
-            for text in batch.column(1).to_pylist():
-                total = scorer.score(text) if scorer and text else None
-                if total is None:
-                    preds.append(UNKNOWN)
-                    scores.append(0.0)
-                else:
-                    best = max(range(len(total)), key=total.__getitem__)
-                    preds.append(langs[best])
-                    scores.append(1 / sum(math.exp(max(-700, t - total[best])) for t in total))
+            texts = batch.column(1).to_pylist()
+            for chunk in _chunks(texts):
+                if scorer is None:
+                    preds += [UNKNOWN] * len(chunk)
+                    scores += [0.0] * len(chunk)
+                    continue
+                total, words = scorer.totals(chunk)
+                best = total.argmax(1)
+                post = 1 / np.exp(np.maximum(total - total.max(1, keepdims=True), -700)).sum(1)
+                preds += [langs[k] if n else UNKNOWN for k, n in zip(best, words, strict=True)]
+                scores += np.where(words > 0, post, 0.0).tolist()
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(preds, pa.string()), pa.array(scores, pa.float64())], ["doc_id", "lang_pred", "score"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, lang_pred string, score double")
 
 
+def _chunks(texts: list) -> list[list]:
+    """Runs of about a megabyte; words are scored once for each."""
+    out, size = [[]], 0
+    for text in texts:
+        if size > common.CHUNK_BYTES:
+            out.append([])
+            size = 0
+        out[-1].append(text)
+        size += len(text) if text else 0
+    return out
+
+
 def held_out():
     """Rows that training never sees: crc32 of the doc_id as text leaves 2 modulo 4."""
     return F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(4)) == 2
