@@ -49,9 +49,13 @@ LABELLED = (
     # outside the article of a page that has one
     (12, 0.0, 40, 0.0, 0, 0.0, 0, 0, 1, 0, 0), (40, 0.0, 3, 1.0, 9, 0.0, 0, 0, 1, 0, 0), (3, 1.0, 2, 1.0, 3, 1.0, 0, 0, 1, 0, 0), (5, 0.0, 0, 0.0, 9, 0.0, 0, 0, 1, 1, 0),
     (90, 0.0, 90, 0.0, 90, 0.0, 0, 0, 1, 0, 0), (1, 0.0, 60, 0.0, 2, 1.0, 0, 0, 1, 0, 0), (20, 0.2, 20, 0.2, 20, 0.2, 0, 0, 1, 0, 0), (60, 0.0, 0, 0.0, 1, 1.0, 0, 0, 1, 0, 0),
+    (150, 0.0, 8, 0.0, 12, 0.9, 0, 0, 1, 0, 0), (35, 0.05, 3, 1.0, 40, 0.0, 0, 0, 1, 0, 0), (16, 0.0, 0, 0.0, 60, 0.0, 0, 0, 1, 0, 0), (25, 0.0, 40, 0.0, 50, 0.0, 0, 0, 1, 1, 0),
+    (70, 0.0, 30, 0.0, 25, 0.0, 0, 0, 1, 0, 0), (18, 0.0, 70, 0.0, 45, 0.0, 0, 0, 1, 0, 0), (45, 0.1, 50, 0.0, 18, 0.0, 0, 0, 1, 0, 0), (9, 0.0, 20, 0.0, 35, 0.0, 0, 0, 1, 0, 0),
     # pages without an article element
     (50, 0.0, 45, 0.0, 60, 0.0, 0, 0, 0, 0, 1), (30, 0.1, 6, 0.0, 50, 0.0, 0, 0, 0, 0, 1), (8, 0.0, 2, 1.0, 60, 0.0, 0, 0, 0, 1, 1), (6, 0.0, 50, 0.0, 45, 0.0, 0, 0, 0, 0, 1),
     (18, 0.0, 30, 0.0, 4, 1.0, 0, 0, 0, 0, 1), (5, 0.0, 25, 0.0, 30, 0.0, 0, 0, 0, 1, 1), (3, 0.0, 30, 0.0, 20, 0.0, 0, 0, 0, 0, 1), (14, 0.0, 16, 0.0, 15, 0.1, 0, 0, 0, 0, 1),
+    (40, 0.0, 30, 0.0, 0, 0.0, 0, 0, 0, 0, 1), (13, 0.0, 15, 0.0, 0, 0.0, 0, 0, 0, 0, 1), (60, 0.02, 50, 0.0, 5, 0.0, 0, 0, 0, 0, 1), (25, 0.0, 40, 0.0, 2, 1.0, 0, 0, 0, 0, 1),
+    (90, 0.0, 0, 0.0, 0, 0.0, 0, 0, 0, 0, 1), (16, 0.0, 0, 0.0, 14, 0.0, 0, 0, 0, 0, 1), (35, 0.05, 3, 1.0, 4, 1.0, 0, 0, 0, 0, 1), (150, 0.0, 8, 0.0, 12, 0.9, 0, 0, 0, 0, 1),
     (1, 1.0, 1, 1.0, 2, 1.0, 0, 0, 0, 0, 0), (4, 0.9, 3, 1.0, 50, 0.0, 0, 0, 0, 0, 0), (12, 0.8, 40, 0.0, 3, 1.0, 0, 0, 0, 0, 0), (25, 0.9, 3, 1.0, 4, 1.0, 0, 0, 0, 0, 0),
     (2, 0.0, 2, 1.0, 3, 1.0, 0, 0, 0, 0, 0), (3, 0.0, 1, 1.0, 1, 1.0, 0, 0, 0, 1, 0), (7, 1.0, 8, 1.0, 7, 1.0, 0, 0, 0, 0, 0), (30, 0.7, 30, 0.7, 30, 0.7, 0, 0, 0, 0, 0),
 )

@@ -24,6 +24,7 @@ from __future__ import annotations
 import hashlib
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -32,7 +33,7 @@ from . import common
 from .textkernel import mix64, shingle_sets
 
 #: Cells of the count sketch; its size does not depend on the input.  A task's own counts stop at 255.
-SKETCH_CELLS = 1 << 24
+SKETCH_CELLS = 1 << 22
 #: A token is frequent if its cell holds this many more sets than the mean cell has, in standard deviations, and FREQUENT_LEAST.
 FREQUENT_SIGMAS, FREQUENT_LEAST = 8.0, 64
 #: Classes of frequent tokens, each indexed by pairs.
@@ -40,6 +41,10 @@ CLASSES = 64
 #: A family's block has about this many sets and bytes of text at most.
 BLOCK_SETS, BLOCK_BYTES = 2048, 8 << 20
 PIVOTS = 8
+#: Bit rows of a block up to this size; postings beyond.
+DENSE_BYTES = 64 << 20
+#: Bits of the maps that keep rows from being shuffled (4 MB).
+BITMAP_BITS = 1 << 25
 
 
 def _row(batch: pa.RecordBatch, name: str) -> list:
@@ -151,6 +156,36 @@ def signatures(texts: DataFrame, sketch: np.ndarray, num: int, den: int) -> Data
     return common.map_arrow(texts.select("doc_id", "text"), run, "sig long, id long, n int")
 
 
+def in_bitmap(ids: DataFrame, column: str, bits: int = BITMAP_BITS):
+    """A predicate: whether column may be among ids (id).
+
+    A bitmap of a fixed number of bits, one hash for each id; beyond it more and more rows pass, up
+    to all, and what relies on it then shuffles as much as it would without.
+    """
+    line = 4096
+    marked = ids.select(F.pmod(F.xxhash64("id"), F.lit(bits)).alias("bit")).groupBy((F.col("bit") / line).cast("int").alias("line")).agg(F.collect_set("bit").alias("set"))
+
+    def pack(batch):
+        out = []
+        for one in batch.column(1).to_pylist():
+            row = np.zeros(line, np.uint8)
+            row[np.array(one, np.int64) % line] = 1
+            out.append(np.packbits(row).tobytes())
+        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], ["line", "bits"])
+
+    table = np.zeros((bits // line, line // 8), np.uint8)
+    for row in common.map_arrow(marked, pack, "line int, bits binary").toLocalIterator():
+        table[row["line"]] = np.frombuffer(row["bits"], np.uint8)
+    shared = ids.sparkSession.sparkContext.broadcast(table.ravel())
+
+    @F.pandas_udf("boolean")
+    def test(bit: pd.Series) -> pd.Series:
+        at = bit.to_numpy()
+        return pd.Series((shared.value[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1)
+
+    return test(F.pmod(F.xxhash64(column), F.lit(bits)))
+
+
 def chains(sigs: DataFrame, num: int, den: int) -> DataFrame:
     """(a, b): neighbours by size within each signature's group, if their sizes allow the similarity.
 
@@ -185,20 +220,17 @@ def family_links(ids: np.ndarray, sets: list[np.ndarray], num: int, den: int) ->
     sizes = np.array([len(s) for s in sets], np.int64)
     token, df = np.unique(np.concatenate(sets), return_counts=True)
     token = token[df > 1]
-    rows, cols = [], []
-    for i, s in enumerate(sets):
-        at = np.searchsorted(token, s)
-        at = at[(at < len(token))]
-        at = at[np.isin(token[at], s, assume_unique=True)] if len(at) else at
-        rows.append(i)
-        cols.append(at)
+    cols = []
+    for s in sets:
+        at = np.minimum(np.searchsorted(token, s), max(0, len(token) - 1))
+        cols.append(at[token[at] == s] if len(token) else at[:0])
     shared = np.array([len(c) for c in cols], np.int64)
     # A set with too many tokens of its own is linked with nothing.
     able = np.flatnonzero(den * shared >= num * sizes)
     able = able[np.argsort(sizes[able], kind="stable")]
     if len(able) < 2:
         return []
-    dense = len(able) * (len(token) // 8 + 1) <= 64 << 20
+    dense = len(able) * (len(token) // 8 + 1) <= DENSE_BYTES
     if dense:
         bits = np.zeros((len(able), -(-len(token) // 64) * 8), np.uint8)
         for r, i in enumerate(able):
@@ -264,12 +296,13 @@ def _compare(groups: DataFrame, keys: list[str], num: int, den: int) -> DataFram
 def jaccard_links(texts: DataFrame, num: int, den: int) -> DataFrame:
     """Links (a, b) that span every component of the graph of pairs with similarity num/den or more.
 
-    texts: (doc_id, text), materialised, no two with the same set.
+    texts: (doc_id, text), no two with the same set.
     """
     sketch = count_sketch(texts)
     near = common.checkpointed(chains(signatures(texts, sketch, num, den), num, den).distinct())
     family = common.checkpointed(common.components(near))
-    member = family.join(texts.select(F.col("doc_id").alias("id"), "text"), "id")
+    # Only texts of some family are shuffled.
+    member = family.join(texts.where(in_bitmap(family, "doc_id")).select(F.col("doc_id").alias("id"), "text"), "id")
     rows = common.checkpointed(member.withColumnRenamed("component", "family"))
     sized = rows.groupBy("family").agg(F.count("*").alias("sets"), F.sum(F.octet_length("text")).alias("bytes"))
     blocks = F.greatest(F.ceil(F.col("sets") / BLOCK_SETS), F.ceil(F.col("bytes") / BLOCK_BYTES))
@@ -280,7 +313,7 @@ def jaccard_links(texts: DataFrame, num: int, den: int) -> DataFrame:
     small = _compare(rows.join(large, "family", "left_anti"), ["family"], num, den)
     cut = rows.join(large, "family").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
     pivots = _pivots(rows.join(large, "family"))
-    shared = pivots.select("family", "id", "text", F.explode(F.sequence(F.lit(0), F.col("blocks").cast("int") - 1)).cast("long").alias("block"))
+    shared = pivots.select("family", "id", "text", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"))
     first = common.checkpointed(small.unionByName(_compare(cut.select("family", "block", "id", "text").unionByName(shared), ["family", "block"], num, den)))
     # What is not tied to its family's largest component is compared with every block.
     found = cut.join(common.components(first), "id", "left").withColumn("component", F.coalesce("component", "id"))
@@ -289,7 +322,7 @@ def jaccard_links(texts: DataFrame, num: int, den: int) -> DataFrame:
     loose = found.join(main, "family").where("component <> main")
     dealt = loose.withColumn("part", F.pmod(F.xxhash64("id", F.lit(2)), F.col("blocks")))
     parts = dealt.select("family", "part").distinct()
-    guests = dealt.select("family", "part", "id", "text", F.explode(F.sequence(F.lit(0), F.col("blocks").cast("int") - 1)).cast("long").alias("block"))
+    guests = dealt.select("family", "part", "id", "text", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"))
     hosts = found.select("family", "block", "id", "text").join(parts, "family").select("family", "part", "id", "text", "block")
     second = _compare(guests.unionByName(hosts).dropDuplicates(["family", "part", "block", "id"]), ["family", "part", "block"], num, den)
     return common.checkpointed(first.unionByName(second))
@@ -319,8 +352,11 @@ def similarity_classes(docs: DataFrame, num: int = 3, den: int = 4) -> DataFrame
     copies = common.checkpointed(
         keys.where("set_key is not null and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"))
     )
-    texts = docs.where("text is not null").join(copies.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi")
-    texts = common.checkpointed(texts)
+    # Of the whole texts, only those that may be copies are shuffled to find out.
+    reps = copies.select(F.col("rep").alias("doc_id")).distinct()
+    others = keys.where("doc_id is not null").join(reps, "doc_id", "left_anti").select(F.col("doc_id").alias("id"))
+    whole = docs.where("text is not null and doc_id is not null").withColumn("doubt", in_bitmap(others, "doc_id"))
+    texts = whole.where("not doubt").drop("doubt").unionByName(whole.where("doubt").drop("doubt").join(reps, "doc_id", "left_semi"))
     links = jaccard_links(texts, num, den)
     member = common.checkpointed(common.lookup_join(keys, copies, "set_key", "copies", F.col("doc_id")))
     same = member.where("rep <> doc_id").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
