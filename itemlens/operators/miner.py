@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import json
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -48,7 +48,7 @@ def mine(
     """
     compressed, m, supports = prepared(baskets)
     spark = baskets.sparkSession
-    state = resume or MinerResult(cat.from_support(sorted(supports.items()), m), m, 0.0)
+    state = replace(resume, rejected=set(resume.rejected), trace=list(resume.trace)) if resume else MinerResult(cat.from_support(sorted(supports.items()), m), m, 0.0)
     if not resume:
         state.profit = profit({k: s.usage for k, s in state.catalog.items()}, m)
     cache: dict[str, int] = {}
