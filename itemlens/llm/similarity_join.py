@@ -22,6 +22,7 @@ compared with every block.  No candidate is dropped.
 from __future__ import annotations
 
 import hashlib
+import zlib
 
 import numpy as np
 import pandas as pd
@@ -33,7 +34,7 @@ from . import common
 from .textkernel import mix64, shingle_sets
 
 #: Cells of the count sketch; its size does not depend on the input.  A task's own counts stop at 255.
-SKETCH_CELLS = 1 << 22
+SKETCH_CELLS = 1 << 24
 #: A token is frequent if its cell holds this many more sets than the mean cell has, in standard deviations, and FREQUENT_LEAST.
 FREQUENT_SIGMAS, FREQUENT_LEAST = 8.0, 64
 #: Classes of frequent tokens, each indexed by pairs.
@@ -70,6 +71,22 @@ def _cells(tokens: np.ndarray) -> np.ndarray:
     return (mix64(tokens) >> np.uint64(40)).astype(np.int64) % SKETCH_CELLS
 
 
+def _packed_counts(counts: np.ndarray) -> bytes:
+    """One bit for each cell in use, then the few counts above one; most cells of a task hold none or one."""
+    above = np.flatnonzero(counts > 1).astype(np.uint32)
+    gaps = np.diff(above, prepend=np.uint32(0)).astype(np.uint32)
+    return zlib.compress(np.uint32(len(above)).tobytes() + np.packbits(counts > 0).tobytes() + gaps.tobytes() + counts[above].tobytes(), 1)
+
+
+def _unpacked_counts(data: bytes, width: int) -> np.ndarray:
+    raw = zlib.decompress(data)
+    n = int(np.frombuffer(raw, np.uint32, 1)[0])
+    out = np.unpackbits(np.frombuffer(raw, np.uint8, width // 8, 4))
+    above = np.cumsum(np.frombuffer(raw, np.uint32, n, 4 + width // 8))
+    out[above] = np.frombuffer(raw, np.uint8, n, 4 + width // 8 + 4 * n)
+    return out
+
+
 def count_sketch(texts: DataFrame) -> np.ndarray:
     """How many sets hold a token of each cell, over all texts: SKETCH_CELLS counts, whatever the input's size."""
     blocks, width = 64, SKETCH_CELLS // 64
@@ -81,14 +98,14 @@ def count_sketch(texts: DataFrame) -> np.ndarray:
                 cells, n = np.unique(_cells(np.concatenate(shingle_sets(chunk))), return_counts=True)
                 counts[cells] = np.minimum(counts[cells] + n, 255)
         if counts.any():
-            yield pa.RecordBatch.from_arrays([pa.array(range(blocks), pa.int32()), pa.array([p.tobytes() for p in counts.reshape(blocks, width)], pa.binary())], ["block", "counts"])
+            yield pa.RecordBatch.from_arrays([pa.array(range(blocks), pa.int32()), pa.array([_packed_counts(p) for p in counts.reshape(blocks, width)], pa.binary())], ["block", "counts"])
 
     def add(batches):
         totals = {}
         for batch in batches:
-            for block, v in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            for block, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 total = totals.setdefault(block, np.zeros(width, np.uint32))
-                total += np.frombuffer(v.as_buffer(), np.uint8)
+                total += _unpacked_counts(v, width)
         if totals:
             yield pa.RecordBatch.from_arrays([pa.array(totals, pa.int32()), pa.array([t.tobytes() for t in totals.values()], pa.binary())], ["block", "counts"])
 
@@ -320,7 +337,8 @@ def jaccard_links(texts: DataFrame, num: int, den: int) -> DataFrame:
     found = common.checkpointed(found.select("family", "block", "blocks", "id", "component", "text"))
     main = found.groupBy("family", "component").agg(F.count("*").alias("n")).groupBy("family").agg(F.max_by("component", F.struct("n", "component")).alias("main"))
     loose = found.join(main, "family").where("component <> main")
-    dealt = loose.withColumn("part", F.pmod(F.xxhash64("id", F.lit(2)), F.col("blocks")))
+    counted = loose.groupBy("family").agg(F.greatest(F.ceil(F.count("*") / BLOCK_SETS), F.ceil(F.sum(F.octet_length("text")) / BLOCK_BYTES)).alias("parts"))
+    dealt = loose.join(counted, "family").withColumn("part", F.pmod(F.xxhash64("id", F.lit(2)), F.col("parts")))
     parts = dealt.select("family", "part").distinct()
     guests = dealt.select("family", "part", "id", "text", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"))
     hosts = found.select("family", "block", "id", "text").join(parts, "family").select("family", "part", "id", "text", "block")

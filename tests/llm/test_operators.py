@@ -377,3 +377,18 @@ def test_empty_tables(spark, empty):
         html_text.extracted(spark.createDataFrame([], "page_id long, url string, html string")),
     ]
     assert all(d.collect() == [] for d in made)
+
+
+def test_packed_counts():
+    counts = np.random.default_rng(1).poisson(0.4, 4096).astype(np.uint8)
+    counts[7] = 255
+    assert (similarity_join._unpacked_counts(similarity_join._packed_counts(counts), 4096) == counts).all()
+    nothing = np.zeros(64, np.uint8)
+    assert (similarity_join._unpacked_counts(similarity_join._packed_counts(nothing), 64) == nothing).all()
+
+
+def test_sketch_counts_sets(docs):
+    texts = docs.where("text is not null").select("doc_id", "text")
+    got = similarity_join.count_sketch(texts.repartition(3))
+    tokens = np.concatenate(shingle_sets([r[1].encode() for r in awkward() if r[1] is not None]))
+    assert (got == np.bincount(similarity_join._cells(tokens), minlength=similarity_join.SKETCH_CELLS)).all()
