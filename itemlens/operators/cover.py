@@ -48,6 +48,8 @@ class Index:
             for i in items:
                 frequency[i] += 1
         self.single = {next(iter(s[0])): k for k, s in self.sets.items() if len(s[0]) == 1}
+        self.negative = any(w < 0 for _, w, _ in self.sets.values())
+        self.full_rank = {k: self._rank(k, len(s[0]), None) for k, s in self.sets.items()}
         self.by_anchor: dict[str, list[str]] = defaultdict(list)
         for k, (items, _, _) in self.sets.items():
             if len(items) > 1:
@@ -85,26 +87,31 @@ class Index:
             left -= self.sets[best[-1]][0]
         return chosen
 
-    def lazy(self, basket: frozenset, usable: list[str]) -> list[str] | None:
+    def lazy(self, basket: frozenset, usable: list[str], forced: str | None = None) -> list[str] | None:
         """The same cover with a queue: gains only fall, so an entry that is still best after an update is the best."""
+        if self.negative:
+            return self.greedy(basket, usable, forced)  # a negative ratio improves as fewer items are new
         left, chosen = set(basket), []
-        queue = [self._rank(k, len(self.sets[k][0]), None) for k in usable]
-        if any(self.sets[k][1] < 0 for k in usable):
-            return self.greedy(basket, usable)  # a negative ratio improves as fewer items are new
+        if forced is not None:
+            chosen.append(forced)
+            left -= self.sets[forced][0]
+        queue = [self.full_rank[k] for k in usable if k != forced]
         heapq.heapify(queue)
         while left:
             if not queue:
                 return None
-            top = heapq.heappop(queue)
-            new = len(self.sets[top[-1]][0] & left)
+            top = queue[0]
+            items = self.sets[top[-1]][0]
+            new = len(items & left)
             if not new:
+                heapq.heappop(queue)
                 continue
-            now = self._rank(top[-1], new, None)
-            if queue and now > queue[0]:
-                heapq.heappush(queue, now)
+            if new < -top[1]:
+                heapq.heapreplace(queue, self._rank(top[-1], new, None))
                 continue
+            heapq.heappop(queue)
             chosen.append(top[-1])
-            left -= self.sets[top[-1]][0]
+            left -= items
         return chosen
 
     def primal_dual(self, basket: frozenset, usable: list[str]) -> list[str] | None:

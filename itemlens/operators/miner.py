@@ -38,7 +38,7 @@ def prepared(baskets: DataFrame) -> tuple[DataFrame, int, dict[str, int]]:
 
 def mine(
     baskets: DataFrame, max_iter: int = 1000, queue_size: int = 100_000, em_every: int = 1, eps: float = 1e-6, em_iter: int = 20, pair_order: str = "lexicographic",
-    cap: str = "first", min_support: int = 1, prior: str = "none", prune: str | None = None, batch: int | None = None, weight: str = "neglog", kernel: str = "arrow",
+    cap: str = "first", min_support: int = 1, prior: str = "none", prune: str | None = None, batch: int | None = None, weight: str = "neglog", kernel: str = "lazy_heap",
     generator: str = "unions", keep_singletons: bool = False, resume: MinerResult | None = None, save_to: str | None = None,
 ) -> MinerResult:
     """Mine baskets (tid, items).  One iteration accepts one itemset at most; it ends when a queue holds none.

@@ -50,9 +50,9 @@ def deltas(compressed: DataFrame, catalog: Catalog, batch: list[Candidate], weig
                 if not mine:
                     continue
                 known = [k for k in usable if k not in fresh]
-                before = index.greedy(basket, known)
+                before = index.lazy(basket, known)
                 for k in mine:
-                    after = index.greedy(basket, [*known, k], forced=k)
+                    after = index.lazy(basket, [*known, k], k)
                     if before is None or after is None:
                         continue
                     for used, sign in ((after, mult), (before, -mult)):
