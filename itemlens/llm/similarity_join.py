@@ -88,7 +88,7 @@ def _unpacked_counts(data: bytes, width: int) -> np.ndarray:
 
 
 def count_sketch(texts: DataFrame) -> np.ndarray:
-    """How many sets hold a token of each cell, over all texts: SKETCH_CELLS counts, whatever the input's size."""
+    """How many sets hold a token of each cell, over all texts: SKETCH_CELLS counts (65535 at most), whatever the input's size."""
     blocks, width = 64, SKETCH_CELLS // 64
 
     def run(batches):
@@ -107,13 +107,13 @@ def count_sketch(texts: DataFrame) -> np.ndarray:
                 total = totals.setdefault(block, np.zeros(width, np.uint32))
                 total += _unpacked_counts(v, width)
         if totals:
-            yield pa.RecordBatch.from_arrays([pa.array(totals, pa.int32()), pa.array([t.tobytes() for t in totals.values()], pa.binary())], ["block", "counts"])
+            yield pa.RecordBatch.from_arrays([pa.array(totals, pa.int32()), pa.array([np.minimum(t, 65535).astype(np.uint16).tobytes() for t in totals.values()], pa.binary())], ["block", "counts"])
 
     parts = texts.mapInArrow(run, "block int, counts binary")
     merged = parts.repartition("block").mapInArrow(add, "block int, counts binary")
-    out = np.zeros((blocks, width), np.uint32)
+    out = np.zeros((blocks, width), np.uint16)
     for row in merged.toLocalIterator():
-        out[row["block"]] = np.frombuffer(row["counts"], np.uint32)
+        out[row["block"]] = np.frombuffer(row["counts"], np.uint16)
     return out.ravel()
 
 
@@ -153,7 +153,7 @@ def signatures(texts: DataFrame, sketch: np.ndarray, num: int, den: int) -> Data
     spark = texts.sparkSession
     mean = sketch.mean()
     limit = max(FREQUENT_LEAST, mean + FREQUENT_SIGMAS * np.sqrt(mean))
-    shared = spark.sparkContext.broadcast(np.minimum(sketch, 65535).astype(np.uint16))
+    shared = spark.sparkContext.broadcast(sketch)
 
     def run(batch):
         ids = batch.column(0).to_numpy(zero_copy_only=False)
