@@ -20,7 +20,7 @@ WEIGHTS = (3, 1, 2)
 SHARE = (3, 2)
 MOST_COPIES = 2
 #: Documents of one rounding group, about; a source of more is dealt out over several.
-GROUP_ROWS = 50_000
+GROUP_ROWS = 2_000
 NEWTON_STEPS = 64
 
 
