@@ -23,8 +23,8 @@ from . import common
 SEQUENCE_TOKENS = 1024
 END_ID = 0
 TOKENIZER = "byte_bpe_50k.json"
-#: Pieces of one rank bucket, about.
-BUCKET_ROWS = 100_000
+#: Pieces of one length and rank bucket, about.
+BUCKET_ROWS = 2_000
 
 #: Beyond these characters the two tokenizer libraries' character classes could differ.
 _PLAIN = re.compile(r"[^\x09\x0a\x0d\x20-\x7e\xa1-ɏ‐-‧‰-⁞]")
@@ -122,10 +122,15 @@ def slots(spark: SparkSession, patterns: list[tuple[tuple[int, ...], int]]) -> D
     return spark.createDataFrame(rows, "length long, first long, last long, sequence long, offset long")
 
 
-def ranked(parts: DataFrame, by: str, order: list[str], rows: int) -> DataFrame:
-    """parts with `rank`, from 0 within each value of `by`: buckets are counted first, then rows within a bucket."""
-    buckets = max(1, -(-rows // BUCKET_ROWS))
-    dealt = parts.withColumn("bucket", F.pmod(F.xxhash64(*order), F.lit(buckets)))
+def ranked(parts: DataFrame, counts: dict[int, int], order: list[str]) -> DataFrame:
+    """parts with `rank`, from 0 within each length.
+
+    A length is dealt over as many buckets as its count asks for; buckets are counted first, then
+    rows within a bucket.
+    """
+    by = "length"
+    buckets = F.array(*(F.lit(max(1, -(-counts.get(n, 0) // BUCKET_ROWS))) for n in range(1, max(counts) + 1)))
+    dealt = parts.withColumn("bucket", F.pmod(F.xxhash64(*order), F.element_at(buckets, F.col(by).cast("int"))))
     before = Window.partitionBy(by).orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     starts = dealt.groupBy(by, "bucket").agg(F.count("*").alias("n")).select(by, "bucket", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("begin"))
     within = Window.partitionBy(by, "bucket").orderBy(*order)
@@ -144,7 +149,7 @@ def packed(docs: DataFrame, size: int = SEQUENCE_TOKENS, tokenizer: str = TOKENI
     if not counts:
         return parts.withColumns({"sequence_id": F.lit(0).cast("long"), "offset": F.lit(0).cast("long")})
     places = slots(parts.sparkSession, pack_histogram(counts, size))
-    with_rank = ranked(parts, "length", ["doc_id", "start", "ids_crc32"], sum(counts.values()))
+    with_rank = ranked(parts, counts, ["doc_id", "start", "ids_crc32"])
     # Slots grow with the number of distinct lengths (at most `size`) and patterns, not with the documents.
     at = F.broadcast(places)
     out = with_rank.join(at, (with_rank["length"] == at["length"]) & (F.col("rank") >= F.col("first")) & (F.col("rank") < F.col("last")))
