@@ -44,6 +44,8 @@ BLOCK_SETS, BLOCK_BYTES = 2048, 8 << 20
 PIVOTS = 8
 #: Bit rows of a block up to this size; postings beyond.
 DENSE_BYTES = 64 << 20
+#: Up to this many ids (16 bytes each, and as many again in the table) are sent to all executors; more are shuffled.
+BROADCAST_IDS = 300_000
 #: Bits of the maps that keep rows from being shuffled (4 MB).
 BITMAP_BITS = 1 << 25
 
@@ -318,9 +320,13 @@ def jaccard_links(texts: DataFrame, num: int, den: int) -> DataFrame:
     sketch = count_sketch(texts)
     near = common.checkpointed(chains(signatures(texts, sketch, num, den), num, den).distinct())
     family = common.checkpointed(common.components(near))
-    # Only texts of some family are shuffled.
-    member = family.join(texts.where(in_bitmap(family, "doc_id")).select(F.col("doc_id").alias("id"), "text"), "id")
-    rows = common.checkpointed(member.withColumnRenamed("component", "family"))
+    keyed = texts.select(F.col("doc_id").alias("id"), "text")
+    if family.count() <= BROADCAST_IDS:
+        member = keyed.join(F.broadcast(family), "id")
+    else:
+        # Only texts of some family are shuffled.
+        member = keyed.where(in_bitmap(family, "id")).join(family, "id")
+    rows = common.checkpointed(member.select("id", "text", F.col("component").alias("family")))
     sized = rows.groupBy("family").agg(F.count("*").alias("sets"), F.sum(F.octet_length("text")).alias("bytes"))
     blocks = F.greatest(F.ceil(F.col("sets") / BLOCK_SETS), F.ceil(F.col("bytes") / BLOCK_BYTES))
     # Few families need blocks: at most one for each block of the input.
@@ -370,11 +376,15 @@ def similarity_classes(docs: DataFrame, num: int = 3, den: int = 4) -> DataFrame
     copies = common.checkpointed(
         keys.where("set_key is not null and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"))
     )
-    # Of the whole texts, only those that may be copies are shuffled to find out.
     reps = copies.select(F.col("rep").alias("doc_id")).distinct()
-    others = keys.where("doc_id is not null").join(reps, "doc_id", "left_anti").select(F.col("doc_id").alias("id"))
-    whole = docs.where("text is not null and doc_id is not null").withColumn("doubt", in_bitmap(others, "doc_id"))
-    texts = whole.where("not doubt").drop("doubt").unionByName(whole.where("doubt").drop("doubt").join(reps, "doc_id", "left_semi"))
+    others = common.checkpointed(keys.where("doc_id is not null").select("doc_id").distinct().join(reps, "doc_id", "left_anti"))
+    whole = docs.where("text is not null and doc_id is not null")
+    if others.count() <= BROADCAST_IDS:
+        texts = whole.join(F.broadcast(others), "doc_id", "left_anti")
+    else:
+        # Of the whole texts, only those that may be copies are shuffled to find out.
+        whole = whole.withColumn("doubt", in_bitmap(others.withColumnRenamed("doc_id", "id"), "doc_id"))
+        texts = whole.where("not doubt").drop("doubt").unionByName(whole.where("doubt").drop("doubt").join(others, "doc_id", "left_anti"))
     links = jaccard_links(texts, num, den)
     member = common.checkpointed(common.lookup_join(keys, copies, "set_key", "copies", F.col("doc_id")))
     same = member.where("rep <> doc_id").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))

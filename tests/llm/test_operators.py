@@ -73,6 +73,7 @@ def closure(sets, num=3, den=4):
 @pytest.mark.parametrize("block", [2048, 6])
 def test_similarity_classes(docs, block, monkeypatch):
     monkeypatch.setattr(similarity_join, "BLOCK_SETS", block)
+    monkeypatch.setattr(similarity_join, "BROADCAST_IDS", 300_000 if block > 6 else -1)
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in similarity_join.similarity_classes(docs).collect()}
     sets = {r[0]: shingles(r[1]) for r in awkward()}
     roots = closure(sets)
