@@ -27,6 +27,7 @@ import zlib
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -150,12 +151,9 @@ def prefix_signatures(tokens: np.ndarray, weight: np.ndarray, frequent: np.ndarr
     return np.concatenate(out)
 
 
-def signatures(texts: DataFrame, sketch: np.ndarray, num: int, den: int) -> DataFrame:
-    """(sig, id, n) of every text (doc_id, text)."""
-    spark = texts.sparkSession
-    mean = sketch.mean()
+def signatures(texts: DataFrame, shared: Broadcast, mean: float, num: int, den: int) -> DataFrame:
+    """(sig, id, n) of every text (doc_id, text).  shared: the count sketch; mean: of its cells."""
     limit = max(FREQUENT_LEAST, mean + FREQUENT_SIGMAS * np.sqrt(mean))
-    shared = spark.sparkContext.broadcast(sketch)
 
     def run(batch):
         ids = batch.column(0).to_numpy(zero_copy_only=False)
@@ -318,7 +316,11 @@ def jaccard_links(texts: DataFrame, num: int, den: int) -> DataFrame:
     texts: (doc_id, text), no two with the same set.
     """
     sketch = count_sketch(texts)
-    near = common.checkpointed(chains(signatures(texts, sketch, num, den), num, den).distinct())
+    mean = float(sketch.mean())
+    shared = texts.sparkSession.sparkContext.broadcast(sketch)
+    del sketch
+    near = common.checkpointed(chains(signatures(texts, shared, mean, num, den), num, den).distinct())
+    shared.destroy()
     family = common.checkpointed(common.components(near))
     keyed = texts.select(F.col("doc_id").alias("id"), "text")
     if family.count() <= BROADCAST_IDS:
