@@ -50,6 +50,14 @@ def deltas(compressed: DataFrame, catalog: Catalog, batch: list[Candidate], weig
                 if not mine:
                     continue
                 known = [k for k in usable if k not in fresh]
+                if all(len(index.sets[k][0]) == 1 for k in known):
+                    # Singletons alone: the candidate takes the place of those of its items.
+                    if len(known) == len(basket):
+                        for k in mine:
+                            sums[k, k] = sums.get((k, k), 0) + mult
+                            for i in index.sets[k][0]:
+                                sums[k, i] = sums.get((k, i), 0) - mult
+                    continue
                 before = index.lazy(basket, known)
                 for k in mine:
                     after = index.lazy(basket, [*known, k], k)
