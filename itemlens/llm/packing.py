@@ -25,6 +25,8 @@ END_ID = 0
 TOKENIZER = "byte_bpe_50k.json"
 #: Pieces of one length and rank bucket, about.
 BUCKET_ROWS = 2_000
+#: Rows that a worker turns into Python objects at once.
+SLICE_ROWS = 500
 
 #: Beyond these characters the two tokenizer libraries' character classes could differ.
 _PLAIN = re.compile(r"[^\x09\x0a\x0d\x20-\x7e\xa1-ɏ‐-‧‰-⁞]")
@@ -42,8 +44,8 @@ class Encoder:
         from tokenizers import Tokenizer
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        self.exact = Tokenizer.from_file(public_tokenizers.path(tokenizer))
-        self.exact.encode_special_tokens = True
+        self._load = lambda: Tokenizer.from_file(public_tokenizers.path(tokenizer))
+        self._exact = None
         self.fast = None
         ranks = tokenizer.replace(".json", ".tiktoken")
         if ranks in ("byte_bpe_50k.tiktoken",):
@@ -51,6 +53,14 @@ class Encoder:
                 table = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
             self.fast = tiktoken.Encoding("plain", pat_str=public_tokenizers.PATTERN, mergeable_ranks=table, special_tokens={})
 
+    @property
+    def exact(self):
+        """The reference encoder, a hundred megabytes that only a worker with such text loads."""
+        if self._exact is None:
+            self._exact = self._load()
+            self._exact.encode_special_tokens = True
+        return self._exact
+
     def __call__(self, text: str) -> list[int]:
         if self.fast is not None and not _PLAIN.search(text):
             return self.fast.encode_ordinary(text)
@@ -63,7 +73,7 @@ def pieces(docs: DataFrame, size: int = SEQUENCE_TOKENS, tokenizer: str = TOKENI
 
     def run(batches):
         encode = Encoder(tokenizer)
-        for batch in batches:
+        for batch in (b.slice(at, SLICE_ROWS) for b in batches for at in range(0, b.num_rows, SLICE_ROWS)):
             rows = []
             for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 ids = np.array([*(encode(text) if text else ()), END_ID], "<u4")
