@@ -12,6 +12,10 @@ from pyspark.sql import functions as F
 from .catalog import Catalog, count_support
 
 
+#: Up to so many possible pairs of items, all that meet are counted in one pass and kept on the driver; beyond, those in the queue are counted in blocks.
+PAIRS_IN_ONE_PASS = 1_000_000
+
+
 @dataclass(frozen=True)
 class Candidate:
     key: str
@@ -80,7 +84,7 @@ def build_queue(
         top = pair_supports(compressed, min_support).orderBy(F.desc("support"), "a", "b").limit(q)
         found = [Candidate("|".join(sorted((r["a"], r["b"]))), tuple(sorted((r["a"], r["b"]))), r["support"]) for r in top.toLocalIterator()]
         return sorted((c for c in found if c.key not in rejected), key=lambda c: (-c.support, c.key))
-    if "" not in cache and len(catalog) > 2:
+    if "" not in cache and len(catalog) > 2 and len(item_support) * (len(item_support) - 1) // 2 <= PAIRS_IN_ONE_PASS:
         # All pairs of items that meet are counted in one pass; pairs that are absent have no support.
         cache |= {r["key"]: r["support"] for r in pair_supports(compressed).select(F.concat_ws("|", "a", "b").alias("key"), "support").toLocalIterator()} | {"": 0}
     limit = q if cap == "first" else len(catalog) ** 2
@@ -91,7 +95,7 @@ def build_queue(
         part = [u for _, u in zip(range(block), unions, strict=False)]
         if not part:
             break
-        new = [u for u in part if len(u) > 2 and "|".join(u) not in cache]
+        new = [u for u in part if (len(u) > 2 or "" not in cache) and "|".join(u) not in cache]
         got = counted(compressed, new, item_support)
         cache.update({"|".join(u): got.get("|".join(u), 0) for u in new})
         for u in part:

@@ -19,7 +19,7 @@ from ..sources.tables import read
 
 METHODS = ("cover", "maxent", "code_pairs", "code_candidates", "closed_chi2")
 #: Options of sources that stand for the published data sets.
-STAND_INS = {"doc_words_en": {"min_df": 5, "max_vocab": 400}, "page_words": {"max_vocab": 194}, "order_geo": {}, "order_parts": {"max_vocab": 400}, "conv_words": {"min_df": 5, "max_vocab": 400}}
+STAND_INS: dict[str, dict] = {"doc_words_en": {}, "page_words": {"max_vocab": 194}, "order_geo": {}, "order_parts": {}, "conv_words": {}}
 MIN_SUPPORT = 0.0575
 
 

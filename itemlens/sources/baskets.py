@@ -49,14 +49,18 @@ def from_json(rows: DataFrame, key: Column, document: Column, path: str) -> Data
 
 
 def limited(baskets: DataFrame, min_df: int = 1, max_vocab: int | None = None) -> DataFrame:
-    """Baskets over the items in min_df baskets or more, of those the max_vocab commonest (ties by item)."""
+    """Baskets over the items in min_df baskets or more, of those the max_vocab commonest (ties by item).
+
+    A basket that loses all its items stays, empty, and so counts in m.
+    """
     if min_df <= 1 and max_vocab is None:
         return baskets
-    long = baskets.select("tid", F.explode("items").alias("item"))
-    counts = long.groupBy("item").agg(F.count("*").alias("n")).where(F.col("n") >= min_df)
+    long = baskets.select("tid", F.explode_outer("items").alias("item"))
+    counts = long.where("item is not null").groupBy("item").agg(F.count("*").alias("n")).where(F.col("n") >= min_df)
     if max_vocab is not None:
         counts = counts.orderBy(F.desc("n"), "item").limit(max_vocab)
-    return from_rows(long.join(counts.select("item"), "item"), F.col("tid"), F.col("item"))
+    kept = long.join(counts.select("item", F.col("item").alias("kept")), "item", "left")
+    return kept.groupBy("tid").agg(F.array_sort(F.collect_set("kept")).alias("items"))
 
 
 def _geo(spark: SparkSession, d: str) -> DataFrame:
@@ -137,6 +141,6 @@ SOURCES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 
 def source(spark: SparkSession, sf_dir: str, name: str, include_empty: bool = False, min_df: int = 1, max_vocab: int | None = None) -> DataFrame:
-    """A basket source by name.  Empty baskets are left out unless asked for; they count in m."""
-    found = limited(SOURCES[name](spark, sf_dir), min_df, max_vocab)
-    return found if include_empty else found.where(F.size("items") > 0)
+    """A basket source by name.  Empty baskets are left out unless asked for; those that only min_df or max_vocab empty stay and count in m."""
+    found = SOURCES[name](spark, sf_dir)
+    return limited(found if include_empty else found.where(F.size("items") > 0), min_df, max_vocab)

@@ -367,6 +367,23 @@ def test_refresh_and_alerts(spark, tmp_path):
     assert [(r["itemset"], r["n"]) for r in alerts] == [("s", 90)]
 
 
+def test_stand_ins_keep_items_and_baskets(spark, small, monkeypatch):
+    for name, options in workloads.STAND_INS.items():
+        assert options == ({"max_vocab": 194} if name == "page_words" else {})
+    whole = src.source(spark, small, "order_parts")
+    assert workloads.stand_in(spark, small, "order_parts").select(F.explode("items")).distinct().count() == whole.select(F.explode("items")).distinct().count()
+    rows = db(spark, [["a"], ["a", "b"], ["b", "c"], ["c"], ["d"]])
+    cut = src.limited(rows, max_vocab=1)
+    assert sorted(r["items"] for r in cut.collect()) == [[], [], [], ["a"], ["a"]]
+    found = miner.mine(src.limited(db(spark, ACCEPT * 8 + [["z"]]), min_df=2))
+    assert found.m == len(ACCEPT) * 8 + 1 and "z" not in found.catalog
+    compressed, m, supports = miner.prepared(whole)
+    catalog = cat.from_support(sorted(supports.items()), m)
+    want = candidates.build_queue(compressed, catalog, set(), supports, 2000)
+    monkeypatch.setattr(candidates, "PAIRS_IN_ONE_PASS", 0)
+    assert candidates.build_queue(compressed, catalog, set(), supports, 2000) == want != []
+
+
 def test_workloads_run(spark, small):
     assert workloads.scaling(spark, (300, 600), 1).count() == 2
     assert {r["kernel"] for r in workloads.cover_ablation(spark, small, max_iter=2).collect()} == {"exact", "greedy", "lazy_heap", "primal_dual"}
