@@ -21,6 +21,8 @@ METHODS = ("cover", "maxent", "code_pairs", "code_candidates", "closed_chi2")
 #: Options of sources that stand for the published data sets.
 STAND_INS: dict[str, dict] = {"doc_words_en": {}, "page_words": {"max_vocab": 194}, "order_geo": {}, "order_parts": {}, "conv_words": {}}
 MIN_SUPPORT = 0.0575
+#: Sources whose items are independent, or all in every basket; the last two only from sf0.01 up.
+NULLS = ("order_regions", "order_brands", "order_tokens", "part_suppnations", "part_custnations", "cust_brands", "line_attrs", "userday_events", "vec_dims", "page_tags", "part_attrs", "user_props")
 
 
 def stand_in(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -64,9 +66,9 @@ def mine_all(spark: SparkSession, sf_dir: str, sources: tuple[str, ...] = tuple(
 
 def self_recovery(spark: SparkSession, sf_dir: str, n: int = 10_000, seed: int = 42, min_support: float = MIN_SUPPORT, methods: tuple[str, ...] = METHODS, max_iter: int = 20, k: int = 50) -> DataFrame:
     """(method, recall, precision) at eleven levels, on baskets that a trained model generates."""
-    trained = miner.mine(stand_in(spark, sf_dir, "order_geo"), max_iter)
-    truth = spark.createDataFrame([(s.key,) for s in trained.catalog.values() if len(s.items) > 1], "itemset string")
-    made = model.generate(spark, trained.catalog, n, seed).where(F.size("items") > 0).persist()
+    known = trained(spark, sf_dir, max_iter)
+    truth = spark.createDataFrame([(s.key,) for s in known.values() if len(s.items) > 1], "itemset string")
+    made = model.generate(spark, known, n, seed).where(F.size("items") > 0).persist()
     out = None
     for method in methods:
         points = measures.eleven_point(measures.curve(listed(spark, made, method, k, max_iter, min_support), truth)).select(F.lit(method).alias("method"), "recall", "precision")
@@ -82,11 +84,16 @@ def planted_catalog(kind: str = "disjoint") -> Catalog:
     return {s.key: s for s in made}
 
 
-def scaling(spark: SparkSession, sizes: tuple[int, ...] = (10_000, 20_000, 40_000), iters: int = 3, kind: str = "disjoint") -> DataFrame:
-    """(m, secs_per_iter, slope, r2): time of an iteration against the number of generated baskets."""
+def trained(spark: SparkSession, sf_dir: str, max_iter: int = 20) -> Catalog:
+    """The model whose baskets self-recovery and scaling generate."""
+    return miner.mine(stand_in(spark, sf_dir, "order_geo"), max_iter).catalog
+
+
+def scaling(spark: SparkSession, sizes: tuple[int, ...] = (10_000, 20_000, 40_000), iters: int = 3, kind: str = "disjoint", catalog: Catalog | None = None) -> DataFrame:
+    """(m, secs_per_iter, slope, r2): time of an iteration against the number of baskets that `catalog`, or else a planted one, generates."""
     rows = []
     for n in sizes:
-        made = model.generate(spark, planted_catalog(kind), n).where(F.size("items") > 0).persist()
+        made = model.generate(spark, catalog or planted_catalog(kind), n).where(F.size("items") > 0).persist()
         made.count()
         began = time.time()
         found = miner.mine(made, iters)

@@ -327,7 +327,7 @@ def sql_functions(s, d):
 
 
 def null_accepts(s, d):
-    return workloads.null_accepts(s, d, ("order_regions", "order_brands", "part_suppnations", "userday_events"), 1)
+    return workloads.null_accepts(s, d, ("order_regions", "order_brands", "part_suppnations", "userday_events"))
 
 
 def description_length(s, d):
@@ -351,10 +351,11 @@ def queries() -> dict[str, Query]:
         "code_cover_order_geo": _code_cover(True), "code_cover_arrow_order_geo": _code_cover(False), "frequent_order_regions": _frequent("order_regions", False), "closed_itemsets_order_regions": _frequent("order_regions", True),
         "frequent_userday_events": _frequent("userday_events", False), "closed_itemsets_userday_events": _frequent("userday_events", True), "mentions_per_day": _daily,
         "mine_order_geo": lambda s, d: rank.top_k(miner.mine(source(s, d, "order_geo"), 20).to_df(s), 50), "mine_planted": lambda s, d: rank.top_k(miner.mine(model.generate(s, workloads.planted_catalog("overlap"), 3000).where(F.size("items") > 0), 10).to_df(s), 20),
-        "workload_mine_all": lambda s, d: workloads.mine_all(s, d, max_iter=1), "workload_self_recovery": lambda s, d: workloads.self_recovery(s, d, methods=("cover", "closed_chi2"), max_iter=8),
-        "workload_scaling": lambda s, d: workloads.scaling(s, (5_000, 10_000), 2), "workload_redundancy": lambda s, d: workloads.redundancy(s, d, methods=("cover", "code_pairs", "closed_chi2"), max_iter=8),
-        "workload_top_lists": lambda s, d: workloads.top_lists(s, d, methods=("cover", "code_pairs"), max_iter=4), "workload_mentions": lambda s, d: workloads.mentions_over_time(s, d, max_iter=6, methods=("cover",)),
-        "workload_rank_compare": lambda s, d: workloads.rank_compare(s, d, methods=("cover", "closed_chi2"), max_iter=8), "workload_ablate": lambda s, d: workloads.ablate(s, d, max_iter=2), "workload_cover_ablation": lambda s, d: workloads.cover_ablation(s, d, max_iter=4),
+        "workload_mine_all": workloads.mine_all, "workload_self_recovery": workloads.self_recovery, "workload_scaling": lambda s, d: workloads.scaling(s, catalog=workloads.trained(s, d)),
+        "workload_redundancy": lambda s, d: workloads.redundancy(s, d, tuple(workloads.STAND_INS)), "workload_top_lists": lambda s, d: workloads.top_lists(s, d, methods=workloads.METHODS),
+        "workload_top_lists_messages": lambda s, d: workloads.top_lists(s, d, "conv_words", 6, workloads.METHODS), "workload_mentions": lambda s, d: workloads.mentions_over_time(s, d, methods=workloads.METHODS),
+        "workload_mentions_userday_events": lambda s, d: workloads.mentions_over_time(s, d, "userday_events", methods=workloads.METHODS), "workload_rank_compare": lambda s, d: workloads.rank_compare(s, d, methods=workloads.METHODS),
+        "workload_null_controls": lambda s, d: workloads.null_accepts(s, d, workloads.NULLS), "workload_ablate": workloads.ablate, "workload_cover_ablation": workloads.cover_ablation,
         "workload_throughput": workloads.e_step_throughput,
     }
     plain = (

@@ -1,5 +1,6 @@
 """Worked examples, invariants and brute force for the itemset engine."""
 
+import inspect
 import itertools
 import math
 import random
@@ -384,6 +385,34 @@ def test_stand_ins_keep_items_and_baskets(spark, small, monkeypatch):
     assert candidates.build_queue(compressed, catalog, set(), supports, 2000) == want != []
 
 
+def test_workloads_are_registered_whole(spark, small, monkeypatch):
+    from itemlens import queries
+
+    seen = {}
+    for name in ("mine_all", "self_recovery", "scaling", "redundancy", "top_lists", "mentions_over_time", "rank_compare", "ablate", "cover_ablation", "null_accepts"):
+        real = getattr(workloads, name)
+
+        def spy(*args, real=real, name=name, **options):
+            bound = inspect.signature(real).bind(*args, **options)
+            bound.apply_defaults()
+            seen.setdefault(name, []).append((bound.arguments, {k: p.default for k, p in inspect.signature(real).parameters.items()}))
+
+        monkeypatch.setattr(workloads, name, spy)
+    monkeypatch.setattr(workloads, "trained", lambda *_: workloads.planted_catalog("overlap"))
+    for name, run in queries.queries().items():
+        if name == "null_accepts" or name.startswith("workload_") and name != "workload_throughput":
+            run(spark, small)
+    assert len(seen) == 10
+    for calls in seen.values():
+        for got, least in calls:
+            assert all(got[k] >= least[k] for k in ("max_iter", "iters") if k in got)
+            assert "methods" not in got or set(got["methods"]) == set(workloads.METHODS)
+    assert set(seen["redundancy"][0][0]["sources"]) == set(seen["mine_all"][0][0]["sources"]) == set(workloads.STAND_INS)
+    assert seen["scaling"][0][0]["sizes"] == (10_000, 20_000, 40_000) and "b|c" in seen["scaling"][0][0]["catalog"]
+    assert {(c["name"], c["k"]) for c, _ in seen["top_lists"]} == {("doc_words_en", 10), ("conv_words", 6)}
+    assert {c["name"] for c, _ in seen["mentions_over_time"]} == {"order_geo", "userday_events"} and {len(c["sources"]) for c, _ in seen["null_accepts"]} == {4, 12}
+
+
 def test_workloads_run(spark, small):
     assert workloads.scaling(spark, (300, 600), 1).count() == 2
     assert {r["kernel"] for r in workloads.cover_ablation(spark, small, max_iter=2).collect()} == {"exact", "greedy", "lazy_heap", "primal_dual"}
