@@ -7,6 +7,7 @@ codes + the table itself, where a set costs its own code and its items in the si
 from __future__ import annotations
 
 import math
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import pyarrow as pa
@@ -83,20 +84,95 @@ def native_cover(baskets: DataFrame, table: Table) -> DataFrame:
     return done.withColumn("cover", F.concat("_c.cover", F.array_sort("_c.left"))).drop("_t", "_c")
 
 
-def usages(compressed: DataFrame, table: Table, pairs: bool = False) -> tuple[dict[str, int], dict[tuple[str, str], int]]:
-    covered = cover(compressed, table).select("cover", "mult")
-    used = {r["k"]: r["n"] for r in covered.select(F.explode("cover").alias("k"), "mult").groupBy("k").agg(F.sum("mult").alias("n")).toLocalIterator()}
-    both: dict[tuple[str, str], int] = {}
-    if pairs:
-        sorted_cover = covered.select(F.array_sort("cover").alias("c"), "mult")
-        flat = sorted_cover.select("c", "mult", F.posexplode("c").alias("i", "a")).select("mult", "a", F.explode(F.slice("c", F.col("i") + 2, F.size("c"))).alias("b"))
-        top = flat.groupBy("a", "b").agg(F.sum("mult").alias("n")).orderBy(F.desc("n"), "a", "b").limit(PAIRS_KEPT)
-        both = {(r["a"], r["b"]): r["n"] for r in top.toLocalIterator()}
-    return used, both
+#: Pairs of table sets that the pair search fetches at once, those of highest estimated gain first.
+PAIRS_BLOCK = 20_000
+#: Candidates that are scored in one pass: as many to begin with, then twice as many each time, up to the second number.
+FIRST_BATCH, LARGEST_BATCH = 32, 1024
+
+
+def usages(compressed: DataFrame, table: Table) -> dict[str, int]:
+    covered = cover(compressed, table).select(F.explode("cover").alias("k"), "mult")
+    return {r["k"]: r["n"] for r in covered.groupBy("k").agg(F.sum("mult").alias("n")).toLocalIterator()}
+
+
+def pair_gains(compressed: DataFrame, table: Table, used: dict[str, int]) -> DataFrame:
+    """(a, b, n, gain) of all pairs of table sets that are used together and whose estimated gain is positive."""
+    spark, total = compressed.sparkSession, float(sum(used.values()))
+    uses = spark.createDataFrame([(k, float(u)) for k, u in used.items()], "k string, u double")
+    covers = cover(compressed, table).select(F.array_sort("cover").alias("c"), "mult")
+    flat = covers.select("c", "mult", F.posexplode("c").alias("i", "a")).select("mult", "a", F.explode(F.slice("c", F.col("i") + 2, F.size("c"))).alias("b"))
+    met = flat.groupBy("a", "b").agg(F.sum("mult").alias("n"))
+    met = met.join(uses.select(F.col("k").alias("a"), F.col("u").alias("x")), "a").join(uses.select(F.col("k").alias("b"), F.col("u").alias("y")), "b")
+    part = lambda n: F.when(n > 0, n * F.log2(n)).otherwise(0.0)
+    xy, t = F.col("n").cast("double"), F.lit(total)
+    gain = (part(t) - part(F.col("x")) - part(F.col("y"))) - (part(t - xy) - part(F.col("x") - xy) - part(F.col("y") - xy) - part(xy))
+    return met.select("a", "b", "n", gain.alias("gain")).where("gain > 0")
+
+
+def descending(gains: DataFrame, block: int | None = None) -> Iterator:
+    """All pairs by falling gain, ties by a and b; they come to the driver in blocks, each only when asked for."""
+    block, last = block or PAIRS_BLOCK, None
+    while True:
+        rest = gains
+        if last is not None:
+            tie = (F.col("gain") == last["gain"]) & ((F.col("a") > last["a"]) | (F.col("a") == last["a"]) & (F.col("b") > last["b"]))
+            rest = gains.where((F.col("gain") < last["gain"]) | tie)
+        rows = rest.orderBy(F.desc("gain"), "a", "b").limit(block).collect()
+        yield from rows
+        if len(rows) < block:
+            return
+        last = rows[-1]
+
+
+def deltas(compressed: DataFrame, table: Table, batch: list[tuple[str, tuple[str, ...], int]]) -> list[dict[str, int]]:
+    """For each candidate (key, items, support), how the usage of each set changes if it joins the table; one pass for all."""
+    spark = compressed.sparkSession
+    order = {k: n for n, k in enumerate(cover_order(table))}
+    place = lambda k: (-len(table[k][0]), -table[k][1], k)
+    shared = spark.sparkContext.broadcast(([(place(k), frozenset(table[k][0])) for k in order if len(table[k][0]) > 1], [((-len(items), -support, key), frozenset(items)) for key, items, support in batch]))
 
-
-#: Pairs of table sets that one round of the pair search looks at, those used together most often.
-PAIRS_KEPT = 100_000
+    def run(batches):
+        sets, new = shared.value
+        by_item: dict[str, list[int]] = {}
+        for n, (_, items) in enumerate(sets):
+            by_item.setdefault(min(items), []).append(n)
+        new_by_item: dict[str, list[int]] = {}
+        for n, (_, items) in enumerate(new):
+            new_by_item.setdefault(min(items), []).append(n)
+
+        def covered(basket, usable):
+            left, out = set(basket), []
+            for (_, _, key), items in usable:
+                if items <= left:
+                    out.append(key)
+                    left -= items
+            return out + list(left)
+
+        sums: dict[tuple[int, str], int] = {}
+        for b in batches:
+            for items, mult in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                basket = frozenset(items)
+                mine = [n for i in basket for n in new_by_item.get(i, ()) if new[n][1] <= basket]
+                if not mine:
+                    continue
+                usable = [sets[n] for i in basket for n in by_item.get(i, ()) if sets[n][1] <= basket]
+                before = covered(basket, sorted(usable, key=lambda s: s[0]))
+                for n in mine:
+                    after = covered(basket, sorted([*usable, new[n]], key=lambda s: s[0]))
+                    for keys, sign in ((after, mult), (before, -mult)):
+                        for k in keys:
+                            sums[n, k] = sums.get((n, k), 0) + sign
+        rows = [(n, k, d) for (n, k), d in sums.items() if d]
+        if rows:
+            n, k, d = zip(*rows, strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(n, pa.int32()), pa.array(k), pa.array(d, pa.int64())], ["n", "k", "d"])
+
+    parts = compressed.select("items", "mult").mapInArrow(run, "n int, k string, d long")
+    out: list[dict[str, int]] = [{} for _ in batch]
+    for r in parts.groupBy("n", "k").agg(F.sum("d").alias("d")).where("d <> 0").toLocalIterator():
+        out[r["n"]][r["k"]] = r["d"]
+    shared.unpersist()
+    return out
 
 
 def total_bits(table: Table, used: dict[str, int], single: dict[str, int]) -> float:
@@ -112,6 +188,36 @@ def total_bits(table: Table, used: dict[str, int], single: dict[str, int]) -> fl
     return bits
 
 
+def first_shorter(compressed: DataFrame, table: Table, used: dict[str, int], single: dict[str, int], bits: float, batch: list[tuple[str, tuple[str, ...], int]]):
+    """Of a batch in its order, the first candidate that lowers the total: (place, table, usage, bits), or None."""
+    total, plain = sum(used.values()), sum(single.values())
+    log = lambda n: math.log2(n) if n else 0.0
+    own = lambda k, items: sum(-math.log2(single[i] / plain) for i in items)
+    kinds = sum(u > 0 for u in used.values())
+    for n, change in enumerate(deltas(compressed, table, batch)):
+        if not change:
+            continue
+        key, items, support = batch[n]
+        # The total is (T + kinds) log T - sum of (u + 1) log u + the items of used sets: only what changes is summed anew.
+        new_total, new_kinds, gap = total + sum(change.values()), kinds, 0.0
+        for k, d in change.items():
+            old = used.get(k, 0)
+            now = old + d
+            gap -= (now + 1) * log(now) - (old + 1) * log(old)
+            if (now > 0) != (old > 0):
+                sign = 1 if now > 0 else -1
+                new_kinds += sign
+                gap += sign * own(k, items if k == key else table[k][0])
+        gap += (new_total + new_kinds) * log(new_total) - (total + kinds) * log(total)
+        if gap > 1e-6:
+            continue
+        tried = {**table, key: (items, support)}
+        new_used = {k: u for k in {**used, **change} if (u := used.get(k, 0) + change.get(k, 0))}
+        if (new_bits := total_bits(tried, new_used, single)) < bits - 1e-9:
+            return n, tried, new_used, new_bits
+    return None
+
+
 def _start(baskets: DataFrame):
     compressed, m, supports = prepared(baskets)
     table: Table = {i: ((i,), n) for i, n in supports.items()}
@@ -128,14 +234,14 @@ def mine(baskets: DataFrame, candidates: list[tuple[tuple[str, ...], int]], prun
                 continue
             key = "|".join(sorted(items))
             tried = {**table, key: (tuple(sorted(items)), support)}
-            new_used, _ = usages(compressed, tried)
+            new_used = usages(compressed, tried)
             new_bits = total_bits(tried, new_used, single)
             if new_bits < bits - 1e-9:
                 fallen = [k for k in table if len(table[k][0]) > 1 and new_used.get(k, 0) < used.get(k, 0)]
                 table, used, bits = tried, new_used, new_bits
                 for k in sorted(fallen, key=lambda k: used.get(k, 0)) if prune else ():
                     less = {x: v for x, v in table.items() if x != k}
-                    u, _ = usages(compressed, less)
+                    u = usages(compressed, less)
                     if (b := total_bits(less, u, single)) < bits - 1e-9:
                         table, used, bits = less, u, b
     finally:
@@ -150,32 +256,33 @@ def estimated_gain(x: int, y: int, xy: int, total: int) -> float:
     return (part(total) - part(x) - part(y)) - (part(after) - part(x - xy) - part(y - xy) - part(xy))
 
 
-def mine_pairs(baskets: DataFrame, max_iter: int = 100, tries: int = 20) -> CodeTable:
-    """Without a list of candidates: pairs of table sets by estimated gain; the first that lowers the total joins."""
+def mine_pairs(baskets: DataFrame, max_iter: int = 100) -> CodeTable:
+    """Without a list of candidates: pairs of table sets by estimated gain; the first that lowers the total joins.
+
+    A round goes through all pairs of positive estimated gain before it ends the search.
+    """
     compressed, m, table, used, single, bits = _start(baskets)
-    rejected: set[str] = set()
     try:
-        used, both = usages(compressed, table, True)
         for _ in range(max_iter):
-            total = sum(used.values())
-            gains = sorted(((-estimated_gain(used[a], used[b], n, total), a, b, n) for (a, b), n in both.items()))
-            accepted = False
-            for gain, a, b, n in gains[: tries + len(rejected)]:
-                union = tuple(sorted({*table[a][0], *table[b][0]}))
-                key = "|".join(union)
-                if gain >= 0:
-                    break
-                if key in table or key in rejected:
-                    continue
-                tried = {**table, key: (union, n)}
-                new_used, new_both = usages(compressed, tried, True)
-                new_bits = total_bits(tried, new_used, single)
-                if new_bits < bits - 1e-9:
-                    table, used, both, bits, accepted = tried, new_used, new_both, new_bits, True
+            gains = pair_gains(compressed, table, used).persist()
+            pairs, seen, size, found = descending(gains), set(table), FIRST_BATCH, None
+            while found is None:
+                batch: list[tuple[str, tuple[str, ...], int]] = []
+                for r in pairs:
+                    union = tuple(sorted({*table[r["a"]][0], *table[r["b"]][0]}))
+                    if (key := "|".join(union)) not in seen:
+                        seen.add(key)
+                        batch.append((key, union, r["n"]))
+                        if len(batch) == size:
+                            break
+                if not batch:
                     break
-                rejected.add(key)
-            if not accepted:
+                found = first_shorter(compressed, table, used, single, bits, batch)
+                size = min(LARGEST_BATCH, 2 * size)
+            gains.unpersist()
+            if found is None:
                 break
+            _, table, used, bits = found
     finally:
         compressed.unpersist()
     return CodeTable(table, used, bits, m)

@@ -190,7 +190,7 @@ def _code_cover(native: bool) -> Query:
 
 def codetable_bits(s, d):
     table, compressed = _code_table(s, d)
-    used, _ = codetable.usages(compressed, table)
+    used = codetable.usages(compressed, table)
     found = codetable.CodeTable(table, used, 0.0, 0).to_df(s)
     return found.where("usage > 0").select("key", "usage", F.round("bits", 6).alias("bits"))
 

@@ -249,6 +249,42 @@ def test_code_tables_shrink(spark):
     assert same.bits == pytest.approx(got.bits)
 
 
+def test_code_table_ranks_all_pairs_of_positive_gain(spark):
+    rows = random_rows(60, 3, "abcdefgh") + [["x", "y"]] * 3
+    compressed, _, table, used, single, bits = codetable._start(db(spark, rows))
+    pairs = codetable.descending(codetable.pair_gains(compressed, table, used), 5)
+    got = [(r["a"], r["b"], r["n"], r["gain"]) for r in pairs]
+    met = {p: n for p in itertools.combinations(sorted(used), 2) if (n := sum(set(p) <= set(r) for r in rows))}
+    want = {p: g for p, n in met.items() if (g := codetable.estimated_gain(used[p[0]], used[p[1]], n, sum(used.values()))) > 0}
+    assert {(a, b): g for a, b, _, g in got} == pytest.approx(want) and len(got) == len(want) > 5
+    assert [g for *_, g in got] == sorted((g for *_, g in got), reverse=True)
+    # One pass over a batch gives the usages of covering with each candidate alone.
+    grown = {**table, "a|b|c": (("a", "b", "c"), 9), "d|e": (("d", "e"), 20)}
+    base = codetable.usages(compressed, grown)
+    batch = [("a|b", ("a", "b"), 30), ("c|d|e|f", ("c", "d", "e", "f"), 6), ("g|h", ("g", "h"), 20), ("b|d", ("b", "d"), 20)]
+    for (key, items, n), change in zip(batch, codetable.deltas(compressed, grown, batch), strict=True):
+        new = codetable.usages(compressed, {**grown, key: (items, n)})
+        assert change == {k: d for k in {**base, **new} if (d := new.get(k, 0) - base.get(k, 0))}
+    compressed.unpersist()
+
+
+def test_pair_search_passes_failures(spark, monkeypatch):
+    rows = db(spark, ACCEPT * 8)
+    tried, real = [], codetable.first_shorter
+
+    def fail_first(compressed, table, used, single, bits, batch):
+        tried.append([k for k, _, _ in batch])
+        return None if len(tried) == 1 else real(compressed, table, used, single, bits, batch)
+
+    monkeypatch.setattr(codetable, "first_shorter", fail_first)
+    monkeypatch.setattr(codetable, "FIRST_BATCH", 1)
+    monkeypatch.setattr(codetable, "PAIRS_BLOCK", 1)
+    several = db(spark, [["a", "b"]] * 40 + [["c", "d"]] * 30 + [["e"]] * 20)
+    found = codetable.mine_pairs(several)
+    assert tried[0] == ["a|b"] and tried[1] == ["c|d"] and {"a|b", "c|d"} <= set(found.table)
+    assert codetable.ranked(codetable.mine_pairs(rows), 5) == [("a", "b")]
+
+
 def test_maxent(spark):
     rows = db(spark, REJECT * 4)
     fitted = maxent.fit(rows, [("a", "b")])
