@@ -7,13 +7,14 @@ enumerates the item patterns of a block, so blocks are limited to LARGEST_BLOCK
 from __future__ import annotations
 
 import math
+import warnings
 from dataclasses import dataclass, field
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators.candidates import counted
+from ..operators.candidates import counted, pair_supports
 from ..operators.miner import prepared
 
 LARGEST_BLOCK = 12
@@ -67,6 +68,11 @@ class MaxEnt:
     blocks: list[Block]
     frequency: dict[str, float]
     m: int
+    #: Sets that mining would have tried next, had their blocks not been too large.
+    refused: list[tuple[str, ...]] = field(default_factory=list)
+
+    def __post_init__(self) -> None:
+        self.block_of = {i: n for n, b in enumerate(self.blocks) for i in b.items}
 
     def log_norm(self) -> float:
         return -sum(b.log_norm for b in self.blocks)
@@ -84,11 +90,22 @@ class MaxEnt:
 
     def expected(self, items: frozenset) -> float:
         out = 1.0
-        for b in self.blocks:
-            if part := items.intersection(b.items):
-                out *= b.expected(part)
+        for n in sorted({self.block_of[i] for i in items if i in self.block_of}):
+            out *= self.blocks[n].expected(items.intersection(self.blocks[n].items))
         return out
 
+    def joined_by(self, items: tuple[str, ...]) -> list[int]:
+        """The blocks that become one if a set of these items is added."""
+        return sorted({self.block_of[i] for i in items})
+
+    def plus(self, items: tuple[str, ...], frequency: float) -> MaxEnt:
+        """The model with one more set; only its block is fitted."""
+        own = self.joined_by(items)
+        known = {**self.frequency, "|".join(items): frequency}
+        sets = [s for n in own for s in self.blocks[n].sets] + [items]
+        made = Block(tuple(sorted({i for s in sets for i in s})), sets).fit(known)
+        return MaxEnt([*(b for n, b in enumerate(self.blocks) if n not in own), made], known, self.m, self.refused)
+
 
 def _blocks(sets: list[tuple[str, ...]]) -> list[Block]:
     parent: dict[str, str] = {}
@@ -127,47 +144,65 @@ def logp(baskets: DataFrame, model: MaxEnt) -> DataFrame:
     return met.groupBy("tid").agg((F.sum("w") + F.lit(model.log_norm())).alias("logp"))
 
 
-def mine(baskets: DataFrame, k: int = 50, min_support: float = 0.0575, pool: int = 2000) -> tuple[MaxEnt, list[tuple[str, ...]]]:
-    """Grow the summary by the union whose observed frequency diverges most from the expected one, while the score falls."""
+def mine(baskets: DataFrame, k: int = 50, min_support: float = 0.0575, pool: int = 20_000) -> tuple[MaxEnt, list[tuple[str, ...]]]:
+    """Grow the summary by the union whose observed frequency diverges most from the expected one, while the score falls.
+
+    All unions are counted, `pool` of them at once.  Unions whose block would have more than
+    LARGEST_BLOCK items are passed over; the model lists those in `refused`, and a warning names
+    their number.
+    """
     compressed, m, supports = prepared(baskets)
     frequency = {i: n / m for i, n in supports.items()}
     listed: list[tuple[str, ...]] = []
     least = max(1, math.ceil(min_support * m))
     try:
         model = MaxEnt([b.fit(frequency) for b in _blocks([(i,) for i in sorted(supports)])], frequency, m)
-        known: dict[str, int] = {}
         frequent = [(i,) for i, n in sorted(supports.items(), key=lambda x: (-x[1], x[0])) if n >= least]
-        refused: set[str] = set()
+        refused: dict[str, tuple[str, ...]] = {}
+        # Supports of the unions that are frequent, and the keys of all that have been counted.
+        known: dict[tuple[str, ...], int] = {}
+        items = F.array(*(F.lit(i) for (i,) in frequent)).cast("array<string>") if len(frequent) < 1000 else None
+        common = compressed if items is None else compressed.select(F.array_intersect("items", items).alias("items"), "mult")
+        for r in pair_supports(common, least).toLocalIterator() if len(frequent) > 1 else ():
+            known[tuple(sorted((r["a"], r["b"])))] = r["support"]
+        gaps: dict[tuple[str, ...], float] = {}
+        seen: set[tuple[str, ...]] = set()
+        fresh: list[tuple[str, ...]] = []
         while len(listed) < k:
-            sets = [*frequent, *listed]
-            unions = {"|".join(u): u for x, a in enumerate(sets) for b in sets[x + 1 :] if len(u := tuple(sorted({*a, *b}))) > max(len(a), len(b)) - 1 and u not in listed and len(u) > 1}
-            new = [u for key, u in unions.items() if key not in known][: pool * 10]
-            got = counted(compressed, new, supports)
-            known.update({"|".join(u): got.get("|".join(u), 0) for u in new})
+            # Pairs of items are known; a set that has joined makes new unions with all others.
+            new = sorted({u for a in fresh for b in [*frequent, *listed] if len(u := tuple(sorted({*a, *b}))) > 2} - seen)
+            for at in range(0, len(new), pool):
+                part = new[at : at + pool]
+                got = counted(compressed, part, supports)
+                known.update({u: n for u in part if (n := got.get("|".join(u), 0)) >= least})
+            seen.update(new)
             ranked = []
-            for key, u in unions.items():
-                if (n := known.get(key, 0)) >= least and key not in refused:
-                    q, e = n / m, min(max(model.expected(frozenset(u)), 1e-12), 1 - 1e-12)
-                    if q < 1 and abs(q - e) > 1e-9:
-                        ranked.append((-(q * math.log(q / e) + (1 - q) * math.log((1 - q) / (1 - e))), key, u))
-            done = False
-            for _, key, u in sorted(ranked)[:20]:
-                freq = {**model.frequency, key: known[key] / m}
-                chosen = [s for b in model.blocks for s in b.sets] + [u]
-                groups = _blocks(chosen)
-                if max(len(b.items) for b in groups) > LARGEST_BLOCK:
-                    refused.add(key)
+            for u, n in known.items():
+                if (key := "|".join(u)) in model.frequency or key in refused:
                     continue
-                old = {tuple(b.sets): b for b in model.blocks}
-                trial = MaxEnt([old.get(tuple(b.sets)) or b.fit(freq) for b in groups], freq, m)
-                if trial.score() < model.score() - 1e-9:
-                    model, done = trial, True
-                    listed.append(u)
-                break
-            if not done and not (ranked and refused and len(refused) < len(ranked)):
+                if u not in gaps:
+                    q, e = n / m, min(max(model.expected(frozenset(u)), 1e-12), 1 - 1e-12)
+                    gaps[u] = q * math.log(q / e) + (1 - q) * math.log((1 - q) / (1 - e)) if q < 1 and abs(q - e) > 1e-9 else 0.0
+                if gaps[u]:
+                    ranked.append((-gaps[u], key, u))
+            best = None
+            for _, key, u in sorted(ranked):
+                if sum(len(model.blocks[n].items) for n in model.joined_by(u)) <= LARGEST_BLOCK:
+                    best = u
+                    break
+                refused[key] = u
+            if best is None:
                 break
-            if not done:
+            trial = model.plus(best, known[best] / m)
+            if trial.score() >= model.score() - 1e-9:
                 break
+            model, fresh = trial, [best]
+            listed.append(best)
+            changed = set(model.blocks[-1].items)
+            gaps = {u: g for u, g in gaps.items() if changed.isdisjoint(u)}
     finally:
         compressed.unpersist()
+    model.refused = list(refused.values())
+    if refused:
+        warnings.warn(f"{len(refused)} sets were refused: their blocks would have more than {LARGEST_BLOCK} items", stacklevel=2)
     return model, listed

@@ -213,8 +213,9 @@ def maxent_pair_logp(s, d):
 
 
 def maxent_summary(s, d):
-    _, found = maxent.mine(source(s, d, "order_geo"), 5)
-    return s.createDataFrame([(n, "|".join(x)) for n, x in enumerate(found, 1)], "rank int, itemset string")
+    """The list, and how many sets were refused for the size of their blocks."""
+    fitted, found = maxent.mine(source(s, d, "order_geo"), 5)
+    return s.createDataFrame([(n, "|".join(x), len(fitted.refused)) for n, x in enumerate(found, 1)], "rank int, itemset string, refused long")
 
 
 def code_table_from_pairs(s, d):

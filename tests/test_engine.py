@@ -297,6 +297,22 @@ def test_maxent(spark):
     assert ("a", "b") in found or ("a", "c") in found or ("b", "c") in found
 
 
+def test_maxent_counts_all_unions_and_reports_refusals(spark, monkeypatch):
+    twins = [[f"{c}{n}" for n in range(2)] for c in "abcd"]
+    r = random.Random(5)
+    rows = db(spark, [sum((t for t in twins if r.random() < 0.5), ["z"]) for _ in range(200)])
+    want = {"|".join(t) for t in twins}
+    assert want <= {"|".join(x) for x in maxent.mine(rows, 8, pool=1)[1]}
+    # Blocks of two items at most: once the twins have joined, their many unions are refused, and said to be.
+    monkeypatch.setattr(maxent, "LARGEST_BLOCK", 2)
+    many = db(spark, [["a", "b", "c", "d", "e", "f", "g"]] * 30 + [["h", "i"]] * 20 + [["j"]] * 50)
+    with pytest.warns(UserWarning, match="refused"):
+        fitted, found = maxent.mine(many, 8)
+    assert ("h", "i") in found and len(fitted.refused) > 20 and all(len(b.items) <= 2 for b in fitted.blocks)
+    again = maxent.fit(many, found)
+    assert fitted.score() == pytest.approx(again.score(), abs=1e-3)
+
+
 def test_tilings(spark):
     rows = db(spark, [["a", "b", "c"]] * 4 + [["c", "d"]] * 3)
     assert tiling.max_coverage(rows, [("a", "b", "c"), ("b", "c"), ("c", "d")], 3) == [(("a", "b", "c"), 12), (("c", "d"), 6)]
