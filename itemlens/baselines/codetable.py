@@ -6,6 +6,7 @@ codes + the table itself, where a set costs its own code and its items in the si
 
 from __future__ import annotations
 
+import itertools
 import math
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
@@ -225,25 +226,40 @@ def _start(baskets: DataFrame):
     return compressed, m, table, used, supports, total_bits(table, used, supports)
 
 
-def mine(baskets: DataFrame, candidates: list[tuple[tuple[str, ...], int]], prune: bool = False) -> CodeTable:
-    """From candidates (items, support): best support first, then size; each is kept if the total falls."""
+def mine(baskets: DataFrame, candidates: Iterable[tuple[tuple[str, ...], int]] | DataFrame, prune: bool = False) -> CodeTable:
+    """From candidates (items, support): best support first, then size; each is kept if the total falls.
+
+    A table of candidates is sorted by Spark and read part by part.  Candidates are scored in
+    batches; results equal one-at-a-time trials.
+    """
     compressed, m, table, used, single, bits = _start(baskets)
+    if isinstance(candidates, DataFrame):
+        keyed = candidates.select("items", "support", F.size("items").alias("size"), F.array_join(F.array_sort("items"), "|").alias("key")).where("size > 1")
+        ordered = ((tuple(r["items"]), r["support"]) for r in keyed.orderBy(F.desc("support"), F.desc("size"), "key").toLocalIterator())
+    else:
+        ordered = iter(sorted((c for c in candidates if len(c[0]) > 1), key=lambda c: (-c[1], -len(c[0]), "|".join(c[0]))))
+    waiting: list[tuple[str, tuple[str, ...], int]] = []
+    size = FIRST_BATCH
     try:
-        for items, support in sorted(candidates, key=lambda c: (-c[1], -len(c[0]), "|".join(c[0]))):
-            if len(items) < 2:
+        while True:
+            for items, support in itertools.islice(ordered, max(0, size - len(waiting))):
+                waiting.append(("|".join(sorted(items)), tuple(sorted(items)), support))
+            if not waiting:
+                break
+            batch = waiting[:size]
+            found = first_shorter(compressed, table, used, single, bits, batch)
+            if found is None:
+                waiting, size = waiting[size:], min(LARGEST_BATCH, 2 * size)
                 continue
-            key = "|".join(sorted(items))
-            tried = {**table, key: (tuple(sorted(items)), support)}
-            new_used = usages(compressed, tried)
-            new_bits = total_bits(tried, new_used, single)
-            if new_bits < bits - 1e-9:
-                fallen = [k for k in table if len(table[k][0]) > 1 and new_used.get(k, 0) < used.get(k, 0)]
-                table, used, bits = tried, new_used, new_bits
-                for k in sorted(fallen, key=lambda k: used.get(k, 0)) if prune else ():
-                    less = {x: v for x, v in table.items() if x != k}
-                    u = usages(compressed, less)
-                    if (b := total_bits(less, u, single)) < bits - 1e-9:
-                        table, used, bits = less, u, b
+            n, tried, new_used, new_bits = found
+            waiting, size = waiting[n + 1 :], FIRST_BATCH
+            fallen = [k for k in table if len(table[k][0]) > 1 and new_used.get(k, 0) < used.get(k, 0)]
+            table, used, bits = tried, new_used, new_bits
+            for k in sorted(fallen, key=lambda k: used.get(k, 0)) if prune else ():
+                less = {x: v for x, v in table.items() if x != k}
+                u = usages(compressed, less)
+                if (b := total_bits(less, u, single)) < bits - 1e-9:
+                    table, used, bits = less, u, b
     finally:
         compressed.unpersist()
     return CodeTable(table, used, bits, m)

@@ -45,8 +45,7 @@ def listed(spark: SparkSession, baskets: DataFrame, method: str, k: int = 50, ma
     elif method == "code_pairs":
         sets = codetable.ranked(codetable.mine_pairs(baskets, max_iter), k)
     elif method == "code_candidates":
-        found = frequent.frequent(baskets, min_support).where("size > 1").orderBy(F.desc("support"), F.desc("size"), "key").limit(max_iter * 2)
-        sets = codetable.ranked(codetable.mine(baskets, [(tuple(r["items"]), r["support"]) for r in found.toLocalIterator()]), k)
+        sets = codetable.ranked(codetable.mine(baskets, frequent.closed(frequent.frequent(baskets, min_support))), k)
     else:
         raise ValueError(method)
     rows = [(n, key, items) for n, (key, items) in enumerate(_keys(sets), 1)]

@@ -224,8 +224,8 @@ def code_table_from_pairs(s, d):
 
 
 def code_table_from_candidates(s, d):
-    sets = [(tuple(k.split("|")), n) for k, n in ((r["itemset"], r["support"]) for r in _pairs(s, d, "order_geo").orderBy(F.desc("support"), "itemset").limit(8).toLocalIterator())]
-    found = codetable.mine(source(s, d, "order_geo"), sets)
+    baskets = source(s, d, "order_geo")
+    found = codetable.mine(baskets, frequent.closed(frequent.frequent(baskets, workloads.MIN_SUPPORT)))
     return s.createDataFrame([(n, "|".join(x)) for n, x in enumerate(codetable.ranked(found, 10), 1)], "rank int, itemset string")
 
 

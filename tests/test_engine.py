@@ -268,6 +268,28 @@ def test_code_table_ranks_all_pairs_of_positive_gain(spark):
     compressed.unpersist()
 
 
+def test_code_table_takes_all_candidates(spark, monkeypatch):
+    r = random.Random(9)
+    twins = [(f"a{n}", f"b{n}") for n in range(6)]
+    rows = db(spark, [x for _ in range(150) if (x := sum((list(t) for t in twins if r.random() < 0.4), []))])
+    sets = [(tuple(x["items"]), x["support"]) for x in frequent.closed(frequent.frequent(rows, 0.02)).where("size > 1").collect()]
+    assert len(sets) > 40
+    compressed, _, table, used, single, bits = codetable._start(rows)
+    for items, n in sorted(sets, key=lambda c: (-c[1], -len(c[0]), "|".join(c[0]))):
+        tried = {**table, "|".join(items): (items, n)}
+        new = codetable.usages(compressed, tried) if len(table) < 14 else None  # the first few, one at a time
+        if new is None:
+            break
+        if codetable.total_bits(tried, new, single) < bits - 1e-9:
+            table, used, bits = tried, new, codetable.total_bits(tried, new, single)
+    monkeypatch.setattr(codetable, "FIRST_BATCH", 3)
+    whole = codetable.mine(rows, frequent.closed(frequent.frequent(rows, 0.02)))
+    assert set(table) <= set(whole.table) and whole.bits == pytest.approx(codetable.mine(rows, sets).bits)
+    given, real = [], codetable.mine
+    monkeypatch.setattr(codetable, "mine", lambda b, c, **k: given.append(c.where("size > 1").count()) or real(b, c, **k))
+    assert workloads.listed(spark, rows, "code_candidates", 50, 1, 0.02).count() > 1 and given == [len(sets)]
+
+
 def test_pair_search_passes_failures(spark, monkeypatch):
     rows = db(spark, ACCEPT * 8)
     tried, real = [], codetable.first_shorter
