@@ -28,6 +28,8 @@ _HINTS = frozenset(
     "disqus breadcrumb breadcrumbs pagination pager widget toolbar login search copyright legal disclaimer skip masthead topbar tags taboola outbrain paywall".split()
 )
 _TOP_HINTS = frozenset("header head top".split())
+#: Elements that hold text alone: only their own closing tag ends them.
+_RAW = {n: re.compile(rf"</{n}(?=[\s/>])", re.I) for n in ("script", "style", "textarea", "title")}
 _CENTRE_HINTS = frozenset("article post entry story content main".split())
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|[^<]+|<", re.S)
@@ -109,7 +111,8 @@ def blocks(page: str) -> list[list]:
             buffer.clear()
             linked.clear()
 
-    for m in _TOKEN.finditer(page):
+    tokens = _TOKEN.finditer(page)
+    while (m := next(tokens, None)) is not None:
         name = m.group(2)
         if name is None:
             piece = m.group(0)
@@ -120,9 +123,15 @@ def blocks(page: str) -> list[list]:
                     linked.append(piece)
             continue
         name, closing = name.lower(), m.group(1)
+        if name in _RAW and not closing and not m.group(3).endswith("/"):
+            end = _RAW[name].search(page, m.end())
+            if end is None:
+                break
+            tokens = _TOKEN.finditer(page, end.start())
+            continue
         if silent is not None:
             if name == silent:
-                depth += -1 if closing else (0 if name in ("script", "style", "textarea", "title") else 1)
+                depth += -1 if closing else 1
                 if depth <= 0:
                     silent = None
             elif name == "body" and silent == "head":

@@ -294,6 +294,20 @@ def test_html(spark):
     assert html.unescape("&amp;") == "&" and len(got) == 5
 
 
+def test_html_scripts_end_at_their_own_tag():
+    body = "<article><h1>Head line</h1><p>A first paragraph of the article, long enough to be told from menus.</p>{}<p>And a second one after it.</p></article>"
+    want = "Head line A first paragraph of the article, long enough to be told from menus. And a second one after it."
+    tree = html_text.default_tree()
+    for inside in (
+        "<script>for(i=0;i<n;i++){f(i)}</script>", '<script>t="<a href=\'";</SCRIPT >', "<script>s='<div class=\"x';</script>", "<style>a:after{content:'<b'}</style>",
+        "<textarea>a <b c='</textarea>", "<script>x='</scripted>'; if(a<b){}</script>", "<noscript><style>i<n{</style></noscript>", "<script>x='<!--'</script>",
+    ):
+        assert html_text.main_text("<html><body>" + body.format(inside) + "</body></html>", tree) == want, inside
+    head = "<head><title>a <b or 'c</title><script>if(i<n){}</script></head>"
+    assert html_text.main_text("<html>" + head + "<body>" + body.format("") + "</body></html>", tree) == want
+    assert html_text.main_text(body.format("") + "<script>for(i=0;i<n;i++)", tree) == want
+
+
 def test_html_tree_fits_its_table():
     tree = html_text.default_tree()
     assert all(html_text.decide(tree, row[:-1]) == row[-1] for row in html_text.LABELLED)
