@@ -2,6 +2,9 @@
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame; run() applies all of them to the
 table of documents, writing each result as Parquet and reading it again.
+
+Decisions come back by doc_id, which is to be given and unique.  The filtering stages and mixing
+lose rows without a doc_id; rows that share one stay together, all if any of them is accepted.
 """
 
 from __future__ import annotations
@@ -18,25 +21,28 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts in some language the model knows; null, empty and letterless texts go."""
+    """Texts in some language the model knows; null, empty and letterless texts go, and rows without a doc_id."""
     verdict = language_id.identified(docs).where(F.col("lang_pred") != language_id.UNKNOWN).where(F.col("score") >= LEAST_LANGUAGE_SCORE)
     return docs.select(COLUMNS).join(verdict.select("doc_id").distinct(), "doc_id", "left_semi").select(COLUMNS)
 
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts, the row with the largest doc_id."""
+    """Of equal texts, the row with the largest doc_id.  Rows without one go; rows that share one all stay if any does."""
     kept = exact_dedup.exact_duplicates(docs).where("kept").select("doc_id").distinct()
     return docs.select(COLUMNS).join(kept, "doc_id", "left_semi").select(COLUMNS)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies, the document with the smallest doc_id."""
+    """Of each group of near copies, the document with the smallest doc_id.  Rows without one go; rows that share one all stay if any does."""
     kept = similarity_join.similarity_classes(docs).where("doc_id = component_id").select("doc_id").distinct()
     return docs.select(COLUMNS).join(kept, "doc_id", "left_semi").select(COLUMNS)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Each document as often as its source's weight makes of it: not at all, once or twice."""
+    """Each document as often as its source's weight makes of it: not at all, once or twice.
+
+    Rows without a doc_id go; rows that share one are all repeated as often as the most repeated of them.
+    """
     copies = mixing.mixed(docs).where("copies > 0").groupBy("doc_id").agg(F.max("copies").alias("copies"))
     repeated = docs.select(COLUMNS).join(copies, "doc_id").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies"))))
     return repeated.select(COLUMNS)

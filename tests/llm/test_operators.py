@@ -407,3 +407,18 @@ def test_sketch_counts_sets(docs):
     got = similarity_join.count_sketch(texts.repartition(3))
     tokens = np.concatenate(shingle_sets([r[1].encode() for r in awkward() if r[1] is not None]))
     assert (got == np.bincount(similarity_join._cells(tokens), minlength=similarity_join.SKETCH_CELLS)).all()
+
+
+def test_stages_need_ids_of_their_own(spark, small):
+    import inspect
+
+    import corpus_pipeline
+
+    rows = [(1, "one text", "en", "s", 8), (2, "one text", "en", "s", 8), (2, "another text", "en", "s", 12), (2, "one text", "en", "s", 8), (None, "a text without an id", "en", "s", 20), (5, "last text", "en", "s", 9)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    got = sorted((r["doc_id"], r["text"]) for r in corpus_pipeline.drop_exact_copies(spark, docs, small).collect())
+    assert got == [(2, "another text"), (2, "one text"), (2, "one text"), (5, "last text")]
+    mixed = {r["doc_id"] for r in corpus_pipeline.mix_sources(spark, docs, small).collect()}
+    assert None not in mixed
+    for stage in (corpus_pipeline.identify_language, corpus_pipeline.drop_exact_copies, corpus_pipeline.drop_near_copies, corpus_pipeline.mix_sources):
+        assert "without" in inspect.getdoc(stage)
