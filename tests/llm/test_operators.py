@@ -422,3 +422,12 @@ def test_stages_need_ids_of_their_own(spark, small):
     assert None not in mixed
     for stage in (corpus_pipeline.identify_language, corpus_pipeline.drop_exact_copies, corpus_pipeline.drop_near_copies, corpus_pipeline.mix_sources):
         assert "without" in inspect.getdoc(stage)
+
+
+def test_training_bounds_are_in_the_readme():
+    from pathlib import Path
+
+    told = (Path(__file__).resolve().parents[2] / "README.md").read_text()
+    for name in ("TRAINING_ROWS", "TRAINING_WORDS", "LONGEST_WORD"):
+        assert f"language_id.{name}" in told
+    assert f"{language_id.TRAINING_WORDS:,}" in told and f"({language_id.LONGEST_WORD})" in told
