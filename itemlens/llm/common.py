@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import sys
 import tempfile
 import uuid
@@ -27,19 +28,44 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """spark.checkpoint.dir; only where driver and executors are one process (tests), a temporary folder may stand in for it."""
+    top = spark.conf.get("spark.checkpoint.dir", None)
+    if top:
+        return top.rstrip("/")
+    if not re.fullmatch(r"local(\[[^,]*\])?", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir is not set: a folder that the driver and all executors share is needed")
+    return tempfile.gettempdir()
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
     """df, written as a Parquet table below spark.checkpoint.dir and read again; later jobs do not depend on executors.
 
-    checkpoint() would store Java-serialised rows, several times as large.  Where the setting is
-    absent (tests), a temporary folder serves.
+    checkpoint() would store Java-serialised rows, several times as large.
     """
     spark = df.sparkSession
-    top = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    path = f"{top.rstrip('/')}/itemlens-{spark.sparkContext.applicationId}/{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/itemlens-{spark.sparkContext.applicationId}/{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def ranked(df: DataFrame, *keys: str, name: str = "name") -> DataFrame:
+    """df, written, with the rank of each row in the order of keys, from 1: the same however many partitions there are.
+
+    Rows are dealt by ranges of their keys and numbered within them; the rows of each range are
+    counted, and the counts of the ranges before are added (one row for each range).
+    """
+    dealt = df.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("_at", F.monotonically_increasing_id())
+    kept = checkpointed(dealt.withColumn("_range", F.shiftright("_at", 33)).withColumn("_at", F.col("_at").bitwiseAND(F.lit((1 << 33) - 1))))
+    counts = sorted((r["_range"], r["n"]) for r in kept.groupBy("_range").agg(F.count("*").alias("n")).collect())
+    starts, total = [], 0
+    for part, n in counts:
+        starts.append((part, total))
+        total += n
+    before = df.sparkSession.createDataFrame(starts, "_range long, _before long")
+    return kept.join(F.broadcast(before), "_range").withColumn(name, F.col("_before") + F.col("_at") + 1).select(*df.columns, name)
+
+
 def discard(*tables: DataFrame) -> None:
     """Delete tables that checkpointed() wrote and that nothing will read any more."""
     for df in tables:
@@ -103,7 +129,7 @@ def lookup_join(rows: DataFrame, lookup: DataFrame, key: str, weight: str, sprea
 
 
 #: Links that one task joins; beyond that, components are found by rounds over all executors.
-ONE_TASK_LINKS = 4_000_000
+ONE_TASK_LINKS = 1_000_000
 
 
 def forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

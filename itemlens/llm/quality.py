@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import common
-from .textkernel import _BYTE, segments_hash
+from .textkernel import segments_hash
 
 FEATURE_BITS = 18
 #: Labelled rows that training uses, at most: those of the smallest hash of their doc_id.
@@ -41,9 +41,7 @@ def features(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     begins = kind > 0
     begins[1:] &= kind[1:] != kind[:-1]
     starts = np.flatnonzero(begins)
-    values = _BYTE.copy()
-    values[[9, 10, 11, 12, 13, 32]] = 0
-    one = segments_hash(data, starts, values)
+    one = segments_hash(data, starts)
     ends = np.cumsum([len(t) + 1 for t in texts])
     first = np.append(0, np.searchsorted(starts, ends))
     with np.errstate(over="ignore"):

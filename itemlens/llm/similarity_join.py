@@ -1,22 +1,25 @@
 """Exact near-duplicate join by Jaccard similarity of word shingles, over token-combination prefixes.
 
-Every text is the set of its distinct 5-word shingles, here called tokens.  Copies with equal
-sets are folded into one representative first.  Tokens are put in one global order, rare ones
-first, with the frequencies of a count sketch taken over all texts.  Two sets of similarity t or
-more miss at most |x| - ceil(t |x|) tokens of x, so they meet within a prefix of that order:
+Every text is the set of its distinct 5-word shingles, here called tokens: 64-bit hashes.  Copies
+with equal sets are folded into one representative first.  Tokens are put in one global order, rare
+ones first, with the frequencies of a count sketch taken over all texts.  Two sets of similarity t
+or more miss at most |x| - ceil(t |x|) tokens of x, so they meet within a prefix of that order:
 
 * rare tokens are indexed alone,
-* frequent tokens fall into CLASSES classes and are indexed by pairs of one class; each class
-  may then lose one more token, so the prefix is extended by one token for each class it uses,
-* a set too small to spare that extension indexes its plain prefix token by token, and sets
-  near that size do both, so that every pair of sizes has one way in common.
+* frequent tokens fall into classes and are indexed by pairs of one class; each class may then lose
+  one more token, so the prefix is extended by one token for each class it uses,
+* a set has as many classes, up to CLASSES, as its size affords (a power of two), and is also
+  indexed by the numbers of classes of its smallest possible partner, so that every pair of sizes
+  has one number in common.  Only sets of one or two tokens have no class.
 
 Sets that share a signature and may have similar sizes are chained, not paired, so a signature
-costs the size of its group and not its square.  The chains' components are families; all pairs
-that share a signature lie within one.  Each family's texts come together once and are compared
-exactly, by bit rows or postings, only as far as they are not yet linked.  A family beyond a block's
-size is compared in blocks that share a few pivots; what the pivots do not tie to the rest is then
-compared with every block.  No candidate is dropped.
+costs the size of its group and not its square; each task folds its own rows of a signature to a
+few for each size first, so no signature is large after the shuffle.  The chains' components are
+families; all pairs that share a signature lie within one.  A family beyond a block's size is
+indexed again by its own frequencies, which sets aside what all its texts share.  Each family's
+texts come together once and are compared exactly, by bit rows or postings, only as far as they are
+not yet linked.  What is still large is compared in blocks that share a few pivots; what the pivots
+do not tie to the rest is then compared with every block.  No candidate is dropped.
 """
 
 from __future__ import annotations
@@ -34,14 +37,20 @@ from pyspark.sql import functions as F
 from . import common
 from .textkernel import mix64, shingle_sets
 
-#: Cells of the count sketch; its size does not depend on the input.  A task's own counts stop at 255.
-SKETCH_CELLS = 1 << 24
+#: Bits of a cell's number in the count sketch: enough for about 16 tokens a cell, between these.  Counts have no upper end.
+LEAST_CELL_BITS, MOST_CELL_BITS = 22, 25
+#: Steps for each doubling in which counts are told apart when tokens are ordered.
+STEPS = 1000
 #: A token is frequent if its cell holds this many more sets than the mean cell has, in standard deviations, and FREQUENT_LEAST.
 FREQUENT_SIGMAS, FREQUENT_LEAST = 8.0, 64
-#: Classes of frequent tokens, each indexed by pairs.
+#: Classes of frequent tokens, each indexed by pairs; small sets have fewer.
 CLASSES = 64
+#: Signatures that a task folds at once.
+FOLD_ROWS = 1 << 20
+#: How often a family that exceeds a block is indexed by its own frequencies.
+REFINEMENTS = 3
 #: A family's block has about this many sets and bytes of text at most.
-BLOCK_SETS, BLOCK_BYTES = 2048, 8 << 20
+BLOCK_SETS, BLOCK_BYTES = 1024, 8 << 20
 PIVOTS = 8
 #: Bit rows of a block up to this size; postings beyond.
 DENSE_BYTES = 64 << 20
@@ -70,56 +79,109 @@ def set_keys(docs: DataFrame) -> DataFrame:
     return common.map_arrow(docs.select("doc_id", "text"), run, "doc_id long, n_shingles long, set_key binary")
 
 
-def _cells(tokens: np.ndarray) -> np.ndarray:
-    return (mix64(tokens) >> np.uint64(40)).astype(np.int64) % SKETCH_CELLS
+def _cells(tokens: np.ndarray, cells: int) -> np.ndarray:
+    return (mix64(tokens) >> np.uint64(32)).astype(np.int64) % cells
 
 
-def _packed_counts(counts: np.ndarray) -> bytes:
-    """One bit for each cell in use, then the few counts above one; most cells of a task hold none or one."""
-    above = np.flatnonzero(counts > 1).astype(np.uint32)
+def _packed_counts(low: np.ndarray, at: np.ndarray, carry: np.ndarray) -> bytes:
+    """Counts low + 256 carry (at: the cells with a carry): one bit for each cell in use, then the few counts above one, then the carries."""
+    above = np.flatnonzero(low > 1).astype(np.uint32)
     gaps = np.diff(above, prepend=np.uint32(0)).astype(np.uint32)
-    return zlib.compress(np.uint32(len(above)).tobytes() + np.packbits(counts > 0).tobytes() + gaps.tobytes() + counts[above].tobytes(), 1)
+    head = np.array([len(above), len(at)], np.uint32)
+    parts = (head, np.packbits(low > 0), gaps, low[above], at.astype(np.uint32), carry.astype(np.uint64))
+    return zlib.compress(b"".join(p.tobytes() for p in parts), 1)
 
 
 def _unpacked_counts(data: bytes, width: int) -> np.ndarray:
     raw = zlib.decompress(data)
-    n = int(np.frombuffer(raw, np.uint32, 1)[0])
-    out = np.unpackbits(np.frombuffer(raw, np.uint8, width // 8, 4))
-    above = np.cumsum(np.frombuffer(raw, np.uint32, n, 4 + width // 8))
-    out[above] = np.frombuffer(raw, np.uint8, n, 4 + width // 8 + 4 * n)
+    n, carries = map(int, np.frombuffer(raw, np.uint32, 2))
+    out = np.unpackbits(np.frombuffer(raw, np.uint8, width // 8, 8)).astype(np.uint64)
+    end = 8 + width // 8
+    above = np.cumsum(np.frombuffer(raw, np.uint32, n, end))
+    out[above] = np.frombuffer(raw, np.uint8, n, end + 4 * n)
+    end += 5 * n
+    at = np.frombuffer(raw, np.uint8, 4 * carries, end).view(np.uint32)
+    out[at] += np.frombuffer(raw, np.uint8, 8 * carries, end + 4 * carries).view(np.uint64) << np.uint64(8)
     return out
 
 
-def count_sketch(texts: DataFrame) -> np.ndarray:
-    """How many sets hold a token of each cell, over all texts: SKETCH_CELLS counts (65535 at most), whatever the input's size."""
-    blocks, width = 64, SKETCH_CELLS // 64
+def step_of(count):
+    """A count as a step on a logarithmic scale; counts below STEPS have steps of their own."""
+    return np.floor(np.log2(1.0 + count) * STEPS).astype(np.uint16)
+
+
+def _sets(batch: pa.RecordBatch, limit: int = common.CHUNK_BYTES):
+    """(first row, sets) of a batch's texts in runs; with a column `family`, each family's tokens are apart from all others."""
+    family = batch.schema.get_field_index("family")
+    own = None if family < 0 else mix64(batch.column(family).to_numpy(zero_copy_only=False).view(np.uint64))
+    for first, chunk in common.utf8_chunks(_row(batch, "text"), limit):
+        sets = shingle_sets(chunk)
+        yield first, sets if own is None else [mix64(s ^ own[first + i]) for i, s in enumerate(sets)]
+
+
+def cell_count(tokens: int) -> int:
+    """Cells for an input whose sets have so many members altogether."""
+    return 1 << min(MOST_CELL_BITS, max(LEAST_CELL_BITS, (tokens // 16).bit_length()))
+
+
+def count_sketch(texts: DataFrame, cells: int) -> np.ndarray:
+    """How many sets hold a token of each cell, over all texts, as steps (step_of)."""
+    blocks, width = 64, cells // 64
 
     def run(batches):
-        counts = np.zeros(SKETCH_CELLS, np.uint8)
+        low, carries = np.zeros(cells, np.uint8), []
         for batch in batches:
-            for _, chunk in common.utf8_chunks(_row(batch, "text")):
-                cells, n = np.unique(_cells(np.concatenate(shingle_sets(chunk))), return_counts=True)
-                counts[cells] = np.minimum(counts[cells] + n, 255)
-        if counts.any():
-            yield pa.RecordBatch.from_arrays([pa.array(range(blocks), pa.int32()), pa.array([_packed_counts(p) for p in counts.reshape(blocks, width)], pa.binary())], ["block", "counts"])
+            for _, sets in _sets(batch):
+                at, n = np.unique(_cells(np.concatenate(sets), cells), return_counts=True)
+                n += low[at]
+                low[at] = n & 255
+                if (over := n >> 8).any():
+                    carries.append((at[over > 0], over[over > 0]))
+        at, carry = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        if carries:
+            at, place = np.unique(np.concatenate([a for a, _ in carries]), return_inverse=True)
+            carry = np.zeros(len(at), np.int64)
+            np.add.at(carry, place, np.concatenate([c for _, c in carries]))
+        if low.any() or len(at):
+            ends = np.searchsorted(at, np.arange(blocks + 1) * width)
+            rows = [_packed_counts(p, at[a:b] - k * width, carry[a:b]) for k, (p, a, b) in enumerate(zip(low.reshape(blocks, width), ends[:-1], ends[1:], strict=True))]
+            yield pa.RecordBatch.from_arrays([pa.array(range(blocks), pa.int32()), pa.array(rows, pa.binary())], ["block", "counts"])
 
     def add(batches):
-        totals = {}
+        block, total = None, None
+        one = lambda: pa.RecordBatch.from_arrays([pa.array([block], pa.int32()), pa.array([step_of(total).tobytes()], pa.binary())], ["block", "counts"])
         for batch in batches:
-            for block, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                total = totals.setdefault(block, np.zeros(width, np.uint32))
+            for b, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                if b != block:
+                    if block is not None:
+                        yield one()
+                    block, total = b, np.zeros(width, np.uint64)
                 total += _unpacked_counts(v, width)
-        if totals:
-            yield pa.RecordBatch.from_arrays([pa.array(totals, pa.int32()), pa.array([np.minimum(t, 65535).astype(np.uint16).tobytes() for t in totals.values()], pa.binary())], ["block", "counts"])
+        if block is not None:
+            yield one()
 
     parts = texts.mapInArrow(run, "block int, counts binary")
-    merged = parts.repartition("block").mapInArrow(add, "block int, counts binary")
+    merged = parts.repartition("block").sortWithinPartitions("block").mapInArrow(add, "block int, counts binary")
     out = np.zeros((blocks, width), np.uint16)
     for row in merged.toLocalIterator():
         out[row["block"]] = np.frombuffer(row["counts"], np.uint16)
     return out.ravel()
 
 
+def class_counts(n: int, num: int, den: int) -> list[int]:
+    """The numbers of classes by which a set of n tokens is indexed: what it affords, down to what its smallest partner affords."""
+
+    def most(size: int) -> int:
+        able = min(CLASSES, size * num // den - 1)
+        return 1 << able.bit_length() - 1 if able > 0 else 0
+
+    c, least, out = most(n), most(-(-n * num // den)), []
+    while c > least:
+        out.append(c)
+        c //= 2
+    return [*out, least]
+
+
 def prefix_signatures(tokens: np.ndarray, weight: np.ndarray, frequent: np.ndarray, num: int, den: int) -> np.ndarray:
     """Signatures of one set.  tokens: its distinct hashes; weight: their sketch counts; frequent: a mask; t = num/den.
 
@@ -129,13 +191,14 @@ def prefix_signatures(tokens: np.ndarray, weight: np.ndarray, frequent: np.ndarr
     order = np.lexsort((tokens, weight))
     tokens, frequent = tokens[order], frequent[order]
     missing = n - -(-n * num // den)
-    # Classes pay one token each: a set of this size or more can always afford them all.
-    spare = -(-(CLASSES + 1) * den // num)
+    if not frequent.any():
+        return mix64(tokens[: missing + 1])
     out = []
-    if n * num <= spare * den:
-        out.append(tokens[: missing + 1])
-    if n >= spare:
-        kind = np.where(frequent, (tokens % np.uint64(CLASSES)).astype(np.int64), -1)
+    for classes in class_counts(n, num, den):
+        if not classes:
+            out.append(mix64(tokens[: missing + 1]))
+            continue
+        kind = np.where(frequent, (tokens % np.uint64(classes)).astype(np.int64), -1)
         first_of_class = np.zeros(n, bool)
         _, at = np.unique(kind, return_index=True)
         first_of_class[at] = True
@@ -148,29 +211,68 @@ def prefix_signatures(tokens: np.ndarray, weight: np.ndarray, frequent: np.ndarr
             i, j = np.triu_indices(len(own), 1)
             with np.errstate(over="ignore"):
                 out.append(mix64(own[i] * np.uint64(0xA24BAED4963EE407) + own[j]))
-    return np.concatenate(out)
+    return np.unique(np.concatenate(out))
+
+
+def folded(sig: np.ndarray, ids: np.ndarray, n: np.ndarray, num: int, den: int) -> tuple:
+    """(rows that stand for all rows of their signature, links (a, b) among the rest of them).
+
+    Rows of one signature are chained by size; of each size class, narrower than the similarity
+    asks for, the first and the last row stay.  A row of another task that could be linked with one
+    that went meets the ends of its class.
+    """
+    order = np.lexsort((ids, n, sig))
+    sig, ids, n = sig[order], ids[order], n[order]
+    same = sig[1:] == sig[:-1]
+    near = same & (ids[1:] != ids[:-1]) & (den * n[:-1].astype(np.int64) >= num * n[1:].astype(np.int64))
+    size = np.floor(np.log(n) / np.log(den / num) * 2).astype(np.int32)
+    first = np.append(True, ~(same & (size[1:] == size[:-1])))
+    stays = first | np.append(first[1:], True)
+    return (sig[stays], ids[stays], n[stays]), _distinct_pairs(ids[:-1][near], ids[1:][near])
+
+
+def _distinct_pairs(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    pairs = np.stack([np.minimum(a, b), np.maximum(a, b)], 1)
+    pairs = pairs[np.lexsort((pairs[:, 1], pairs[:, 0]))]
+    return pairs[np.append(True, (pairs[1:] != pairs[:-1]).any(1))] if len(pairs) else pairs
 
 
 def signatures(texts: DataFrame, shared: Broadcast, mean: float, num: int, den: int) -> DataFrame:
-    """(sig, id, n) of every text (doc_id, text).  shared: the count sketch; mean: of its cells."""
-    limit = max(FREQUENT_LEAST, mean + FREQUENT_SIGMAS * np.sqrt(mean))
+    """(sig, id, n, other) of texts (doc_id, text, [family]): signatures, and with n = -1 links of id and other.
 
-    def run(batch):
-        ids = batch.column(0).to_numpy(zero_copy_only=False)
-        for first, chunk in common.utf8_chunks(_row(batch, "text"), common.CHUNK_BYTES // 2):
-            sigs, of, sizes = [], [], []
-            for i, s in enumerate(shingle_sets(chunk)):
-                if len(s):
-                    weight = shared.value[_cells(s)]
-                    sigs.append(prefix_signatures(s, weight, weight >= limit, num, den))
-                    of.append(np.full(len(sigs[-1]), ids[first + i], np.int64))
-                    sizes.append(np.full(len(sigs[-1]), len(s), np.int32))
-            if sigs:
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.concatenate(sigs).view(np.int64)), pa.array(np.concatenate(of)), pa.array(np.concatenate(sizes))], ["sig", "id", "n"]
-                )
-
-    return common.map_arrow(texts.select("doc_id", "text"), run, "sig long, id long, n int")
+    shared: the count sketch; mean: of its cells, as a count.
+    """
+    limit = int(step_of(max(FREQUENT_LEAST, mean + FREQUENT_SIGMAS * np.sqrt(mean))))
+    schema = pa.schema([("sig", pa.int64()), ("id", pa.int64()), ("n", pa.int32()), ("other", pa.int64())])
+
+    def run(batches):
+        held, rows = [], 0
+
+        def flush():
+            (sig, ids, n), links = folded(*(np.concatenate(c) for c in zip(*held, strict=True)), num, den)
+            yield pa.RecordBatch.from_arrays([pa.array(sig.view(np.int64)), pa.array(ids), pa.array(n), pa.nulls(len(n), pa.int64())], schema=schema)
+            if len(links):
+                a, b = links[:, 0].copy(), links[:, 1].copy()
+                yield pa.RecordBatch.from_arrays([pa.array(mix64(a.view(np.uint64)).view(np.int64)), pa.array(a), pa.array(np.full(len(a), -1, np.int32)), pa.array(b)], schema=schema)
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            ids = batch.column(batch.schema.get_field_index("doc_id")).to_numpy(zero_copy_only=False)
+            for first, sets in _sets(batch, common.CHUNK_BYTES // 2):
+                for i, s in enumerate(sets):
+                    if len(s):
+                        weight = shared.value[_cells(s, len(shared.value))]
+                        sig = prefix_signatures(s, weight, weight >= limit, num, den)
+                        held.append((sig, np.full(len(sig), ids[first + i], np.int64), np.full(len(sig), len(s), np.int32)))
+                        rows += len(sig)
+                if rows >= FOLD_ROWS:
+                    yield from flush()
+                    held, rows = [], 0
+        if held:
+            yield from flush()
+
+    return texts.mapInArrow(run, "sig long, id long, n int, other long")
 
 
 def in_bitmap(ids: DataFrame, column: str, bits: int = BITMAP_BITS):
@@ -214,18 +316,18 @@ def chains(sigs: DataFrame, num: int, den: int) -> DataFrame:
     def run(batches):
         last = None
         for batch in batches:
-            if not batch.num_rows:
-                continue
             sig, ids, n = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(3))
+            if (known := n < 0).any():
+                yield pa.RecordBatch.from_arrays([pa.array(ids[known]), batch.column(3).filter(pa.array(known))], ["a", "b"])
+                sig, ids, n = sig[~known], ids[~known], n[~known]
+            if not len(sig):
+                continue
             if last is not None:
                 sig, ids, n = (np.append(x, y) for x, y in zip(last, (sig, ids, n), strict=True))
             last = (sig[-1:], ids[-1:], n[-1:])
             near = (sig[1:] == sig[:-1]) & (ids[1:] != ids[:-1]) & (den * n[:-1].astype(np.int64) >= num * n[1:].astype(np.int64))
             if near.any():
-                pairs = np.stack([ids[:-1][near], ids[1:][near]], 1)
-                pairs.sort(1)
-                pairs = pairs[np.lexsort((pairs[:, 1], pairs[:, 0]))]
-                pairs = pairs[np.append(True, (pairs[1:] != pairs[:-1]).any(1))]
+                pairs = _distinct_pairs(ids[:-1][near], ids[1:][near])
                 yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0].copy()), pa.array(pairs[:, 1].copy())], ["a", "b"])
 
     return parts.mapInArrow(run, "a long, b long")
@@ -310,18 +412,35 @@ def _compare(groups: DataFrame, keys: list[str], num: int, den: int) -> DataFram
     return dealt.mapInArrow(run, "a long, b long")
 
 
-def jaccard_links(texts: DataFrame, num: int, den: int) -> DataFrame:
-    """Links (a, b) that span every component of the graph of pairs with similarity num/den or more.
+def candidates(texts: DataFrame, tokens: int, num: int, den: int) -> DataFrame:
+    """(id, component): the families of texts (doc_id, text, [family]) that share signatures; texts that share none are absent.
 
-    texts: (doc_id, text), no two with the same set.
+    tokens: about how many members the sets have altogether, for the size of the sketch.
     """
-    sketch = count_sketch(texts)
-    mean = float(sketch.mean())
+    cells = cell_count(tokens)
+    sketch = count_sketch(texts, cells)
     shared = texts.sparkSession.sparkContext.broadcast(sketch)
     del sketch
-    near = common.checkpointed(chains(signatures(texts, shared, mean, num, den), num, den).distinct())
+    near = common.checkpointed(chains(signatures(texts, shared, tokens / cells, num, den), num, den).distinct())
     shared.destroy()
-    family = common.checkpointed(common.components(near))
+    found = common.checkpointed(common.components(near))
+    common.discard(near)
+    return found
+
+
+def _large(rows: DataFrame) -> DataFrame:
+    """(family, sets, blocks) of the families that exceed a block; at most one for each block of the input."""
+    sized = rows.groupBy("family").agg(F.count("*").alias("sets"), F.sum(F.octet_length("text")).alias("bytes"))
+    blocks = F.greatest(F.ceil(F.col("sets") / BLOCK_SETS), F.ceil(F.col("bytes") / BLOCK_BYTES))
+    return common.checkpointed(sized.withColumn("blocks", blocks).where("blocks > 1").select("family", "sets", "blocks"))
+
+
+def jaccard_links(texts: DataFrame, num: int, den: int, tokens: int) -> DataFrame:
+    """Links (a, b) that span every component of the graph of pairs with similarity num/den or more.
+
+    texts: (doc_id, text), no two with the same set; tokens: how many members the sets have altogether.
+    """
+    family = candidates(texts, tokens, num, den)
     keyed = texts.select(F.col("doc_id").alias("id"), "text")
     if family.count() <= BROADCAST_IDS:
         member = keyed.join(F.broadcast(family), "id")
@@ -329,12 +448,21 @@ def jaccard_links(texts: DataFrame, num: int, den: int) -> DataFrame:
         # Only texts of some family are shuffled.
         member = keyed.where(in_bitmap(family, "id")).join(family, "id")
     rows = common.checkpointed(member.select("id", "text", F.col("component").alias("family")))
-    sized = rows.groupBy("family").agg(F.count("*").alias("sets"), F.sum(F.octet_length("text")).alias("bytes"))
-    blocks = F.greatest(F.ceil(F.col("sets") / BLOCK_SETS), F.ceil(F.col("bytes") / BLOCK_BYTES))
-    # Few families need blocks: at most one for each block of the input.
-    large = common.checkpointed(sized.withColumn("blocks", blocks).where("blocks > 1").select("family", "blocks"))
+    large = _large(rows)
+    for _ in range(REFINEMENTS):
+        if large.isEmpty():
+            break
+        before = large.agg(F.sum("sets")).first()[0]
+        apart = rows.join(large, "family", "left_semi")
+        finer = candidates(apart.withColumnRenamed("id", "doc_id"), before * 256, num, den)
+        again = common.checkpointed(apart.drop("family").join(finer, "id").select("id", "text", F.col("component").alias("family")))
+        rows = rows.join(large, "family", "left_anti").select("id", "text", "family").unionByName(again)
+        large = _large(again)
+        if (large.agg(F.sum("sets")).first()[0] or 0) > 0.9 * before:
+            break
     if large.isEmpty():
         return common.checkpointed(_compare(rows, ["family"], num, den))
+    large = large.select("family", "blocks")
     small = _compare(rows.join(large, "family", "left_anti"), ["family"], num, den)
     cut = rows.join(large, "family").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
     pivots = _pivots(rows.join(large, "family"))
@@ -387,7 +515,8 @@ def similarity_classes(docs: DataFrame, num: int = 3, den: int = 4) -> DataFrame
         # Of the whole texts, only those that may be copies are shuffled to find out.
         whole = whole.withColumn("doubt", in_bitmap(others.withColumnRenamed("doc_id", "id"), "doc_id"))
         texts = whole.where("not doubt").drop("doubt").unionByName(whole.where("doubt").drop("doubt").join(others, "doc_id", "left_anti"))
-    links = jaccard_links(texts, num, den)
+    tokens = keys.agg(F.sum("n_shingles")).first()[0] or 0
+    links = jaccard_links(texts, num, den, tokens)
     member = common.checkpointed(common.lookup_join(keys, copies, "set_key", "copies", F.col("doc_id")))
     same = member.where("rep <> doc_id").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     twice = keys.where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id")

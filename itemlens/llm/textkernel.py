@@ -6,8 +6,9 @@ import numpy as np
 
 SHINGLE_WORDS = 5
 _ODD = np.uint64(0x9E3779B97F4A7C15)
-_BASE = np.uint64(0xD1342543DE82EF95)
 _JOIN = np.uint64(0xA24BAED4963EE407)
+#: Bytes of a word that have a table row each; longer words are hashed in runs of as many bytes.
+PLACES = 64
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
@@ -19,31 +20,34 @@ def mix64(x: np.ndarray) -> np.ndarray:
         return x ^ (x >> np.uint64(31))
 
 
-_BYTE = mix64(np.arange(256, dtype=np.uint64) + np.uint64(1)) | np.uint64(1)
 _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
-_BYTE_OR_0 = np.where(_SPACE, np.uint64(0), _BYTE)
+#: A number for each byte at each place, unrelated to all others; white space counts nothing.
+_TABLE = mix64(mix64(np.arange(PLACES * 256, dtype=np.uint64) + np.uint64(1)))
+_TABLE.reshape(PLACES, 256)[:, _SPACE] = 0
 
 
-def _powers(n: int) -> np.ndarray:
-    out = np.full(n, _BASE, np.uint64)
-    out[0] = 1
-    with np.errstate(over="ignore"):
-        return np.cumprod(out, dtype=np.uint64)
-
-
-_POWERS = _powers(1024)
-
+def segments_hash(data: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """A hash of each run of bytes from one start to the next; white space at a run's end does not count.
 
-def segments_hash(data: np.ndarray, starts: np.ndarray, values: np.ndarray) -> np.ndarray:
-    """A hash of each run of bytes from one start to the next; values: by byte, 0 for bytes that do not count."""
+    A run's hash is the sum of the table's numbers of its bytes at their places, so no algebra ties
+    the places to each other; of longer runs, the hashes of their parts are mixed with the part's
+    number before they are added.
+    """
     if not len(starts):
         return np.zeros(0, np.uint64)
     lengths = np.diff(np.append(starts, len(data)))
-    place = np.arange(starts[0], len(data)) - np.repeat(starts, lengths)
-    powers = _POWERS if (longest := int(lengths.max())) <= len(_POWERS) else _powers(longest)
+    begin, body = starts - starts[0], data[starts[0] :]
+    place = np.arange(len(body)) - np.repeat(begin, lengths)
+    if int(lengths.max()) <= PLACES:
+        return mix64(np.add.reduceat(_TABLE[(place << 8) | body], begin))
+    part = np.flatnonzero(place % PLACES == 0)
+    sums = np.add.reduceat(_TABLE[((place % PLACES) << 8) | body], part)
+    number = (place[part] // PLACES).astype(np.uint64)
     with np.errstate(over="ignore"):
-        return mix64(np.add.reduceat(values[data[starts[0] :]] * powers[place], starts - starts[0]))
+        later = mix64(sums ^ mix64(number * _JOIN))
+        sums = np.where(number == 0, sums, np.where(sums == 0, np.uint64(0), later))
+        return mix64(np.add.reduceat(sums, np.searchsorted(part, begin)))
 
 
 def words(texts: list[bytes], lower: bool = True) -> tuple[np.ndarray, np.ndarray]:
@@ -55,7 +59,7 @@ def words(texts: list[bytes], lower: bool = True) -> tuple[np.ndarray, np.ndarra
     begins[1:] &= space[:-1]
     starts = np.flatnonzero(begins)
     ends = np.cumsum([len(t) + 1 for t in texts])
-    return segments_hash(data, starts, _BYTE_OR_0), np.append(0, np.searchsorted(starts, ends))
+    return segments_hash(data, starts), np.append(0, np.searchsorted(starts, ends))
 
 
 def shingle_sets(texts: list[bytes], k: int = SHINGLE_WORDS) -> list[np.ndarray]:

@@ -12,6 +12,7 @@ import pytest
 
 from itemlens.llm import chat, common, exact_dedup, fingerprints, html_text, language_id, mixing, packing, pii, quality, similarity_join
 from itemlens.llm.textkernel import shingle_sets
+from itemlens.llm.textkernel import words as hashed_words
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, name string, key string, id long"
@@ -74,6 +75,8 @@ def closure(sets, num=3, den=4):
 def test_similarity_classes(docs, block, monkeypatch):
     monkeypatch.setattr(similarity_join, "BLOCK_SETS", block)
     monkeypatch.setattr(similarity_join, "BROADCAST_IDS", 300_000 if block > 6 else -1)
+    monkeypatch.setattr(similarity_join, "FREQUENT_LEAST", 64 if block > 6 else 4)
+    monkeypatch.setattr(similarity_join, "FOLD_ROWS", 1 << 20 if block > 6 else 50)
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in similarity_join.similarity_classes(docs).collect()}
     sets = {r[0]: shingles(r[1]) for r in awkward()}
     roots = closure(sets)
@@ -94,7 +97,7 @@ def test_prefix_signatures_meet(seed):
     universe = list(range(1, 3000))
     weight = {t: r.choice([1, 2, 3, 500, 900]) for t in universe}
     for _ in range(60):
-        n = r.choice([1, 2, 3, 8, 40, 86, 87, 88, 116, 117, 200, 400])
+        n = r.choice([1, 2, 3, 4, 5, 8, 11, 12, 16, 23, 40, 44, 58, 86, 87, 88, 116, 117, 200, 400])
         x = set(r.sample(universe, n))
         y = set(x)
         for _ in range(r.randint(0, n // 6)):
@@ -394,19 +397,75 @@ def test_empty_tables(spark, empty):
     assert all(d.collect() == [] for d in made)
 
 
+def test_short_sets_use_combinations():
+    tokens = np.arange(1, 31, dtype=np.uint64)
+    every = np.ones(30, bool)
+    sigs = set(similarity_join.prefix_signatures(tokens, np.full(30, 900), every, 3, 4).tolist())
+    assert sigs and not sigs & set(similarity_join.mix64(tokens).tolist())
+    assert similarity_join.class_counts(2, 3, 4) == [0] and similarity_join.class_counts(87, 3, 4) == [64, 32]
+
+
 def test_packed_counts():
-    counts = np.random.default_rng(1).poisson(0.4, 4096).astype(np.uint8)
-    counts[7] = 255
-    assert (similarity_join._unpacked_counts(similarity_join._packed_counts(counts), 4096) == counts).all()
-    nothing = np.zeros(64, np.uint8)
-    assert (similarity_join._unpacked_counts(similarity_join._packed_counts(nothing), 64) == nothing).all()
-
-
-def test_sketch_counts_sets(docs):
-    texts = docs.where("text is not null").select("doc_id", "text")
-    got = similarity_join.count_sketch(texts.repartition(3))
-    tokens = np.concatenate(shingle_sets([r[1].encode() for r in awkward() if r[1] is not None]))
-    assert (got == np.bincount(similarity_join._cells(tokens), minlength=similarity_join.SKETCH_CELLS)).all()
+    r = np.random.default_rng(1)
+    low = r.poisson(0.4, 4096).astype(np.uint8)
+    low[7] = 255
+    at, carry = np.array([3, 7, 4095]), np.array([1, 2**40, 300])
+    want = low.astype(np.uint64)
+    want[at] += carry.astype(np.uint64) * np.uint64(256)
+    assert (similarity_join._unpacked_counts(similarity_join._packed_counts(low, at, carry), 4096) == want).all()
+    nothing, none = np.zeros(64, np.uint8), np.zeros(0, np.int64)
+    assert (similarity_join._unpacked_counts(similarity_join._packed_counts(nothing, none, none), 64) == nothing).all()
+
+
+def test_sketch_counts_sets(docs, spark):
+    cells = 1 << 12
+    for texts in ([r[1] for r in awkward() if r[1] is not None], ["a b c d e f"] * 700 + ["x y"]):
+        rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+        got = similarity_join.count_sketch(rows.repartition(3), cells)
+        tokens = np.concatenate(shingle_sets([t.encode() for t in texts]))
+        want = np.bincount(similarity_join._cells(tokens, cells), minlength=cells)
+        assert (got == similarity_join.step_of(want)).all()
+    assert similarity_join.step_of(1e13) > similarity_join.step_of(1e13 * 0.99) and len(set(similarity_join.step_of(np.arange(1000)).tolist())) == 1000
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_folding_keeps_groups_together(seed):
+    r = np.random.default_rng(seed)
+    n = r.integers(3, 4000, 600).astype(np.int32)
+    ids, sig, task = np.arange(600), r.integers(0, 4, 600).astype(np.uint64), r.integers(0, 5, 600)
+
+    def chained(sig, ids, n, links):
+        order = np.lexsort((ids, n, sig))
+        sig, ids, n = sig[order], ids[order], n[order]
+        near = (sig[1:] == sig[:-1]) & (4 * n[:-1].astype(int) >= 3 * n[1:].astype(int))
+        parent = {i: i for i in range(600)}
+
+        def root(x):
+            while parent[x] != x:
+                x = parent[x]
+            return x
+
+        for a, b in [*links, *zip(ids[:-1][near].tolist(), ids[1:][near].tolist(), strict=True)]:
+            a, b = root(int(a)), root(int(b))
+            parent[max(a, b)] = min(a, b)
+        return [root(i) for i in range(600)]
+
+    kept, links = [], []
+    for t in range(5):
+        rows, pairs = similarity_join.folded(sig[task == t], ids[task == t], n[task == t], 3, 4)
+        kept.append(rows)
+        links += pairs.tolist()
+    assert chained(*(np.concatenate(c) for c in zip(*kept, strict=True)), links) == chained(sig, ids, n, [])
+    assert sum(len(k[0]) for k in kept) < 600
+
+
+def test_words_of_one_pattern_do_not_collide():
+    a = "0"
+    for _ in range(10):
+        a += a.translate(str.maketrans("01", "10"))
+    x, y = a.translate(str.maketrans("01", "ab")), a.translate(str.maketrans("01", "ba"))
+    hashes, _ = hashed_words([x.encode(), y.encode(), b"q" * 64, b"q" * 64 + b"   ", b"z" * 200, b"z" * 200 + b" " * 300])
+    assert hashes[0] != hashes[1] and hashes[2] == hashes[3] and hashes[4] == hashes[5]
 
 
 def test_stages_need_ids_of_their_own(spark, small):
