@@ -1,9 +1,10 @@
 """Exact duplicates by deterministic block naming.
 
-A text is cut into blocks of a fixed number of characters.  Distinct blocks are sorted and named
-by integers; then the names of adjacent blocks are paired, distinct pairs sorted and named in
-turn, until every text is one name.  Names stand for contents, never for hashes of them, so two
-texts get one name only if they are equal.
+A text is cut into blocks of a fixed number of characters.  Distinct blocks are sorted, by a digest
+of 64 bits and then by content, and named by their rank; then the names of adjacent blocks are
+paired, distinct pairs sorted and named in turn, until every text is one name.  Names stand for
+contents, never for hashes of them: blocks of one digest with different contents are told apart, so
+two texts get one name only if they are equal.  Names do not depend on how rows are dealt.
 """
 
 from __future__ import annotations
@@ -22,46 +23,50 @@ def normalised(text: Column) -> Column:
     return F.translate(F.coalesce(text, F.lit("")), UPPER, LOWER)
 
 
-def _named(distinct: DataFrame, *keys: str) -> DataFrame:
-    """Distinct keys in sorted order within their partitions, each with a positive integer name."""
-    return distinct.sortWithinPartitions(*keys).withColumn("name", F.monotonically_increasing_id() + 1)
+def _blocks(block_chars: int) -> Column:
+    """The blocks of a normalised column `text` as an array; an empty text has one empty block."""
+    count = F.greatest(F.lit(1), F.ceil(F.length("text") / block_chars)).cast("int")
+    many = F.transform(F.sequence(F.lit(0), count - 1), lambda i: F.substring(F.col("text"), i * block_chars + 1, F.lit(block_chars)))
+    return F.when(count == 1, F.array("text")).otherwise(many)
+
+
+def digest(block: Column) -> Column:
+    return F.xxhash64(block)
 
 
 def block_rows(docs: DataFrame, key: str, block_chars: int) -> DataFrame:
-    """(key, pos, left, block, digest): the `left` blocks of each normalised text; an empty text has one empty block."""
-    text = normalised(F.col("text"))
-    count = F.greatest(F.lit(1), F.ceil(F.length(text) / block_chars)).cast("int")
-    cut = docs.select(key, text.alias("text"), count.alias("count"))
-    whole = F.array(F.struct(F.lit(0).alias("pos"), F.col("text").alias("block")))
-    many = F.transform(
-        F.sequence(F.lit(0), F.col("count") - 1),
-        lambda i: F.struct(i.alias("pos"), F.substring(F.col("text"), i * block_chars + 1, F.lit(block_chars)).alias("block")),
-    )
-    rows = cut.select(key, F.col("count").alias("left"), F.explode(F.when(F.col("count") == 1, whole).otherwise(many)).alias("b"))
-    return rows.select(key, "b.pos", "left", "b.block", F.xxhash64("b.block").alias("digest"))
-
-
-def block_names(docs: DataFrame, key: str, block_chars: int = BLOCK_CHARS) -> DataFrame:
+    """(key, pos, left, block, digest): the `left` blocks of each normalised text."""
+    cut = docs.select(key, normalised(F.col("text")).alias("text")).select(key, _blocks(block_chars).alias("blocks"))
+    rows = cut.select(key, F.size("blocks").alias("left"), F.posexplode("blocks").alias("pos", "block"))
+    return rows.select(key, "pos", "left", "block", digest(F.col("block")).alias("digest"))
+
+
+def block_names(docs: DataFrame, key: str, block_chars: int = BLOCK_CHARS, digests: DataFrame | None = None) -> DataFrame:
     """(key, level, name) for each row of docs (key unique, text): the text's identity.
 
     Contents move through one shuffle, folded on the map side; a digest brings each name back to its
     blocks, and only blocks whose digest stands for several contents are compared by content again.
+    digests: (key, digests) of all rows, if known.
     """
-    rows = block_rows(docs, key, block_chars)
-    contents = rows.groupBy("digest", "block").agg(F.count("*").alias("uses"))
-    names = common.checkpointed(_named(contents, "block").select("digest", "name", "uses", "block"))
-    by_digest = common.checkpointed(
-        names.groupBy("digest").agg(F.min("name").alias("name"), F.count("*").alias("contents"), F.sum("uses").alias("uses"))
-    )
+    if digests is None:
+        cut = docs.select(key, normalised(F.col("text")).alias("text"))
+        digests = cut.select(key, F.transform(_blocks(block_chars), digest).alias("digests"))
+    contents = common.checkpointed(block_rows(docs, key, block_chars).groupBy("digest", "block").agg(F.count("*").alias("uses")).select("digest", "uses"))
+    by_digest = contents.groupBy("digest").agg(F.count("*").alias("contents"), F.sum("uses").alias("uses"))
+    clash = common.checkpointed(by_digest.where("contents > 1").select("digest"))
+    sure = by_digest.where("contents = 1").select("digest", F.lit(None).cast("string").alias("block"), "uses")
+    unsure = block_rows(docs, key, block_chars).join(clash, "digest", "left_semi") if not clash.isEmpty() else None
+    if unsure is not None:
+        sure = sure.unionByName(unsure.groupBy("digest", "block").agg(F.count("*").alias("uses")))
+    names = common.ranked(sure, "digest", "block")
     place = [key, "pos", "left"]
-    found = common.lookup_join(rows.select(*place, "digest"), by_digest, "digest", "uses", F.col(key))
-    level = found.where("contents = 1").select(*place, "name")
-    clash = by_digest.where("contents > 1").select("digest")
-    if not clash.isEmpty():
-        again = rows.join(clash, "digest", "left_semi").join(names.select("digest", "block", "name"), ["digest", "block"])
-        level = level.unionByName(again.select(*place, "name"))
+    rows = digests.select(key, F.size("digests").alias("left"), F.posexplode("digests").alias("pos", "digest"))
+    by_name = common.checkpointed(names.where("block is null").select("digest", "name", "uses"))
+    level = common.lookup_join(rows.select(*place, "digest"), by_name, "digest", "uses", F.col(key)).where("name is not null").select(*place, "name")
+    if unsure is not None:
+        level = level.unionByName(unsure.join(names.where("block is not null").select("digest", "block", "name"), ["digest", "block"]).select(*place, "name"))
     level = common.checkpointed(level)
-    common.discard(names)
+    common.discard(contents, clash, names, by_name)
     done, step = [], 0
     while True:
         done.append(level.where("left = 1").select(key, F.lit(step).alias("level"), "name"))
@@ -73,8 +78,9 @@ def block_names(docs: DataFrame, key: str, block_chars: int = BLOCK_CHARS) -> Da
         pairs = common.checkpointed(pairs)
         if pairs.isEmpty():
             break
-        named = common.checkpointed(_named(pairs.groupBy("pair").agg(F.count("*").alias("uses")), "pair"))
+        named = common.ranked(pairs.groupBy("pair").agg(F.count("*").alias("uses")), "pair")
         level = common.checkpointed(common.lookup_join(pairs, named, "pair", "uses", F.col(key)).select(*place, "name"))
+        common.discard(pairs, named)
         step += 1
     out = done[0]
     for part in done[1:]:
@@ -94,11 +100,12 @@ def exact_duplicates(docs: DataFrame, block_chars: int = BLOCK_CHARS) -> DataFra
     if not _unique(docs):
         # Repeated ids: number the rows within their text's copies of the id.
         docs = common.checkpointed(docs.withColumn("row", F.monotonically_increasing_id()))
-    names = block_names(docs, "row", block_chars)
-    identity = common.checkpointed(
-        docs.select("row", "doc_id", F.sha2(normalised(F.col("text")), 256).alias("text_sha256"))
-        .join(names, "row").select("doc_id", F.struct("level", "name").alias("identity"), "text_sha256")
-    )
+    # One scan for the digests of blocks and of the whole text.
+    cut = docs.select("row", "doc_id", normalised(F.col("text")).alias("text"))
+    marked = common.checkpointed(cut.select("row", "doc_id", F.sha2("text", 256).alias("text_sha256"), F.transform(_blocks(block_chars), digest).alias("digests")))
+    names = block_names(docs, "row", block_chars, marked.select("row", "digests"))
+    identity = common.checkpointed(marked.join(names, "row").select("doc_id", F.struct("level", "name").alias("identity"), "text_sha256"))
+    common.discard(marked)
     groups = common.checkpointed(identity.groupBy("identity").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"), F.count("*").alias("uses")))
     out = common.lookup_join(identity, groups, "identity", "uses", F.coalesce(F.col("doc_id"), F.lit(0)))
     return out.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")

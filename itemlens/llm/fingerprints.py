@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import base64
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -13,18 +14,28 @@ from . import common
 from .textkernel import mix64, shingle_sets
 
 BINS, BITS = 512, 4
-#: Rows of one bucket of neighbouring ids, about.
-BUCKET_ROWS = 5000
+#: Rows of one range of neighbouring ids, about, and how many ranges there are at most; rows of a range are read as a stream, however many.
+RANGE_ROWS, MOST_RANGES = 5000, 20_000
+#: Texts with so few bins in use choose among those; others ask bin after bin.
+FEW_BINS = 24
 _EMPTY = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
-def _donors(attempt: int, bins: int) -> np.ndarray:
-    """The bin that each empty bin asks at its attempt-th try: a hash of both, the same for all texts."""
-    return (mix64(np.arange(bins, dtype=np.uint64) * np.uint64(65537) + np.uint64(attempt)) >> np.uint64(20)).astype(np.int64) % bins
+@cache
+def _donors(bins: int) -> tuple[np.ndarray, np.ndarray]:
+    """The order in which each bin, if empty, asks all others for a value, and its inverse: the same for all texts."""
+    keys = mix64(np.arange(bins * bins, dtype=np.uint64) + np.uint64(65537)).reshape(bins, bins)
+    order = np.argsort(keys, axis=1).astype(np.int16)
+    rank = np.empty_like(order)
+    np.put_along_axis(rank, order, np.arange(bins, dtype=np.int16)[None, :], 1)
+    return order, rank
 
 
 def sketch(sets: list[np.ndarray], bins: int = BINS, bits: int = BITS) -> np.ndarray:
-    """One row of `bins` low-order values for each sorted set of hashes; zeros for an empty set."""
+    """One row of `bins` low-order values for each sorted set of hashes; zeros for an empty set.
+
+    An empty bin takes the value of the first bin of its order that is not empty.
+    """
     low = np.full((len(sets), bins), _EMPTY)
     rows = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
     if len(rows):
@@ -34,17 +45,21 @@ def sketch(sets: list[np.ndarray], bins: int = BINS, bits: int = BITS) -> np.nda
         first = np.append(True, at[1:] != at[:-1])
         low.ravel()[at[first]] = mix64(hashes[first]) >> np.uint64(1)
     filled = low != _EMPTY
-    todo = np.flatnonzero(filled.any(1) & ~filled.all(1))
-    source, open_ = low.copy(), ~filled
-    attempt = 0
-    while len(todo):
-        donors = _donors(attempt, bins)
-        take = open_[todo] & filled[todo][:, donors]
-        low[todo] = np.where(take, source[todo][:, donors], low[todo])
-        open_[todo] &= ~take
-        todo = todo[open_[todo].any(1)]
-        attempt += 1
-    low[~filled.any(1)] = 0
+    held = filled.sum(1)
+    order, rank = _donors(bins)
+    for r in np.flatnonzero((held > 0) & (held <= FEW_BINS)):
+        own = np.flatnonzero(filled[r])
+        open_ = np.flatnonzero(~filled[r])
+        low[r, open_] = low[r, own[rank[np.ix_(open_, own)].argmin(1)]]
+    row, bin_ = np.nonzero(~filled & (held > FEW_BINS)[:, None])
+    for asked in order.T:
+        if not len(row):
+            break
+        donor = asked[bin_]
+        hit = filled[row, donor]
+        low[row[hit], bin_[hit]] = low[row[hit], donor[hit]]
+        row, bin_ = row[~hit], bin_[~hit]
+    low[held == 0] = 0
     return (low & np.uint64((1 << bits) - 1)).astype(np.uint8)
 
 
@@ -83,10 +98,10 @@ def edited_fingerprints(docs: DataFrame, bins: int = BINS, bits: int = BITS) ->
     """Each text's fingerprint beside that of its edited text and of the next text by doc_id.
 
     The edit replaces the last floor(n_chars / 4) code points by the first as many (or all) of the
-    next document, after the last the first.  Ids are cut into ranges at quantiles; the first row
+    next document, after the last the first.  Ids are cut into ranges by a sample; the first row
     of each range also serves, as a guest, at the end of the range before, so that no range needs
-    another one and texts move once.  Rows that repeat a doc_id follow each other by text.  An empty
-    table gives no rows; a single row is its own next one.  Likeness with an empty text is 0, of
+    another one and texts move once.  Rows that repeat a doc_id follow each other by text; null
+    doc_ids come before all others.  An empty table gives no rows; a single row is its own next one.  Likeness with an empty text is 0, of
     two empty texts 1.
     """
     docs = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63))).alias("key"), F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
@@ -94,9 +109,11 @@ def edited_fingerprints(docs: DataFrame, bins: int = BINS, bits: int = BITS) ->
     rows = docs.count()
     if not rows:
         return docs.sparkSession.createDataFrame([], schema)
-    ranges = max(1, min(200_000, rows // BUCKET_ROWS))
-    cuts = docs.agg(F.percentile_approx("key", [i / ranges for i in range(ranges)], 100 * ranges).alias("c"), F.min("key").alias("m")).first()
-    bounds = np.unique(np.array([cuts["m"], *cuts["c"]], np.int64))
+    ranges = max(1, min(MOST_RANGES, rows // RANGE_ROWS))
+    # One row for each range comes back: its smallest id.
+    dealt = docs.select("key").repartitionByRange(ranges, "key")
+    starts = dealt.groupBy(F.spark_partition_id().alias("range")).agg(F.min("key").alias("least")).collect()
+    bounds = np.unique(np.array([r["least"] for r in starts], np.int64))
 
     @F.pandas_udf("struct<part: int, first: boolean>")
     def place(ids):

@@ -25,6 +25,8 @@ END_ID = 0
 TOKENIZER = "byte_bpe_50k.json"
 #: Pieces of one length and rank bucket, about.
 BUCKET_ROWS = 2_000
+#: Patterns that are broadcast; each length adds four at most, so 1024 tokens stay below.
+MOST_PATTERNS = 8_192
 #: Rows that a worker turns into Python objects at once.
 SLICE_ROWS = 500
 
@@ -33,10 +35,15 @@ _PLAIN = re.compile(r"[^\x09\x0a\x0d\x20-\x7e\xa1-ɏ‐-‧‰-⁞]")
 
 
 class Encoder:
-    """Token ids of texts.  The fast library encodes plain Latin text, whose ids are the same; the other one all else."""
+    """Token ids of texts, those of the reference encoder as it is loaded: added tokens in a text are read as such.
+
+    The fast library encodes plain Latin text that holds no added token, with the same ids; the
+    reference encoder all else.
+    """
 
     def __init__(self, tokenizer: str = TOKENIZER):
         import base64
+        import json
         import os
 
         import public_tokenizers
@@ -49,6 +56,9 @@ class Encoder:
         self.fast = None
         ranks = tokenizer.replace(".json", ".tiktoken")
         if ranks in ("byte_bpe_50k.tiktoken",):
+            with open(public_tokenizers.path(tokenizer), encoding="utf-8") as file:
+                added = [t["content"] for t in json.load(file).get("added_tokens", [])]
+            self._added = re.compile("|".join(map(re.escape, added)) or r"(?!)")
             with open(public_tokenizers.path(ranks), "rb") as lines:
                 table = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
             self.fast = tiktoken.Encoding("plain", pat_str=public_tokenizers.PATTERN, mergeable_ranks=table, special_tokens={})
@@ -58,11 +68,10 @@ class Encoder:
         """The reference encoder, a hundred megabytes that only a worker with such text loads."""
         if self._exact is None:
             self._exact = self._load()
-            self._exact.encode_special_tokens = True
         return self._exact
 
     def __call__(self, text: str) -> list[int]:
-        if self.fast is not None and not _PLAIN.search(text):
+        if self.fast is not None and not _PLAIN.search(text) and not self._added.search(text):
             return self.fast.encode_ordinary(text)
         return self.exact.encode(text, add_special_tokens=False).ids
 
@@ -152,16 +161,18 @@ def packed(docs: DataFrame, size: int = SEQUENCE_TOKENS, tokenizer: str = TOKENI
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset.
 
     Null and empty texts are one piece of END_ID alone; repeated rows are packed each; pieces tie
-    by doc_id, start and checksum, and equal pieces are interchangeable.  An empty table gives no rows.
+    by doc_id, start and checksum, and equal pieces are interchangeable.  A null doc_id is packed like
+    any other and stays null.  An empty table gives no rows.
     """
     parts = common.checkpointed(pieces(docs, size, tokenizer))
     counts = {r["length"]: r["n"] for r in parts.groupBy("length").agg(F.count("*").alias("n")).collect()}
     if not counts:
         return parts.withColumns({"sequence_id": F.lit(0).cast("long"), "offset": F.lit(0).cast("long")})
-    places = slots(parts.sparkSession, pack_histogram(counts, size))
+    patterns = pack_histogram(counts, size)
+    places = slots(parts.sparkSession, patterns)
     with_rank = ranked(parts, counts, ["doc_id", "start", "ids_crc32"])
     # Slots grow with the number of distinct lengths (at most `size`) and patterns, not with the documents.
-    at = F.broadcast(places)
+    at = F.broadcast(places) if len(patterns) <= MOST_PATTERNS else places
     out = with_rank.join(at, (with_rank["length"] == at["length"]) & (F.col("rank") >= F.col("first")) & (F.col("rank") < F.col("last")))
     return out.select(
         "doc_id", "start", with_rank["length"], "ids_crc32", "doc_tokens", (F.col("sequence") + F.col("rank") - F.col("first")).alias("sequence_id"), "offset"

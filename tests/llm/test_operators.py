@@ -11,7 +11,7 @@ import numpy as np
 import pytest
 
 from itemlens.llm import chat, common, exact_dedup, fingerprints, html_text, language_id, mixing, packing, pii, quality, similarity_join
-from itemlens.llm.textkernel import shingle_sets
+from itemlens.llm.textkernel import mix64, shingle_sets
 from itemlens.llm.textkernel import words as hashed_words
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -168,34 +168,69 @@ def test_exact_duplicates(docs):
 
 
 def test_exact_duplicates_with_colliding_digests(docs, monkeypatch):
-    real = exact_dedup.block_rows
-    monkeypatch.setattr(exact_dedup, "block_rows", lambda *a: real(*a).withColumn("digest", exact_dedup.F.length("block").cast("long") % 3))
+    monkeypatch.setattr(exact_dedup, "digest", lambda block: exact_dedup.F.length(block).cast("long") % 3)
     texts = {r[0]: lower(r[1]) for r in awkward()}
     got = exact_dedup.exact_duplicates(docs, 50).collect()
-    assert all(g["keep_id"] == max(i for i, t in texts.items() if t == texts[g["doc_id"]]) for g in got)
+    assert len(got) == len(texts) and all(g["keep_id"] == max(i for i, t in texts.items() if t == texts[g["doc_id"]]) for g in got)
 
 
-def test_packing(docs):
-    encode = packing.Encoder()
+def test_block_names_do_not_depend_on_partitions(spark, docs):
+    want = None
+    for n in (3, 8):
+        spark.conf.set("spark.sql.shuffle.partitions", n)
+        got = sorted((r["doc_id"], r["level"], r["name"]) for r in exact_dedup.block_names(docs.repartition(n), "doc_id", 50).collect())
+        want = want or got
+        assert got == want
+    spark.conf.set("spark.sql.shuffle.partitions", 4)
+    assert len({(level, name) for _, level, name in got}) == len({lower(r[1]) for r in awkward()})
+
+
+def test_exact_duplicates_with_null_and_repeated_ids(spark):
+    rows = [(1, "Same"), (1, "same"), (None, "SAME"), (None, None), (None, ""), (4, "other"), (4, "same")]
+    got = sorted(((r["doc_id"], r["keep_id"], r["group_size"], r["kept"]) for r in exact_dedup.exact_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()), key=str)
+    want = [(1, 4, 4, False), (1, 4, 4, False), (None, 4, 4, False), (None, None, 2, True), (None, None, 2, True), (4, 4, 1, True), (4, 4, 4, True)]
+    assert got == sorted(want, key=str)
+
+
+def test_shared_folder_is_needed_on_a_cluster():
+    from types import SimpleNamespace as fake
+
+    unset = lambda master: fake(conf=fake(get=lambda k, d=None: d), sparkContext=fake(master=master))
+    assert common.shared_folder(unset("local[8]")) and common.shared_folder(unset("local"))
+    for master in ("local-cluster[3,2,1024]", "yarn", "spark://host:7077"):
+        with pytest.raises(ValueError):
+            common.shared_folder(unset(master))
+
+
+def reference_ids():
+    """A fresh encoder, as the contract words it."""
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    encoder = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    return lambda text: encoder.encode(text, add_special_tokens=False).ids
+
+
+def test_packing(spark):
+    encode = reference_ids()
+    rows = [(r[0], r[1]) for r in awkward()] + [(500, "a <|endoftext|> b"), (501, "<|endoftext|>" * 40), (600, "twice the same"), (600, "twice the same"), (None, "without an id")]
+    docs = spark.createDataFrame([(*r, 7) for r in rows], "doc_id long, text string, length int")
     got = packing.packed(docs, 64).collect()
-    by_doc, by_seq = collections.defaultdict(list), collections.defaultdict(list)
+    want, by_seq = collections.Counter(), collections.defaultdict(list)
+    for doc_id, text in rows:
+        ids = np.array([*(encode(text) if text else []), 0], "<u4")
+        want.update((doc_id, at, min(64, len(ids) - at), zlib.crc32(ids[at : at + 64].tobytes()), len(ids)) for at in range(0, len(ids), 64))
+    assert collections.Counter((g["doc_id"], g["start"], g["length"], g["ids_crc32"], g["doc_tokens"]) for g in got) == want
     for g in got:
-        by_doc[g["doc_id"]].append(g)
         by_seq[g["sequence_id"]].append((g["offset"], g["length"]))
-    for doc_id, text, *_ in awkward():
-        ids = np.array([*(encode(text) if text else []), 0], "<u4")
-        at = 0
-        for g in sorted(by_doc[doc_id], key=lambda g: g["start"]):
-            assert g["start"] == at and g["doc_tokens"] == len(ids)
-            assert g["ids_crc32"] == zlib.crc32(ids[at : at + g["length"]].tobytes())
-            at += g["length"]
-        assert at == len(ids)
     for parts in by_seq.values():
         at = 0
         for offset, length in sorted(parts):
             assert offset == at
             at += length
         assert at <= 64
+    tokens = sum(g["length"] for g in got)
+    assert len(by_seq) * 64 < tokens * 1.1 + 64
 
 
 def test_pack_histogram_holds_everything():
@@ -209,14 +244,37 @@ def test_pack_histogram_holds_everything():
     assert held == counts
 
 
-def test_encoders_agree(docs):
-    encode = packing.Encoder()
-    for text in ["a b  c\n\n d", "don't <|endoftext|> 123,456", "été ß — “quotes”  x", "😀 中文 ж", "x" * 300]:
-        assert encode(text) == encode.exact.encode(text, add_special_tokens=False).ids
+def test_encoders_agree():
+    encode, exact = packing.Encoder(), reference_ids()
+    for text in ["a b  c\n\n d", "don't <|endoftext|> 123,456", "<|endoftext|>", "x<|endoftext|><|endoftext|>y", "<|endoftext", "été ß — “quotes”  x", "😀 中文 ж", "x" * 300]:
+        assert encode(text) == exact(text), text
+    assert exact("<|endoftext|>") == [50256]
+
+
+def test_fingerprints_with_null_and_repeated_ids(spark):
+    rows = [(None, "first text of all"), (3, "b " * 9), (3, "a " * 9), (None, None), (9, "last one")]
+    got = fingerprints.edited_fingerprints(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    chain = [(None, ""), (None, "first text of all"), (3, "a " * 9), (3, "b " * 9), (9, "last one")]
+    want = collections.Counter()
+    for (i, t), (_, after) in zip(chain, chain[1:] + chain[:1], strict=True):
+        q = len(t) // 4
+        want[i, len(t), hashlib.sha256((t[: len(t) - q] + after[:q]).encode()).hexdigest()] += 1
+    assert collections.Counter((g["doc_id"], g["n_chars"], g["edited_sha256"]) for g in got) == want
+
+
+def test_empty_bins_ask_in_order():
+    order, _ = fingerprints._donors(512)
+    for k in (1, 3, 24, 25, 60, 400):
+        values = np.sort(mix64(np.arange(k, dtype=np.uint64) + np.uint64(1000 * k)))
+        got = fingerprints.sketch([values, values[:0]], 512, 8)[0]
+        first = {}
+        for v in values:
+            first.setdefault(int(v >> np.uint64(55)), int(mix64(np.array([v]))[0] >> np.uint64(1)) & 255)
+        assert got.tolist() == [first[next(int(d) for d in ([b] if b in first else order[b]) if int(d) in first)] for b in range(512)]
 
 
 def test_fingerprints(docs, monkeypatch):
-    monkeypatch.setattr(fingerprints, "BUCKET_ROWS", 7)
+    monkeypatch.setattr(fingerprints, "RANGE_ROWS", 7)
     got = {r["doc_id"]: r for r in fingerprints.edited_fingerprints(docs).collect()}
     rows = sorted(awkward())
     assert len(got) == len(rows)
