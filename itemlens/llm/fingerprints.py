@@ -43,7 +43,7 @@ def sketch(sets: list[np.ndarray], bins: int = BINS, bits: int = BITS) -> np.nda
         at = rows * bins + (hashes >> np.uint64(64 - bins.bit_length() + 1)).astype(np.int64)
         # Sets come sorted and bins are the hashes' top bits, so bins rise within each row.
         first = np.append(True, at[1:] != at[:-1])
-        low.ravel()[at[first]] = mix64(hashes[first]) >> np.uint64(1)
+        low.ravel()[at[first]] = hashes[first] >> np.uint64(1)
     filled = low != _EMPTY
     held = filled.sum(1)
     order, rank = _donors(bins)
@@ -59,6 +59,8 @@ def sketch(sets: list[np.ndarray], bins: int = BINS, bits: int = BITS) -> np.nda
         hit = filled[row, donor]
         low[row[hit], bin_[hit]] = low[row[hit], donor[hit]]
         row, bin_ = row[~hit], bin_[~hit]
+    # Each bin mixes in its own number, so that bins with one and the same value agree by chance each for itself.
+    low = mix64(low ^ (np.arange(bins, dtype=np.uint64) << np.uint64(32)))
     low[held == 0] = 0
     return (low & np.uint64((1 << bits) - 1)).astype(np.uint8)
 
