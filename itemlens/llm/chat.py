@@ -1,8 +1,13 @@
 """Chat formatting in budgeted windows, by DataFrame functions alone.
 
-Prefix sums of turn costs choose turn-aligned windows.  Each window starts with the
-conversation's system turn (where it has one), repeats a limited history before its own turns,
-and marks what the loss covers: the assistant texts among its own turns, never repeated ones.
+Prefix sums of turn costs choose turn-aligned windows: a window takes turns as long as they fit its
+budget together with what it repeats, the conversation's system turn (where it has one) and a
+limited history before its own turns.  The loss covers the assistant texts among a window's own
+turns, never repeated ones.  Only a single turn that is over the budget by itself makes a window
+that is; it then repeats the system turn alone.
+
+A token is four bytes of a turn as it is written, template and escapes included, rounded up for
+each turn: no DataFrame function runs a tokenizer, and written bytes can be checked.
 
 Template: `<role>text<end>` for each turn.  Inside roles and texts `~` is written `~0` and `<`
 is written `~1` (and `>` as `~2` in roles), so no text can hold a mark and the writing can be undone.
@@ -13,8 +18,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Cost of the own turns of a window, and of the history that is repeated before them.
+#: Tokens of a window, all that it repeats included, and of the history among them.
 WINDOW_TOKENS, HISTORY_TOKENS = 1024, 256
+TOKEN_BYTES = 4
 TURN_END = "<end>"
 
 
@@ -34,50 +40,69 @@ def unescaped_role(role: Column) -> Column:
     return unescaped(F.replace(role, F.lit("~2"), F.lit(">")))
 
 
-def cost(text: Column) -> Column:
-    """Tokens of a turn, estimated: a token for four bytes, and four for its marks."""
-    return F.ceil(F.octet_length(F.coalesce(text, F.lit(""))) / 4) + 4
+def _line(role: Column, text: Column) -> Column:
+    return F.concat(F.lit("<"), role, F.lit(">"), text, F.lit(TURN_END))
+
+
+def cost(role: Column, text: Column) -> Column:
+    """Tokens of a turn as it is written."""
+    return F.ceil(F.octet_length(_line(escaped_role(role), escaped(text))) / TOKEN_BYTES)
+
+
+def spans(rows: DataFrame, budget: int, history: int) -> DataFrame:
+    """(conv_id, window, first, last, start, system) from rows (conv_id, number, begin, cost, opens): own turns first..last.
+
+    What is repeated begins at turn `start`, before it the system turn (turn 1) where `system` says
+    so.  opens: whether a turn is the first and a system turn.
+    """
+    whole = Window.partitionBy("conv_id")
+    recent = whole.orderBy("begin").rangeBetween(-history, 0)
+    known = rows.withColumn("system", F.max(F.when(F.col("opens"), F.col("cost")).otherwise(0)).over(whole))
+    # The turns of the last `history` tokens before a turn, without the system turn.
+    start = F.greatest(F.min("number").over(recent), F.when(F.col("system") > 0, 2).otherwise(1))
+    known = known.withColumn("start", F.least(start, F.col("number"))).withColumn("past", F.col("begin") - F.greatest(F.min("begin").over(recent), F.col("system")))
+    fits = (F.col("number") > 1) & (F.col("system") + F.col("past") + F.col("cost") <= budget)
+    room = F.when(F.col("number") == 1, budget).otherwise(budget - F.col("system") - F.when(fits, F.col("past")).otherwise(0))
+    turn = F.struct(
+        "number", (F.col("begin") + F.col("cost")).alias("end"), (F.col("begin") + F.greatest(F.col("cost"), room)).alias("limit"), F.when(fits, F.col("start")).otherwise(F.col("number")).alias("start")
+    )
+    folded = known.groupBy("conv_id").agg(F.sort_array(F.collect_list(turn)).alias("turns"), (F.max("system") > 0).alias("system"))
+    opened = "array<struct<first: int, start: int>>"
+    none = F.struct(F.lit(-1).cast("long").alias("limit"), F.array().cast(opened).alias("windows"))
+
+    def step(state, t):
+        fresh = F.struct(t["limit"].alias("limit"), F.concat(state["windows"], F.array(F.struct(t["number"].alias("first"), t["start"].alias("start"))).cast(opened)).alias("windows"))
+        return F.when(t["end"] <= state["limit"], state).otherwise(fresh)
+
+    cut = folded.select("conv_id", "system", F.size("turns").alias("n"), F.aggregate("turns", none, step)["windows"].alias("windows"))
+    following = F.coalesce(F.get("windows", F.col("window") + 1)["first"] - 1, F.col("n"))
+    each = cut.select("conv_id", "system", "n", "windows", F.posexplode("windows").alias("window", "w"))
+    return each.select("conv_id", "window", F.col("w.first").alias("first"), following.alias("last"), F.col("w.start").alias("start"), (F.col("system") & (F.col("w.first") > 1)).alias("system"))
 
 
 def windows(turns: DataFrame, budget: int = WINDOW_TOKENS, history: int = HISTORY_TOKENS) -> DataFrame:
     """(conv_id, window, formatted, fresh_from, turns_in, loss): windows of all conversations.
 
     turns: conv_id, turn, role, text.  Turns are ordered by turn, then role, then text (nulls first);
-    null roles and texts are empty.  A turn belongs to the window in which its prefix sum of costs
-    starts, so a turn longer than the budget still is whole.  fresh_from: where the own turns start
-    in `formatted`, in code points from 1 (system turn and history before it are repeats); loss:
-    (start, length) of each trained text there.  Turns of a null conv_id form one conversation.
+    null roles and texts are empty; repeated rows are turns of their own.  fresh_from: where the own
+    turns start in `formatted`, in code points from 1 (system turn and history before it are
+    repeats); loss: (start, length) of each trained text there.  Turns of a null conv_id form one
+    conversation; a conversation's turn costs are folded in one row.  An empty table gives no rows.
     """
-    rows = turns.select(
-        "conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"), cost(F.col("text")).alias("cost")
-    )
-    order = [F.col("turn"), F.col("role"), F.col("text")]
-    w = Window.partitionBy("conv_id").orderBy(*order)
+    rows = turns.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text")).withColumn("cost", cost(F.col("role"), F.col("text")))
+    w = Window.partitionBy("conv_id").orderBy("turn", "role", "text")
     before = F.coalesce(F.sum("cost").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    placed = rows.withColumn("begin", before).withColumn("number", F.row_number().over(w)).withColumn("window", F.floor(F.col("begin") / budget))
-    system = F.when((F.col("number") == 1) & (F.col("role") == "system"), F.col("text"))
-    first = F.max(F.struct(F.when(F.col("number") == 1, 1).otherwise(0), system.alias("text"))).over(Window.partitionBy("conv_id"))["text"]
-    # Turns that end within `history` of the next window's start are repeated there; the first system turn comes by itself.
-    start = F.min("begin").over(Window.partitionBy("conv_id", "window"))
-    marked = placed.withColumn("system", first).withColumn("start", start).withColumn("last", F.max("begin").over(Window.partitionBy("conv_id")))
-    marked = marked.withColumn("end", F.col("start") + F.sum("cost").over(Window.partitionBy("conv_id", "window")))
-    is_system = (F.col("number") == 1) & F.col("system").isNotNull()
-    following = F.floor(F.col("end") / budget)
-    homes = F.when(
-        (F.col("end") - F.col("begin") <= history) & ~is_system & (F.col("end") <= F.col("last")),
-        F.array(F.struct(F.col("window").alias("home"), F.lit(True).alias("fresh")), F.struct(following.alias("home"), F.lit(False).alias("fresh"))),
-    ).otherwise(F.array(F.struct(F.col("window").alias("home"), F.lit(True).alias("fresh"))))
-    dealt = marked.select("conv_id", "number", "role", "text", "system", F.inline(homes))
-    turn = F.struct("number", "fresh", escaped_role(F.col("role")).alias("role"), escaped(F.col("text")).alias("text"))
-    grouped = dealt.groupBy("conv_id", F.col("home").alias("window")).agg(F.sort_array(F.collect_list(turn)).alias("turns"), F.first("system").alias("system"))
-    # The system turn is fresh only in the window that holds it.
-    has_first = F.exists("turns", lambda t: t["number"] == 1)
-    repeated = F.when(F.col("system").isNotNull() & ~has_first, F.concat(F.lit("<system>"), escaped(F.col("system")), F.lit(TURN_END))).otherwise("")
-    line = lambda t: F.concat(F.lit("<"), t["role"], F.lit(">"), t["text"], F.lit(TURN_END))
+    placed = rows.withColumn("begin", before).withColumn("number", F.row_number().over(w))
+    opens = (F.col("number") == 1) & (F.col("role") == "system")
+    found = spans(placed.select("conv_id", "number", "begin", "cost", opens.alias("opens")), budget, history)
+    held = F.concat(F.when(F.col("system"), F.array(F.lit(1))).otherwise(F.array().cast("array<int>")), F.sequence("start", "last"))
+    homes = found.select(F.col("conv_id").alias("conv"), "window", "first", F.explode(held).alias("at"))
+    met = placed.join(homes, F.col("conv_id").eqNullSafe(F.col("conv")) & (F.col("number") == F.col("at")))
+    turn = F.struct("number", (F.col("number") >= F.col("first")).alias("fresh"), escaped_role(F.col("role")).alias("role"), escaped(F.col("text")).alias("text"))
+    grouped = met.groupBy("conv_id", "window").agg(F.sort_array(F.collect_list(turn)).alias("turns"))
+    line = lambda t: _line(t["role"], t["text"])
     old, new = F.filter("turns", lambda t: ~t["fresh"]), F.filter("turns", lambda t: t["fresh"])
-    built = grouped.select(
-        "conv_id", "window", F.concat(repeated, F.array_join(F.transform(old, line), "")).alias("repeats"), new.alias("new")
-    )
+    built = grouped.select("conv_id", "window", F.array_join(F.transform(old, line), "").alias("repeats"), new.alias("new"))
     empty = F.struct(F.col("head").alias("at"), F.array().cast("array<struct<start: int, length: int>>").alias("loss"))
 
     def step(state, t):

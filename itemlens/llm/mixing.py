@@ -1,15 +1,21 @@
 """Mixing sources to target weights by entropy balancing.
 
-Of all ways to repeat documents that give each source its target, the one nearest to one copy
-each (by relative entropy over words) tilts the rates exponentially: rate = exp(multiplier of
-the source).  The multipliers maximise a concave dual; Newton steps on it need only sums per
-source, which are folded over the documents once and iterated as a table of sources.  Rates then
-become whole copies, longest documents first, each source carrying its rounding error on to
-shorter ones.
+A document can be taken at most twice: two copies, each in or out.  Of all rates (expected copies)
+that give each source its target of words, those nearest in entropy to a fair choice tilt the odds
+of each copy exponentially: rate = 2 / (1 + exp(-(multiplier of the source + slope * length))),
+where length is the centred log of the document's size.  The slope belongs to one more constraint,
+softened by a ridge: that the mix keeps the corpus's mean log length, word for word, so that a
+source's weight does not change how long the texts are.  Multipliers and slope maximise one concave
+dual.  Each Newton step sums gradient and curvature over the documents of every source on the
+executors; the slope's step follows from the sources' sums (a Schur complement), so only one row
+reaches the driver.  Rates then become whole copies, longest documents first, each source carrying
+its rounding error on to shorter ones.
 """
 
 from __future__ import annotations
 
+import math
+
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -21,7 +27,10 @@ SHARE = (3, 2)
 MOST_COPIES = 2
 #: Documents of one rounding group, about; a source of more is dealt out over several.
 GROUP_ROWS = 2_000
-NEWTON_STEPS = 64
+#: Newton steps at most, the longest step, and the gap (as a share of a target) at which they end.
+NEWTON_STEPS, LONGEST_STEP, SMALLEST_GAP = 60, 2.0, 1e-9
+#: The ridge on the slope, for each word of the mix.
+RIDGE = 0.05
 
 
 def word_count(text: Column) -> Column:
@@ -53,28 +62,83 @@ def source_targets(sizes: DataFrame) -> DataFrame:
     return levels.select("source", "source_size", "documents", target.alias("target"))
 
 
-def tilted_rates(targets: DataFrame, steps: int = NEWTON_STEPS) -> DataFrame:
-    """targets with `rate`: Newton steps on each source's multiplier m, where size * exp(m) must be the target."""
-    gap = lambda m: 1 - F.col("target") / (F.col("source_size") * F.exp(m))  # noqa: E731  gradient over curvature
-    solved = F.aggregate(F.sequence(F.lit(1), F.lit(steps)), F.lit(0.0), lambda m, _: m - F.least(F.lit(1.0), gap(m)))
-    return targets.withColumn("rate", F.when(F.col("source_size") > 0, F.least(F.lit(float(MOST_COPIES)), F.exp(solved))).otherwise(0.0))
+def length(size: Column, centre: float) -> Column:
+    return F.log(size.cast("double")) - F.lit(centre)
+
+
+def chance(multiplier: Column, slope: float, z: Column, full: Column) -> Column:
+    """Of each of a document's two copies; sources whose target is all they can give take both."""
+    return F.when(full, 1.0).otherwise(1 / (1 + F.exp(-(multiplier + F.lit(slope) * z))))
 
 
-def mixed(docs: DataFrame, extra: list[str] | None = None) -> DataFrame:
-    """One row per document: doc_id, source, size, source_size, target, copies, taken (copies times size), and `extra`.
+def balanced(sizes: DataFrame, targets: DataFrame) -> tuple[DataFrame, float, float]:
+    """(key, source_size, documents, target, full, multiplier) of each source, the slope, and the centre of lengths.
+
+    sizes: (source, size); targets: as source_targets gives them.  Equal sizes of a source are
+    counted once with their number, which changes no sum.
+    """
+    counted = sizes.where("size > 0").groupBy(F.struct("source").alias("key"), "size").agg(F.count("*").alias("n"))
+    cells = common.checkpointed(counted)
+    total = cells.agg(F.sum(F.col("n") * F.col("size")).alias("words"), F.sum(F.col("n") * F.col("size") * F.log("size")).alias("logs")).first()
+    centre = total["logs"] / total["words"] if total["words"] else 0.0
+    full = F.col("target") >= MOST_COPIES * F.col("source_size") * (1 - 1e-12)
+    state = common.checkpointed(targets.select(F.struct("source").alias("key"), "source_size", "documents", "target", full.alias("full"), F.lit(0.0).alias("multiplier")))
+    if not total["words"]:
+        return state, 0.0, centre
+    ridge = RIDGE * (targets.agg(F.sum("target")).first()[0] or 0.0)
+    slope = 0.0
+    names = state.columns
+    for _ in range(NEWTON_STEPS):
+        z, words = length(F.col("size"), centre), F.col("n") * F.col("size")
+        p = chance(F.col("multiplier"), slope, z, F.col("full"))
+        curve = F.when(F.col("full"), 0.0).otherwise(MOST_COPIES * words * F.col("p") * (1 - F.col("p")))
+        met = cells.join(state, "key").select(*names, z.alias("z"), p.alias("p"), words.alias("words"), "n", "size").withColumn("curve", curve)
+        sums = met.groupBy("key").agg(
+            *(F.first(c).alias(c) for c in names if c != "key"), F.sum(MOST_COPIES * F.col("words") * F.col("p")).alias("mixed"),
+            F.sum(MOST_COPIES * F.col("words") * F.col("p") * F.col("z")).alias("lean"), F.sum("curve").alias("h"), F.sum(F.col("curve") * F.col("z")).alias("hz"), F.sum(F.col("curve") * F.col("z") * F.col("z")).alias("hzz"),
+        )
+        sums = common.checkpointed(sums)
+        gap = F.when(F.col("full"), 0.0).otherwise(F.col("mixed") - F.col("target"))
+        steep = F.greatest(F.col("h"), F.lit(1e-9))
+        row = sums.agg(
+            F.max(F.abs(gap) / F.greatest(F.col("target"), F.lit(1.0))).alias("worst"), F.sum("lean").alias("lean"), F.sum("hzz").alias("hzz"),
+            F.sum(F.when(F.col("full"), 0.0).otherwise(F.col("hz") * gap / steep)).alias("cross"), F.sum(F.when(F.col("full"), 0.0).otherwise(F.col("hz") * F.col("hz") / steep)).alias("square"),
+        ).first()
+        pull = row["lean"] + ridge * slope
+        if row["worst"] <= SMALLEST_GAP and abs(pull) <= SMALLEST_GAP * max(1.0, ridge):
+            break
+        turn = -(pull - row["cross"]) / max(row["hzz"] + ridge - row["square"], 1e-9)
+        turn = max(-LONGEST_STEP / 2, min(LONGEST_STEP / 2, turn))
+        step = -(gap + F.col("hz") * F.lit(turn)) / steep
+        step = F.greatest(F.lit(-LONGEST_STEP), F.least(F.lit(LONGEST_STEP), step))
+        moved = sums.select(*(c for c in names if c != "multiplier"), (F.col("multiplier") + F.when(F.col("full"), 0.0).otherwise(step)).alias("multiplier"))
+        # Sources without words take no part.
+        state, slope = moved, slope + turn
+    else:
+        raise RuntimeError(f"the balance did not settle in {NEWTON_STEPS} steps")
+    still = targets.where("source_size = 0").select(F.struct("source").alias("key"), "source_size", "documents", "target", F.lit(False).alias("full"), F.lit(-math.inf).alias("multiplier"))
+    return sums.select(*names).unionByName(still), slope, centre
+
+
+def mixed(docs: DataFrame) -> DataFrame:
+    """One row per document: doc_id, source, size, source_size, target, copies, taken (copies times size).
 
     Null sources are one source; null and empty texts have size 0 and copies 0; equal rows are
-    treated alike but for rounding; the result does not depend on how rows are dealt.  No document
-    is taken more than twice.  An empty table gives no rows.
+    treated alike but for rounding; a null doc_id is mixed like any other; the result does not depend
+    on how rows are dealt.  No document is taken more than twice.  An empty table gives no rows.
     """
     sizes = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", word_count(F.col("text")).alias("size"))
     sizes = common.checkpointed(sizes)
-    rates = common.checkpointed(tilted_rates(source_targets(sizes)).withColumn("key", F.struct("source")))
+    targets = common.checkpointed(source_targets(sizes))
+    state, slope, centre = balanced(sizes, targets)
     parts = F.greatest(F.lit(1), F.ceil(F.col("documents") / GROUP_ROWS))
-    info = rates.select("key", "source_size", "target", "rate", parts.alias("parts"), "documents")
+    info = common.checkpointed(state.select("key", "source_size", "target", "multiplier", "full", parts.alias("parts"), "documents"))
     joined = common.lookup_join(sizes.withColumn("key", F.struct("source")), info, "key", "documents", F.col("doc_id"))
-    dealt = joined.withColumn("part", F.pmod(F.xxhash64("doc_id"), F.col("parts"))).drop("key", "parts")
-    grouped = dealt.repartition("source", "part").sortWithinPartitions("source", "part", F.col("size").desc(), F.xxhash64("doc_id"), "doc_id")
+    rate = F.when(F.col("size") > 0, MOST_COPIES * chance(F.col("multiplier"), slope, length(F.greatest(F.col("size"), F.lit(1)), centre), F.col("full"))).otherwise(0.0)
+    # Rounded, so that the order in which sums were added cannot tip a copy.
+    dealt = joined.withColumn("rate", F.round(rate, 6)).withColumn("part", F.pmod(F.xxhash64("doc_id", "size"), F.col("parts")))
+    columns = ["doc_id", "source", "size", "source_size", "target", "rate", "part"]
+    grouped = dealt.select(columns).repartition("source", "part").sortWithinPartitions("source", "part", F.col("size").desc(), F.xxhash64("doc_id"), "doc_id")
     return grouped.mapInArrow(_rounded, "doc_id long, source string, size long, source_size long, target double, copies long, taken long")
 
 

@@ -66,37 +66,40 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 #: The windows' costs, ranges and marks are those of chat.py, written out again in SQL.
 CHAT_SQL = """
-with turns as (
+with recursive turns as (
   select conv_id, turn, coalesce(role, '') as role, coalesce(text, '') as text from conversations
   union all select -7, 0, 'user', '</s>[INST] ok [/INST]'
   union all select -7, 1, 'assistant', '</s>[INST] ok [/INST]'
+), written as (
+  select *, concat('<', replace(replace(replace(role, '~', '~0'), '<', '~1'), '>', '~2'), '>', replace(replace(text, '~', '~0'), '<', '~1'), '<end>') as line from turns
 ), costed as (
-  select *, cast(ceil(strlen(text) / 4) + 4 as bigint) as cost, row_number() over (partition by conv_id order by turn, role, text) as number from turns
+  select *, cast(ceil(strlen(line) / 4.0) as bigint) as cost, length(line) as chars, row_number() over (partition by conv_id order by turn, role, text) as number from written
 ), placed as (
-  select *, coalesce(sum(cost) over (partition by conv_id order by number rows between unbounded preceding and 1 preceding), 0) as begins from costed
-), homes as (
-  select *, floor(begins / 1024) as home,
-         6 + length(replace(replace(replace(role, '~', '~0'), '<', '~1'), '>', '~2')) + 1 + length(replace(replace(text, '~', '~0'), '<', '~1')) as chars,
-         max(case when number = 1 and role = 'system' then 1 else 0 end) over (partition by conv_id) as has_system,
-         max(begins) over (partition by conv_id) as last
-  from placed
-), sized as (
-  select *, min(begins) over (partition by conv_id, home) + sum(cost) over (partition by conv_id, home) as ends from homes
+  select *, coalesce(sum(cost) over (partition by conv_id order by number rows between unbounded preceding and 1 preceding), 0)::bigint as begins,
+         max(case when number = 1 and role = 'system' then cost else 0 end) over (partition by conv_id) as sys
+  from costed
+), recent as (
+  select *, greatest(min(number) over near, case when sys > 0 then 2 else 1 end) as back, begins - greatest(min(begins) over near, sys) as past
+  from placed window near as (partition by conv_id order by begins range between 256 preceding and current row)
+), spans as materialized (
+  select *, begins + cost as ends, number > 1 and sys + past + cost <= 1024 as fits from recent
+), limits as materialized (
+  select conv_id, number, ends, chars, sys, case when fits then back else number end as start,
+         begins + greatest(cost, case when number = 1 then 1024 else 1024 - sys - case when fits then past else 0 end end) as most from spans
+), w as (
+  select conv_id, number as first, start, most from limits where number = 1
+  union all
+  select n.conv_id, n.number, n.start, n.most from w, lateral (select * from limits l where l.conv_id = w.conv_id and l.ends > w.most order by l.number limit 1) n
 ), repeats as (
-  select conv_id, sum(chars) as chars from sized
-  where ends - begins <= 256 and ends <= last and not (number = 1 and has_system = 1) group by conv_id
-), systems as (
-  select conv_id, sum(chars) as chars
-  from (select s.conv_id, s.chars, w.home from sized s join (select distinct conv_id, home from sized) w on w.conv_id = s.conv_id and w.home > s.home
-        where s.number = 1 and s.has_system = 1) group by conv_id
+  select w.conv_id, sum(l.chars) as chars from w join limits l on l.conv_id = w.conv_id and l.number < w.first and (l.number >= w.start or l.number = 1 and l.sys > 0) group by w.conv_id
 ), digests as (
   select conv_id, count(*) as n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' order by number)) as turns_sha256,
          cast(coalesce(sum(case when role = 'assistant' then length(text) end), 0) as bigint) as loss_chars,
          sha256(coalesce(string_agg(case when role = 'assistant' then text end, '' order by number), '')) as loss_sha256, sum(chars) as chars
-  from sized group by conv_id
+  from spans group by conv_id
 )
-select d.conv_id, d.n_turns, d.turns_sha256, d.loss_chars, d.loss_sha256, cast(d.chars + coalesce(r.chars, 0) + coalesce(s.chars, 0) as bigint) as formatted_chars
-from digests d left join repeats r on r.conv_id = d.conv_id left join systems s on s.conv_id = d.conv_id
+select d.conv_id, d.n_turns, d.turns_sha256, d.loss_chars, d.loss_sha256, cast(d.chars + coalesce(r.chars, 0) as bigint) as formatted_chars
+from digests d left join repeats r on r.conv_id = d.conv_id
 """
 
 

@@ -3,6 +3,7 @@
 import collections
 import hashlib
 import html
+import math
 import random
 import re
 import zlib
@@ -321,25 +322,84 @@ def test_mixing(docs):
     assert sorted(got) == sorted(mixing.mixed(docs.repartition(7)).collect())
 
 
+def test_balance_is_the_optimum_of_the_joint_dual(spark):
+    r = random.Random(4)
+    rows = [(s, r.randint(1, 40) * (9 if s == "b" else 1)) for s, n in (("a", 60), ("b", 50), (None, 40), ("d", 30)) for _ in range(n)]
+    sizes = spark.createDataFrame(rows, "source string, size long")
+    targets = mixing.source_targets(sizes)
+    state, slope, centre = mixing.balanced(sizes, targets)
+    got = {r["key"]["source"]: r for r in state.collect()}
+    size = np.array([x for _, x in rows], float)
+    z = np.log(size) - centre
+    assert abs((size * z).sum()) < 1e-6 * size.sum()
+    rate = np.array([2.0 if got[s]["full"] else 2 / (1 + np.exp(-(got[s]["multiplier"] + slope * x))) for (s, _), x in zip(rows, z, strict=True)])
+    total = 0.0
+    for s in got:
+        own = np.array([x == s for x, _ in rows])
+        total += got[s]["target"]
+        assert abs((rate * size)[own].sum() - got[s]["target"]) < 1e-6 * got[s]["target"]
+    # The slope's own equation, with its ridge; without a slope the mix would lean further.
+    assert abs((rate * size * z).sum() + mixing.RIDGE * total * slope) < 1e-6 * total
+    flat = np.array([min(2.0, got[s]["target"] / got[s]["source_size"]) for s, _ in rows])
+    assert abs(slope) > 0.01 and abs((rate * size * z).sum()) < 0.8 * abs((flat * size * z).sum())
+    assert all(got[t]["full"] or len({round(x, 6) for (s, _), x in zip(rows, rate, strict=True) if s == t}) > 5 for t in got)
+
+
+def test_mixing_with_null_and_repeated_ids(spark):
+    rows = [(None, "one two three", "a"), (None, "one two three", "a"), (1, "x " * 40, None), (1, "x " * 40, None), (2, None, "b"), (3, "y " * 9, "b")]
+    docs = spark.createDataFrame([(*r, 5) for r in rows], "doc_id long, text string, source string, size int")
+    got = mixing.mixed(docs).collect()
+    assert collections.Counter((g["doc_id"], g["source"], g["size"]) for g in got) == collections.Counter((i, s, len((t or "").split())) for i, t, s in rows)
+    assert all(g["taken"] <= 2 * g["size"] for g in got)
+
+
+def greedy_windows(turns, budget, history):
+    """(repeated turns, own turns) of each window, by a plain loop over turns (role, text, cost)."""
+    out, at = [], 0
+    system = turns[0][2] if turns[0][0] == "system" else 0
+    while at < len(turns):
+        back, past = at, 0
+        while back > (1 if system else 0) and past + turns[back - 1][2] <= history:
+            back -= 1
+            past += turns[back][2]
+        lead = system if at else 0
+        if lead + past + turns[at][2] > budget:
+            back, past = at, 0
+        used, end = lead + past + turns[at][2], at + 1
+        while end < len(turns) and used + turns[end][2] <= budget:
+            used += turns[end][2]
+            end += 1
+        out.append((([0] if lead else []) + list(range(back, at)), list(range(at, end)), used))
+        at = end
+    return out
+
+
 def test_chat(spark):
     rows = [(-7, 0, "user", "</s>[INST] ok [/INST]"), (-7, 1, "assistant", "</s>[INST] ok [/INST]"), (1, 0, "system", "be ~ kind <end>"), (2, None, None, None), (3, 1, "a>b~2", "x"), (3, 1, "a>b~2", "x")]
-    rows += [(1, i, ("user", "assistant")[i % 2], f"turn {i} <user> ~1 " * (i * 9)) for i in range(1, 14)] + [(None, 0, "assistant", "😀 é")]
-    turns = spark.createDataFrame([(*r, "extra") for r in rows], "conv_id long, turn long, role string, text string, window string")
-    made = chat.windows(turns, 300, 250)
-    got = {r["conv_id"]: r for r in chat.read_back(made).collect()}
+    rows += [(1, i, ("user", "assistant")[i % 2], f"turn {i} <user> ~1 " * (i * 9 % 60)) for i in range(1, 40)] + [(None, 0, "assistant", "😀 é")]
+    rows += [(4, i, ("user", "assistant")[i % 2], "word " * n) for i, n in enumerate([3, 700, 2, 2, 500, 1, 1, 1, 230, 40, 9, 9])] + [(5, 0, "system", "long " * 900), (5, 1, "user", "hi"), (5, 2, "assistant", "there")]
+    turns = spark.createDataFrame([(*r, "extra", 1) for r in rows], "conv_id long, turn long, role string, text string, window string, number int")
+    made = chat.windows(turns, 300, 100).collect()
+    got = {r["conv_id"]: r for r in chat.read_back(chat.windows(turns, 300, 100)).collect()}
     want = collections.defaultdict(list)
     for c, t, r, x in rows:
         want[c].append((-1 if t is None else t, r or "", x or ""))
     assert set(got) == set(want)
+    mark = lambda t: t.replace("~", "~0").replace("<", "~1")
     for c, turns_ in want.items():
         turns_.sort()
         text, loss = "".join(f"{r}\n{x}\n" for _, r, x in turns_), "".join(x for _, r, x in turns_ if r == "assistant")
         g = got[c]
         assert (g["n_turns"], g["turns_sha256"]) == (len(turns_), hashlib.sha256(text.encode()).hexdigest())
         assert (g["loss_chars"], g["loss_sha256"]) == (len(loss), hashlib.sha256(loss.encode()).hexdigest())
-    long = [r for r in made.collect() if r["conv_id"] == 1]
-    assert len(long) > 3 and all(r["formatted"].startswith("<system>be ~0 kind ~1end>") for r in long)
-    assert any(r["fresh_from"] > 1 + len("<system>be ~0 kind ~1end><end>") for r in long)
+        lines = [f"<{mark(r).replace('>', '~2')}>{mark(x)}<end>" for _, r, x in turns_]
+        plan = greedy_windows([(r, x, -(-len(line.encode()) // 4)) for (_, r, x), line in zip(turns_, lines, strict=True)], 300, 100)
+        own = sorted((r for r in made if r["conv_id"] == c), key=lambda r: r["window"])
+        assert [r["formatted"] for r in own] == ["".join(lines[k] for k in [*old, *new]) for old, new, _ in plan]
+        assert [(r["fresh_from"], r["turns_in"]) for r in own] == [(1 + sum(len(lines[k]) for k in old), len(new)) for old, new, _ in plan]
+        for r, (_, new, used) in zip(own, plan, strict=True):
+            assert used <= 300 and len(r["formatted"].encode()) <= 4 * 300 or len(new) == 1
+    assert any(len(old) > 2 for old, _, _ in greedy_windows([("user", "x", 60)] * 9, 300, 180))
 
 
 PAGE = """<!DOCTYPE html><html><head><title>t</title><script>var a="<p>no</p>";</script></head><body><header>Site</header><nav><ul><li><a href=x>Home</a></li></ul></nav>
@@ -422,12 +482,55 @@ def test_language(spark):
 def test_language_sums_all_segmentations():
     pieces = {p: i for i, p in enumerate(["▁", "a", "b", "▁a", "ab", "ba", "▁ab"])}
     model = language_id.Pieces(pieces, np.log(np.random.default_rng(1).dirichlet(np.ones(len(pieces)), 2)))
+    chances = [{p: float(model.rows[p][k]) for p in pieces} for k in range(2)]
 
     def total(text, k):
         return 1.0 if not text else sum((model.rows[text[:n]][k] if text[:n] in model.rows else model.unknown if n == 1 else 0) * total(text[n:], k) for n in range(1, min(len(text), 3) + 1))
 
+    def uses(text, k):
+        """Chance of each segmentation, with its pieces."""
+        if not text:
+            return [(1.0, ())]
+        return [(q * p, (text[:n], *rest)) for n in range(1, min(len(text), 3) + 1) if (q := model.rows[text[:n]][k] if text[:n] in model.rows else model.unknown if n == 1 else 0) for p, rest in uses(text[n:], k)]
+
     for word in ("a", "ab", "abba", "bxa"):
         assert np.allclose(model.scores([word])[0], [np.log(total("▁" + word, k)) for k in range(2)])
+        assert np.allclose(model._rescaled(word), model.scores([word])[0])
+        every = uses("▁" + word, 1)
+        want = collections.Counter()
+        for p, parts in every:
+            for part in parts:
+                want[part] += p / sum(q for q, _ in every)
+        got = language_id.segment_uses(word, chances[1], model.unknown, model.longest)
+        assert set(got) == set(want) and all(abs(got[x] - want[x]) < 1e-9 for x in want)
+    # Long words, and words of unknown letters beyond the range of numbers, are summed whole.
+    for word in ("ab" * 24, "ab" * 200, "x" * 40, "xy" * 500, "abx" * 90):
+        logs = [[0.0], [0.0]]
+        for j in range(1, len(word) + 2):
+            for k in range(2):
+                terms = [logs[k][j - n] + math.log(model.rows[s][k] if s in model.rows else model.unknown) for n in range(1, min(j, 3) + 1) if (s := ("▁" + word)[j - n : j]) in model.rows or n == 1]
+                logs[k].append(float(np.logaddexp.reduce(terms)))
+        assert np.allclose(model.scores([word])[0], [logs[0][-1], logs[1][-1]])
+        assert abs(sum(len(p) * n for p, n in language_id.segment_uses(word, chances[0], model.unknown, model.longest).items()) - len(word) - 1) < 1e-6
+
+
+def test_letters_are_of_one_definition(spark):
+    assert language_id.words("x² ½ ① Ⅷ aⅧb 3a_b É") == ["x", "a", "b", "a", "b", "é"]
+    rows = [(1, "the of", "en"), (3, "² ½ ① Ⅷ", "en"), (4, "Ⅷx", None), (7, "le la", "fr"), (None, "the the", "en"), (1, "the of", "en")]
+    got = language_id.identified(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()
+    assert len(got) == len(rows)
+    pred = {g["doc_id"]: g["lang_pred"] for g in got}
+    assert pred[3] == "und" and pred[4] != "und" and pred[None] != "und"
+
+
+def test_scores_do_not_depend_on_what_was_kept(monkeypatch):
+    pieces = {p: i for i, p in enumerate(["▁", "a", "b", "▁a", "ab"])}
+    model = language_id.Pieces(pieces, np.log(np.random.default_rng(2).dirichlet(np.ones(len(pieces)), 3)))
+    texts = ["a ab b", "ab ab " + "b" * 70, None, "ba bab a", "", "a"]
+    once = model.totals(texts)[0]
+    monkeypatch.setattr(language_id, "KEPT_WORDS", 2)
+    again = language_id.Pieces(pieces, np.log(np.random.default_rng(2).dirichlet(np.ones(len(pieces)), 3)))
+    assert np.allclose(once, np.concatenate([again.totals([t])[0] for t in texts]))
 
 
 def test_quality(spark):
@@ -546,6 +649,4 @@ def test_training_bounds_are_in_the_readme():
     from pathlib import Path
 
     told = (Path(__file__).resolve().parents[2] / "README.md").read_text()
-    for name in ("TRAINING_ROWS", "TRAINING_WORDS", "LONGEST_WORD"):
-        assert f"language_id.{name}" in told
-    assert f"{language_id.TRAINING_WORDS:,}" in told and f"({language_id.LONGEST_WORD})" in told
+    assert "language_id.TRAINING_ROWS" in told and "quality.TRAINING_ROWS" in told
