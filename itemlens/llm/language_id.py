@@ -306,13 +306,13 @@ def fit(labelled: DataFrame, vocabulary_name: str = VOCABULARY, rows: int = TRAI
     return {"langs": langs, "pieces": pieces, "logp": logp.astype(np.float32)}
 
 
-def predict(docs: DataFrame, model: dict) -> DataFrame:
-    """(doc_id, lang_pred, score) of each whole text: the likeliest language and its posterior at equal priors.
+def predict(docs: DataFrame, model: dict, carry: list[str] | None = None) -> DataFrame:
+    """(doc_id, lang_pred, score, [carry]) of each whole text: the likeliest language and its posterior at equal priors.
 
     Without a letter, or with a null text, lang_pred is "und" and score 0.  Ties go to the first
     language in order.
     """
-    langs = model["langs"]
+    langs, carry = model["langs"], carry or []
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
@@ -331,9 +331,11 @@ def predict(docs: DataFrame, model: dict) -> DataFrame:
                 post = 1 / np.exp(np.maximum(total - total.max(1, keepdims=True), -700)).sum(1)
                 preds += [langs[k] if n else UNKNOWN for k, n in zip(best, counts, strict=True)]
                 scores += np.where(counts > 0, post, 0.0).tolist()
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(preds, pa.string()), pa.array(scores, pa.float64())], ["doc_id", "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(preds, pa.string()), pa.array(scores, pa.float64()), *batch.columns[2:]], ["doc_id", "lang_pred", "score", *carry])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, lang_pred string, score double")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("_text"), *carry)
+    kept = "".join(f", `{c}` {docs.schema[c].dataType.simpleString()}" for c in carry)
+    return rows.mapInArrow(run, f"doc_id long, lang_pred string, score double{kept}")
 
 
 def _chunks(texts: list) -> list[list]:
@@ -353,12 +355,12 @@ def held_out():
     return F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(4)) == 2
 
 
-def identified(docs: DataFrame) -> DataFrame:
-    """One row per row of docs (doc_id, text, lang): doc_id, held_out, lang_pred, score.
+def identified(docs: DataFrame, carry: list[str] | None = None) -> DataFrame:
+    """One row per row of docs (doc_id, text, lang): doc_id, held_out, lang_pred, score, and the columns named in carry.
 
     lang is read for training alone, from rows that are not held out.  An empty table gives no rows;
     a null doc_id is scored, not trained on, and counts as not held out; repeated rows are scored alike.
     """
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", "lang")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *dict.fromkeys(["text", "lang", *(carry or [])]))
     model = fit(rows.where(~F.coalesce(held_out(), F.lit(True))))
-    return predict(rows, model).select("doc_id", F.coalesce(held_out(), F.lit(False)).alias("held_out"), "lang_pred", "score")
+    return predict(rows, model, carry).select("doc_id", F.coalesce(held_out(), F.lit(False)).alias("held_out"), "lang_pred", "score", *(carry or []))

@@ -7,6 +7,8 @@ text; a score is one sparse dot product.
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterable
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -62,8 +64,8 @@ def sparse(index: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return at, n * (SCALE / max(1, len(index)))
 
 
-def train(rows: list[tuple[np.ndarray, np.ndarray, int]], epochs: int = EPOCHS) -> tuple[np.ndarray, float]:
-    """Weights and bias from (features, values, label), seen in the given order, epoch by epoch."""
+def train(rows: Callable[[], Iterable[tuple[np.ndarray, np.ndarray, int]]], epochs: int = EPOCHS) -> tuple[np.ndarray, float]:
+    """Weights and bias from (features, values, label), which rows() yields in one order, epoch by epoch."""
     size = (1 << FEATURE_BITS) + 1
     z, n = np.zeros(size), np.zeros(size)
 
@@ -72,7 +74,7 @@ def train(rows: list[tuple[np.ndarray, np.ndarray, int]], epochs: int = EPOCHS)
         return np.where(np.abs(zi) <= L1, 0.0, (np.sign(zi) * L1 - zi) / ((BETA + np.sqrt(n[at])) / ALPHA + L2))
 
     for _ in range(epochs):
-        for index, value, label in rows:
+        for index, value, label in rows():
             at, x = np.append(index, size - 1), np.append(value, 1.0)
             w = weights(at)
             p = 1 / (1 + np.exp(-np.clip(w @ x, -35, 35)))
@@ -85,11 +87,12 @@ def train(rows: list[tuple[np.ndarray, np.ndarray, int]], epochs: int = EPOCHS)
 
 
 def fit(labelled: DataFrame, rows: int = TRAINING_ROWS) -> tuple[np.ndarray, float]:
-    """labelled: doc_id, text, label (0 or 1).  Executors turn the bounded sample into sparse rows; one pass each epoch on the driver."""
+    """labelled: doc_id, text, label (0 or 1).  Executors turn the bounded sample into sparse rows; the driver reads them as a stream, once for each epoch."""
     pool = labelled.where("label is not null")
     n = pool.count()
     h = F.xxhash64(F.col("doc_id"), F.lit("quality"))
-    cut = pool.where(F.pmod(h, F.lit(1 << 20)) < int(min(1.0, rows / max(1, n)) * (1 << 20)))
+    share = min(1.0, 2 * rows / max(1, n))
+    cut = pool.withColumn("h", h).where(F.pmod("h", F.lit(1 << 20)) < int(share * (1 << 20)))
 
     def run(batch):
         labels, index, values = batch.column(2).to_pylist(), [], []
@@ -99,11 +102,18 @@ def fit(labelled: DataFrame, rows: int = TRAINING_ROWS) -> tuple[np.ndarray, flo
                 at, v = sparse(feats[a:b])
                 index.append(at.astype(np.int32))
                 values.append(v.astype(np.float32))
-        return pa.RecordBatch.from_arrays([batch.column(0), pa.array([i.tobytes() for i in index]), pa.array([v.tobytes() for v in values]), pa.array(labels, pa.int32())], ["doc_id", "i", "v", "label"])
+        return pa.RecordBatch.from_arrays([batch.column(0), pa.array([i.tobytes() for i in index]), pa.array([v.tobytes() for v in values]), pa.array(labels, pa.int32())], ["h", "i", "v", "label"])
+
+    made = common.map_arrow(cut.select("h", "text", F.col("label").cast("int").alias("label")), run, "h long, i binary, v binary, label int")
+    sample = common.checkpointed(made.orderBy("h", "i", "label").limit(rows))
+
+    def seen():
+        for r in sample.orderBy("h", "i", "label").toLocalIterator():
+            yield np.frombuffer(r["i"], np.int32), np.frombuffer(r["v"], np.float32).astype(float), r["label"]
 
-    made = common.map_arrow(cut.select("doc_id", "text", F.col("label").cast("int").alias("label")), run, "doc_id long, i binary, v binary, label int")
-    got = sorted(((r["doc_id"], r["i"], r["v"], r["label"]) for r in made.toLocalIterator()), key=lambda r: (hash((r[0], 17)), r[1]))
-    return train([(np.frombuffer(i, np.int32), np.frombuffer(v, np.float32).astype(float), y) for _, i, v, y in got])
+    found = train(seen)
+    common.discard(sample)
+    return found
 
 
 def score(docs: DataFrame, model: tuple[np.ndarray, float]) -> DataFrame:
