@@ -13,7 +13,7 @@ from .catalog import Catalog, count_support
 
 
 #: Up to so many possible pairs of items, all that meet are counted in one pass and kept on the driver; beyond, those in the queue are counted in blocks.
-PAIRS_IN_ONE_PASS = 1_000_000
+PAIRS_IN_ONE_PASS = 200_000
 
 
 @dataclass(frozen=True)
@@ -70,7 +70,7 @@ def pair_supports(compressed: DataFrame, at_least: int = 1) -> DataFrame:
 
 def build_queue(
     compressed: DataFrame, catalog: Catalog, rejected: set[str], item_support: dict[str, int], q: int = 100_000, pair_order: str = "lexicographic",
-    cap: str = "first", min_support: int = 1, cache: dict[str, int] | None = None, prune: str | None = None, m: int = 0, block: int = 20_000,
+    cap: str = "first", min_support: int = 1, cache: dict[str, int] | None = None, prune: str | None = None, m: int = 0, block: int = 100_000,
 ) -> list[Candidate]:
     """Up to q candidates, best support first (ties by key); unions without support are left out.
 

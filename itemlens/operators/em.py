@@ -27,13 +27,14 @@ def e_step(compressed: DataFrame, catalog: Catalog, weight: str = "neglog", kern
 
 def hard_em(
     compressed: DataFrame, catalog: Catalog, m: int, eps: float = 1e-6, max_iter: int = 50, norm: str = "l2", weight: str = "neglog", kernel: str = "auto",
-    keep_singletons: bool = False, floor: float | None = None,
+    keep_singletons: bool = False, floor: float | None = None, start: float | None = None,
 ) -> EMResult:
     """Iterate until the probabilities move by eps or less, then drop the sets of probability 0.
 
-    Greedy covers need not improve steadily, so the best state by profit is returned.
+    Greedy covers need not improve steadily, so the best state by profit is returned: the given
+    one too, if its profit `start` is known and no round comes up to it.
     """
-    best, trace = None, []
+    best, trace, given = None, [], catalog
     for k in range(max_iter):
         used = e_step(compressed, catalog, weight, kernel)
         moved = [abs(used.get(key, 0) / m - s.pi) for key, s in catalog.items()]
@@ -45,4 +46,6 @@ def hard_em(
             best = (now, catalog)
         if change <= eps:
             break
+    if start is not None and (best is None or best[0] < start - 1e-12):
+        best = (start, given)
     return EMResult(prune(best[1], keep_singletons, floor), best[0], trace)

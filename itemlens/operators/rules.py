@@ -8,14 +8,16 @@ from pyspark.sql import functions as F
 from ..functions.expressions import itemset_key, proper_subsets
 from .catalog import count_support
 
-#: Rules are read from sets of up to this many items (a set of n has 2^n - 2 rules).
+#: Sets of up to this many items give all their 2^n - 2 rules; larger ones those with one item on either side.
 LARGEST_SET = 12
 
 
 def from_catalog(itemsets: DataFrame, baskets: DataFrame, min_conf: float = 0.0) -> DataFrame:
     """(antecedent, consequent, support, confidence, lift) of itemsets (key, items, support)."""
-    sets = itemsets.where(F.size("items").between(2, LARGEST_SET))
-    sides = sets.select("key", "items", "support", F.explode(proper_subsets(F.col("items"))).alias("left"))
+    n = F.size("items")
+    ones = F.transform("items", lambda i: F.array(i))
+    both = F.concat(ones, F.transform(ones, lambda one: F.array_except("items", one)))
+    sides = itemsets.where(n > 1).select("key", "items", "support", F.explode(F.when(n <= LARGEST_SET, proper_subsets(F.col("items"))).otherwise(both)).alias("left"))
     sides = sides.select("key", "support", itemset_key(F.col("left")).alias("antecedent"), itemset_key(F.array_except("items", "left")).alias("consequent"), "left")
     distinct = sides.select(F.col("antecedent").alias("key"), F.col("left").alias("items"), F.element_at("left", 1).alias("anchor")).distinct()
     supports = count_support(baskets, distinct)

@@ -1,13 +1,16 @@
 """One step of structural EM: the first candidate, by support, that raises the profit.
 
-Adding a set changes only the baskets that contain it, so a whole batch of candidates is scored
-in one pass: each basket is covered once with the catalog and once more with each candidate it
-contains, at probability 1, and the differences in usage are added up.  With probabilities at
-usage over m the profit needs no further pass.
+Adding a set changes only the baskets that contain it.  A candidate whose items are in no other
+set than their singletons takes the place of those in each of them, and nothing else moves: its gain
+follows from its support alone, without a pass.  All others are scored in batches, one pass for
+each: each basket is covered with the catalog (from the second pass on, that cover is kept) and once
+more with each candidate it contains, at probability 1, and the differences in usage are added up.
+With probabilities at usage over m the profit needs no further pass.
 """
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass, field
 
 import pyarrow as pa
@@ -16,7 +19,7 @@ from pyspark.sql import functions as F
 
 from .candidates import Candidate
 from .catalog import Catalog, Itemset, plain, unplain
-from .cover import Index
+from .cover import Index, cover
 from .model import entropy, profit
 
 FIRST_BATCH, LARGEST_BATCH = 64, 1024
@@ -33,8 +36,11 @@ class Step:
 
 
 def deltas(compressed: DataFrame, catalog: Catalog, batch: list[Candidate], weight: str = "neglog") -> dict[str, dict[str, int]]:
-    """For each candidate, how the usage of each set changes if it is forced in.  Sums are folded in each partition first."""
-    spark = compressed.sparkSession
+    """For each candidate, how the usage of each set changes if it is forced in.  Sums are folded in each partition first.
+
+    compressed: (items, mult, [cover]), with `cover` that of the catalog, if known.
+    """
+    spark, known_covers = compressed.sparkSession, "cover" in compressed.columns
     shared = spark.sparkContext.broadcast((plain(catalog.values()), [(c.items, 1.0, c.support) for c in batch]))
 
     def run(batches):
@@ -43,7 +49,8 @@ def deltas(compressed: DataFrame, catalog: Catalog, batch: list[Candidate], weig
         fresh = {s.key for s in new}
         sums: dict[tuple[str, str], int] = {}
         for b in batches:
-            for items, mult in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+            held = b.column(2).to_pylist() if known_covers else [None] * b.num_rows
+            for items, mult, base in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), held, strict=True):
                 basket = frozenset(items)
                 usable = index.applicable(basket)
                 mine = [k for k in usable if k in fresh]
@@ -58,7 +65,7 @@ def deltas(compressed: DataFrame, catalog: Catalog, batch: list[Candidate], weig
                             for i in index.sets[k][0]:
                                 sums[k, i] = sums.get((k, i), 0) - mult
                     continue
-                before = index.lazy(basket, known)
+                before = base if known_covers else index.lazy(basket, known)
                 for k in mine:
                     after = index.lazy(basket, [*known, k], k)
                     if before is None or after is None:
@@ -71,13 +78,20 @@ def deltas(compressed: DataFrame, catalog: Catalog, batch: list[Candidate], weig
             k, s, n = zip(*rows, strict=True)
             yield pa.RecordBatch.from_arrays([pa.array(k), pa.array(s), pa.array(n, pa.int64())], ["cand", "key", "delta"])
 
-    parts = compressed.select("items", "mult").mapInArrow(run, "cand string, key string, delta long")
+    columns = ["items", "mult", "cover"] if known_covers else ["items", "mult"]
+    parts = compressed.select(columns).mapInArrow(run, "cand string, key string, delta long")
     out: dict[str, dict[str, int]] = {c.key: {} for c in batch}
     for r in parts.groupBy("cand", "key").agg(F.sum("delta").alias("delta")).toLocalIterator():
         out[r["cand"]][r["key"]] = r["delta"]
+    shared.unpersist()
     return out
 
 
+def replaced(c: Candidate) -> dict[str, int]:
+    """The change in usage of a candidate whose items are in no other set than their singletons."""
+    return {c.key: c.support} | {i: -c.support for i in c.items}
+
+
 def step(
     compressed: DataFrame, catalog: Catalog, m: int, queue: list[Candidate], batch: int | None = None, weight: str = "neglog", prior: str = "none", items: int = 0, iteration: int = 0, base: float | None = None
 ) -> Step:
@@ -87,28 +101,49 @@ def step(
     so the work wasted on candidates behind the accepted one stays bounded.
     """
     usages = {k: s.usage for k, s in catalog.items()}
-    before = profit(usages, m, prior, items) if base is None else base
-    rejected: set[str] = set()
-    at, size, passes = 0, batch or FIRST_BATCH, 0
-    while at < len(queue):
-        part = queue[at : at + size]
-        found = deltas(compressed, catalog, part, weight)
-        passes += 1
-        for i, c in enumerate(part):
-            change = found[c.key]
-            gain = sum(entropy(usages.get(k, 0) / m) - entropy((usages.get(k, 0) + d) / m) for k, d in change.items())
-            if prior == "size":
-                after = {**usages, **{k: usages.get(k, 0) + d for k, d in change.items()}}
-                gain = profit(after, m, prior, items) - before
-            if change and gain > 1e-12:
-                new = {k: s.with_(usage=s.usage + change.get(k, 0), pi=(s.usage + change.get(k, 0)) / m) for k, s in catalog.items()}
-                used = change.get(c.key, 0)
-                new[c.key] = Itemset.of(c.items, used / m, used, c.support, iteration)
-                return Step(c, new, before + gain, at + i + 1, passes, rejected)
-            rejected.add(c.key)
-        at += len(part)
-        size = batch or min(LARGEST_BATCH, 2 * size)
-    return Step(None, catalog, before, at, passes, rejected)
+    now = profit(usages, m, prior, items)
+    before = now if base is None else base
+    charge = math.log(max(2, items)) / m if prior == "size" and m else 0.0
+
+    def gain(change: dict[str, int]) -> float:
+        out = now - before
+        for k, d in change.items():
+            old = usages.get(k, 0)
+            out += entropy(old / m) - entropy((old + d) / m)
+            if charge and "|" in k:
+                out -= ((old + d > 0) - (old > 0)) * (k.count("|") + 1) * charge
+        return out
+
+    def taken(at: int, change: dict[str, int], passes: int) -> Step:
+        c = queue[at]
+        new = {k: s.with_(usage=s.usage + change.get(k, 0), pi=(s.usage + change.get(k, 0)) / m) for k, s in catalog.items()}
+        used = change.get(c.key, 0)
+        new[c.key] = Itemset.of(c.items, used / m, used, c.support, iteration)
+        return Step(c, new, before + gain(change), at + 1, passes, {x.key for x in queue[:at]})
+
+    tied = {i for s in catalog.values() if len(s.items) > 1 and s.pi > 0 for i in s.items}
+    free = (at for at, c in enumerate(queue) if tied.isdisjoint(c.items) and c.support and gain(replaced(c)) > 1e-12)
+    first = next(free, len(queue))
+    # Only those before the first improving one that needs no pass are left to try.
+    todo = [at for at, c in enumerate(queue[:first]) if not tied.isdisjoint(c.items)]
+    size, passes, rows = batch or FIRST_BATCH, 0, compressed
+    try:
+        while todo:
+            part, todo = todo[:size], todo[size:]
+            found = deltas(rows, catalog, [queue[at] for at in part], weight)
+            passes += 1
+            for at in part:
+                if (change := found[queue[at].key]) and gain(change) > 1e-12:
+                    return taken(at, change, passes)
+            if todo and rows is compressed:
+                rows = cover(compressed, catalog, weight, "lazy_heap").select("items", "mult", "cover").persist()
+            size = batch or min(LARGEST_BATCH, 2 * size)
+    finally:
+        if rows is not compressed:
+            rows.unpersist()
+    if first < len(queue):
+        return taken(first, replaced(queue[first]), passes)
+    return Step(None, catalog, before, len(queue), passes, {c.key for c in queue})
 
 
 def first_step_gains(compressed: DataFrame, m: int) -> DataFrame:

@@ -32,8 +32,12 @@ SEVERAL = "(values ('n15|r0', ['n15', 'r0']), ('n21|r1', ['n21', 'r1']), ('n12|r
 
 def base(name: str) -> str:
     """b (tid, items), c (items, mult), m, s (item, n), p (a, b, n) of a source."""
+    return based(LONG[name])
+
+
+def based(long: str) -> str:
     return f"""
-l as materialized ({LONG[name]}),
+l as materialized ({long}),
 b as materialized (select tid, list_sort(list(item)) as items from l group by tid),
 c as materialized (select items, count(*) as mult from b group by items),
 m as materialized (select count(*)::double as m from b),
@@ -79,6 +83,45 @@ daily as materialized (select day, k.key as itemset, coalesce(n.n, 0) as n from
 DAILY = DAILY.replace("select day, k.key as itemset, coalesce", "select days.day, k.key as itemset, coalesce")
 
 
+def mined(long: str) -> str:
+    """Two iterations of the miner with one round of EM each: the accepted set and the profit after each."""
+    h = [H.format(x) for x in ("x.n / m", "y.n / m", "p.n / m", "(x.n - p.n) / m", "(y.n - p.n) / m")]
+    usage = H.format("usage / m")
+    return f"""with recursive {based(long)},
+first as materialized (select concat(a, '|', b) as key, [a, b] as items, p.n as n, {h[0]} + {h[1]} - {h[2]} - {h[3]} - {h[4]} as gain from p join s x on x.item = a join s y on y.item = b, m),
+one as materialized (select * from first where gain > 1e-12 order by n desc, key limit 1),
+refused as materialized (select f.key from first f left join one on true where one.key is null or f.n > one.n or (f.n = one.n and f.key < one.key)),
+k1 as materialized (select item as key, [item] as items, s.n as n, (s.n - case when list_contains(one.items, item) then one.n else 0 end) / m as pi from s cross join one, m where s.n > one.n or not list_contains(one.items, item)
+  union all select key, items, n, n / m from one, m),
+{greedy(1)},
+{greedy(2)},
+q as materialized (select key, items, n from (select array_to_string(items, '|') as key, items, (select sum(mult) from c where list_has_all(c.items, u.items)) as n
+  from (select distinct list_sort(list_distinct(list_concat(x.items, y.items))) as items from k2 x join k2 y on x.key < y.key) u)
+  where n > 0 and key not in (select key from k2) and key not in (select key from refused)),
+w as (
+  select q.key as cand, c.items, c.mult, list_filter(c.items, lambda x: not list_contains(q.items, x)) as rest, [q.key] as cover from q join c on list_has_all(c.items, q.items)
+  union all
+  select w.cand, w.items, w.mult, list_filter(w.rest, lambda x: not list_contains(best.items, x)), list_append(w.cover, best.key)
+  from w, lateral (
+    select k.key, k.items from k2 k where list_has_all(w.items, k.items) and list_has_any(k.items, w.rest)
+    order by round(-ln(k.pi) / len(list_intersect(k.items, w.rest)), 9), len(list_intersect(k.items, w.rest)) desc, k.n desc, k.key limit 1) best
+  where len(w.rest) > 0
+),
+moved as materialized (select cand, key, sum(n)::bigint as d from (
+  select cand, unnest(cover) as key, mult as n from w where len(rest) = 0
+  union all select q.key, unnest(d2.cover), -mult from q join d2 on list_has_all(d2.items, q.items)) group by cand, key having sum(n) <> 0),
+gains as materialized (select cand, sum({H.format('coalesce(u.usage, 0) / m')} - {H.format('(coalesce(u.usage, 0) + d) / m')}) as gain from moved left join u1 u on u.key = moved.key, m group by cand),
+two as materialized (select q.* from q join gains on cand = q.key where gain > 1e-12 order by n desc, q.key limit 1),
+k5 as materialized (select key, items, n, pi from (select k.key, k.items, k.n, (u.usage + coalesce(v.d, 0)) / m as pi from k2 k join u1 u on u.key = k.key left join (select moved.* from moved join two on cand = two.key) v on v.key = k.key, m
+  union all select two.key, two.items, two.n, v.d / m from two join moved v on v.cand = two.key and v.key = two.key, m) where pi > 0),
+{greedy(5)},
+start as (select -sum({H.format('n / m')}) as profit from s, m),
+end1 as (select -sum({usage}) as profit from u1, m),
+end2 as (select -sum({usage}) as profit from u5, m)
+select 0::int as iter, (select key from one) as accepted, round(case when exists (from one) then (select profit from end1) else (select profit from start) end, 6) as profit
+union all select 1::int, (select key from two), round(case when exists (from two) then (select profit from end2) else (select profit from end1) end, 6) where exists (from one)"""
+
+
 def _ranked(order: str, singles: bool) -> str:
     where = "" if singles else "where len(items) > 1"
     return f"""
@@ -113,7 +156,10 @@ round(coalesce(u.usage, 0) / m, 6) as pi from k0 k left join u0 u on u.key = k.k
     out["rank_pi"] = start["order_geo"] + _ranked("pi desc, interest desc, key", True)
     out["top_k"] = start["order_geo"] + _ranked("interest desc, pi desc, key", False)
     for n in ("order_regions", "userday_events"):
-        out[f"hard_em_{n}"] = f"{start[n]}, {greedy(1)}, {greedy(2)} select u.key, u.usage, round(u.usage / m, 6) as pi from u2 u, m"
+        rounds = " union all ".join(f"select {i} as i, key, usage from u{i}" for i in range(3))
+        out[f"hard_em_{n}"] = f"""{start[n]}, {greedy(1)}, {greedy(2)}, r as materialized ({rounds}), f as (select i, -sum({H.format('usage / m')}) as profit from r, m group by i),
+best as (select i from f where profit >= (select max(profit) from f) - 1e-13 order by i desc limit 1)
+select key, usage, round(usage / m, 6) as pi from r join best on best.i = r.i, m"""
     out["structural_step_order_geo"] = f"""with g as ({out['first_step_order_geo']}), {base('order_geo')},
 best as (select itemset, support, gain from g order by support desc, itemset limit 1)
 select best.itemset as accepted, round(best.gain - (select sum({H.format('n / m')}) from s, m), 6) as profit from best"""
@@ -181,5 +227,14 @@ select user_id, min(ts) as start, array_to_string(list_sort(list(distinct event_
     out["usage_rollup"] = f"with {base('order_geo')}, {DAILY} select year(ts)::int as year, month(ts)::int as month, count(*) as n from o where list_has_all(items, ['n15', 'r0']) group by rollup (year(ts)::int, month(ts)::int)"
     out["sql_functions"] = f"""with {base('order_geo')} select concat(a, '|', b) as itemset, (2 + 2 - 2 * len(list_intersect([a, b], ['n1', 'r1'])))::int as distance, b = 'r1' or a = 'r1' as has_r1,
 round({H.format('0.25::double')}, 6) as h, round((n - 100.0::double) ** 2 / 100 + (n - 100.0::double) ** 2 / 99900, 6) as chi2 from p"""
-    out["null_accepts"] = "select unnest(['order_regions', 'order_brands', 'part_suppnations', 'userday_events']) as source, 0::bigint as accepted"
+    # A set is accepted where, and only where, some pair gains in the first step.
+    each = []
+    for n in ("order_regions", "order_brands", "part_suppnations", "userday_events"):
+        h = [H.format(x) for x in ("x.n / m", "y.n / m", "p.n / m", "(x.n - p.n) / m", "(y.n - p.n) / m")]
+        each.append(f"(with {base(n)} select '{n}' as source, count(*) filter (where {h[0]} + {h[1]} - {h[2]} - {h[3]} - {h[4]} > 1e-12) as accepted from p join s x on x.item = a join s y on y.item = b, m)")
+    out["null_accepts"] = "select * from (" + " union all ".join(each) + ")"
+    drawn = f"select r.tid, t.items, t.pi, ('0x' || substr(md5(concat_ws('|', '7', r.tid, array_to_string(t.items, '|'))), 1, 8))::bigint / 4294967296.0 as u from range(400) as r(tid), {PLANTED}"
+    out["mine_small_planted"] = mined(f"select distinct tid, unnest(items) as item from ({drawn}) where u < pi")
+    out["mine_small_userday_events"] = mined(LONG["userday_events"])
+    out["mine_small_order_geo"] = mined(LONG["order_geo"])
     return out

@@ -191,12 +191,16 @@ def null_accepts(spark: SparkSession, sf_dir: str, sources: tuple[str, ...] = ("
     return spark.createDataFrame(rows, "source string, accepted long")
 
 
-def e_step_throughput(spark: SparkSession, sf_dir: str, name: str = "line_attrs", cores: int = 1) -> DataFrame:
-    """(source, baskets, secs, baskets_per_core_second) of one covering pass with singletons."""
-    compressed, m, supports = miner.prepared(source(spark, sf_dir, name))
-    from ..operators.catalog import from_support
-
-    catalog = from_support(sorted(supports.items()), m)
+def e_step_throughput(spark: SparkSession, sf_dir: str, name: str = "order_geo", cores: int | None = None, max_iter: int = 10) -> DataFrame:
+    """(source, baskets, secs, baskets_per_core_second) of one covering pass with a trained catalog.
+
+    cores: those of the session, unless given.
+    """
+    cores = cores or spark.sparkContext.defaultParallelism
+    baskets = source(spark, sf_dir, name)
+    catalog = miner.mine(baskets, max_iter).catalog
+    compressed, m, _ = miner.prepared(baskets)
+    compressed.count()
     began = time.time()
     em.e_step(compressed, catalog)
     secs = time.time() - began

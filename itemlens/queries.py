@@ -80,7 +80,7 @@ def _full_cost(name: str, joint: bool) -> Query:
 
 
 def profit_closed_form(s, d):
-    covered, made, m = _covered(s, d, "order_geo")
+    covered, made, m = _covered(s, d, "order_geo", "auto")
     used = cover.usage(covered, "mult")
     return used.agg(F.round(-F.sum(fx.binary_entropy(F.col("usage") / m)), 6).alias("profit"), F.count("*").alias("used_sets"))
 
@@ -102,10 +102,8 @@ def _rank(by: str, singletons: bool) -> Query:
 def _hard_em(name: str) -> Query:
     def run(s, d):
         made, compressed, m = fixed_catalog(s, d, name)
-        for _ in range(3):
-            used = em.e_step(compressed, made, kernel="native")
-            made = {k: v.with_(usage=used[k], pi=used[k] / m) for k, v in made.items() if used.get(k)}
-        return cat.to_df(s, made).select("key", "usage", F.round("pi", 6).alias("pi"))
+        found = em.hard_em(compressed, made, m, eps=0.0, max_iter=3)
+        return cat.to_df(s, found.catalog).select("key", "usage", F.round("pi", 6).alias("pi"))
 
     return run
 
@@ -128,6 +126,25 @@ def _structural(name: str) -> Query:
     return run
 
 
+def _traced(s: SparkSession, baskets: DataFrame) -> DataFrame:
+    found = miner.mine(baskets, max_iter=2, em_iter=1)
+    return s.createDataFrame([(t["iter"], t["accepted"], round(t["profit"], 6)) for t in found.trace], "iter int, accepted string, profit double")
+
+
+def mine_small_planted(s, d):
+    """Two whole iterations on baskets of a known catalog."""
+    return _traced(s, model.generate(s, workloads.planted_catalog(), 400, 7).where(F.size("items") > 0))
+
+
+def mine_small_userday_events(s, d):
+    return _traced(s, source(s, d, "userday_events"))
+
+
+def mine_small_order_geo(s, d):
+    """Two whole iterations on the flagship source."""
+    return _traced(s, source(s, d, "order_geo"))
+
+
 def candidate_queue_order_geo(s, d):
     compressed, m, items = miner.prepared(source(s, d, "order_geo"))
     queue = candidates.build_queue(compressed, cat.from_support(sorted(items.items()), m), set(), items)
@@ -360,7 +377,7 @@ def queries() -> dict[str, Query]:
         "workload_throughput": workloads.e_step_throughput,
     }
     plain = (
-        profit_closed_form, interestingness_order_geo, candidate_queue_order_geo, apriori_queue_order_geo, prefix_tree_order_regions, batch_support_order_geo, encoded_round_trip, compressed_baskets, codetable_bits, chi2_rank_order_regions,
+        mine_small_planted, mine_small_userday_events, mine_small_order_geo, profit_closed_form, interestingness_order_geo, candidate_queue_order_geo, apriori_queue_order_geo, prefix_tree_order_regions, batch_support_order_geo, encoded_round_trip, compressed_baskets, codetable_bits, chi2_rank_order_regions,
         maxent_pair_logp, maxent_summary, code_table_from_pairs, code_table_from_candidates, tiling_max_coverage, tiling_budgeted, generate_md5, precision_recall, eleven_point, iid_order_geo, spikes, series_corr, moving_mentions, rules_order_geo,
         tiles_order_regions, events_windows, events_sessions, stream_mentions, usage_rollup, sql_functions, null_accepts, description_length,
     )

@@ -7,6 +7,7 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions.expressions import contains
@@ -38,15 +39,16 @@ def form_baskets(events: DataFrame, width: str = "1 day", slide: str | None = No
 def mentions(baskets: DataFrame, itemsets: DataFrame, width: str = "1 day", late: str = "1 day") -> DataFrame:
     """(start, itemset, n) of baskets (ts, items) that contain each set."""
     rows = baskets.withWatermark("ts", late) if baskets.isStreaming else baskets
-    met = rows.join(F.broadcast(itemsets.select("itemset", F.col("items").alias("set"))), contains(F.col("items"), F.col("set")))
+    sets = itemsets.select("itemset", F.col("items").alias("set"), F.element_at("items", 1).alias("anchor"))
+    met = rows.select("ts", "items", F.explode("items").alias("anchor")).join(F.broadcast(sets), "anchor").where(contains(F.col("items"), F.col("set")))
     return met.groupBy(F.window("ts", width).alias("w"), "itemset").agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), "itemset", "n")
 
 
 def drift(baskets: DataFrame, catalog: Catalog) -> DataFrame:
     """Running (key, usage, support) under a frozen catalog: interestingness as time passes."""
-    sets = to_df(baskets.sparkSession, catalog).select("key", F.col("items").alias("set"))
-    covered = assign(baskets, catalog)
-    met = covered.join(F.broadcast(sets), contains(F.col("items"), F.col("set")))
+    sets = to_df(baskets.sparkSession, catalog).select("key", F.col("items").alias("set"), F.element_at("items", 1).alias("anchor"))
+    covered = assign(baskets, catalog).select("items", "cover", F.explode("items").alias("anchor"))
+    met = covered.join(F.broadcast(sets), "anchor").where(contains(F.col("items"), F.col("set")))
     return met.groupBy("key").agg(F.sum(F.array_contains("cover", F.col("key")).cast("long")).alias("usage"), F.count("*").alias("support"))
 
 
@@ -103,6 +105,13 @@ def spike_alerts(daily: DataFrame, z: float = 3.0, least: int = 5) -> DataFrame:
     )
 
 
-def to_memory(stream: DataFrame, name: str, mode: str = "append") -> None:
-    """Run a stream over all that is there, into a table in memory."""
-    stream.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start().awaitTermination()
+def dropped_late(query: StreamingQuery) -> int:
+    """Rows that a query's stateful operators dropped behind the watermark, over its recent progress."""
+    return sum(op["numRowsDroppedByWatermark"] for progress in query.recentProgress for op in progress["stateOperators"])
+
+
+def to_memory(stream: DataFrame, name: str, mode: str = "append") -> StreamingQuery:
+    """Run a stream over all that is there, into a table in memory; the finished query tells its progress."""
+    query = stream.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
+    query.awaitTermination()
+    return query
