@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -53,11 +55,70 @@ SQL_FUNCTIONS = {
 }
 
 
+class Subsets:
+    """subsets(items): a row for each non-empty proper subset of an array of 20 items at most, in the array's order."""
+
+    def eval(self, items: list):
+        items = items or []
+        if len(items) > 20:
+            raise ValueError(f"{len(items)} items; subsets are for 20 or fewer")
+        for mask in range(1, (1 << len(items)) - 1):
+            yield [x for i, x in enumerate(items) if mask >> i & 1],
+
+
+class InterestingItemsets:
+    """interesting_itemsets(TABLE(baskets), k): the k best non-singletons of baskets (items) that one task can hold, by a plain miner.
+
+    Pairs that raise the profit of the singletons' model, best support first, each accepted pair
+    taking its baskets from its items; for small inputs, without supersets of pairs.
+    """
+
+    def __init__(self):
+        self.baskets, self.k = [], 10
+
+    def eval(self, row, k: int):
+        self.baskets.append(frozenset(row["items"] or ()))
+        self.k = k
+
+    def terminate(self):
+        from collections import Counter
+        from itertools import combinations
+        from math import log
+
+        m = len(self.baskets)
+        h = lambda n: 0.0 if n <= 0 or n >= m else -n / m * log(n / m) - (1 - n / m) * log(1 - n / m)
+        usage = Counter(i for b in self.baskets for i in b)
+        support = Counter(p for b in self.baskets for p in combinations(sorted(b), 2))
+        taken, out = set(), []
+        for (a, b), n in sorted(support.items(), key=lambda x: (-x[1], x[0])):
+            if not {a, b} & taken and h(usage[a]) + h(usage[b]) - h(n) - h(usage[a] - n) - h(usage[b] - n) > 1e-12:
+                taken |= {a, b}
+                out.append((f"{a}|{b}", n))
+        for rank, (key, n) in enumerate(out[: self.k], 1):
+            yield rank, key, n
+
+
 def register(spark: SparkSession) -> list[str]:
-    """Register the SQL functions and the table function subsets(items) in the session."""
+    """Register the SQL functions, the Arrow function jaccard(x, s), the aggregate mean_distance(items) and two table functions."""
     for name, body in SQL_FUNCTIONS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}{body}")
-    return [*SQL_FUNCTIONS]
+
+    @F.arrow_udf("double")
+    def jaccard(x: pa.Array, s: pa.Array) -> pa.Array:
+        pairs = [(set(a or ()), set(b or ())) for a, b in zip(x.to_pylist(), s.to_pylist(), strict=True)]
+        return pa.array([len(a & b) / len(a | b) if a | b else 1.0 for a, b in pairs], pa.float64())
+
+    @F.pandas_udf("double")
+    def mean_distance(items: pd.Series) -> float:
+        sets = [frozenset(x) for x in items]
+        nearest = [min((len(a ^ b) for j, b in enumerate(sets) if j != i), default=None) for i, a in enumerate(sets)]
+        return float(sum(nearest) / len(nearest)) if len(sets) > 1 else float("nan")
+
+    spark.udf.register("jaccard", jaccard)
+    spark.udf.register("mean_distance", mean_distance)
+    spark.udtf.register("subsets", F.udtf(Subsets, returnType="subset array<string>"))
+    spark.udtf.register("interesting_itemsets", F.udtf(InterestingItemsets, returnType="rank int, itemset string, support long"))
+    return [*SQL_FUNCTIONS, "jaccard", "mean_distance", "subsets", "interesting_itemsets"]
 
 
 def proper_subsets(items: Column) -> Column:

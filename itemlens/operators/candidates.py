@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import heapq
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
@@ -27,8 +27,8 @@ def ranked(catalog: Catalog) -> list:
     return sorted(catalog.values(), key=lambda s: (-s.support, s.key))
 
 
-def pair_unions(catalog: Catalog, rejected: set[str], q: int, order: str = "lexicographic") -> Iterator[tuple[str, ...]]:
-    """Unions of two sets, each once, known and rejected ones left out, until q have been given.
+def pair_unions(catalog: Catalog, rejected: set[str], q: int, order: str = "lexicographic", barren: Callable[[str], bool] = lambda key: False) -> Iterator[tuple[str, ...]]:
+    """Unions of two sets, each once, known and rejected ones and those that are `barren` left out, until q have been given.
 
     `lexicographic`: the best set with all others, then the second best and so on.  `rank_sum`: by
     the sum of both ranks.
@@ -42,7 +42,7 @@ def pair_unions(catalog: Catalog, rejected: set[str], q: int, order: str = "lexi
     for i, j in pairs:
         union = tuple(sorted({*sets[i].items, *sets[j].items}))
         key = "|".join(union)
-        if key in seen or key in catalog or key in rejected:
+        if key in seen or key in catalog or key in rejected or barren(key):
             continue
         seen.add(key)
         yield union
@@ -90,7 +90,9 @@ def build_queue(
     limit = q if cap == "first" else len(catalog) ** 2
     heap: list[tuple[int, str]] = []
     out: dict[str, Candidate] = {}
-    unions = pair_unions(catalog, rejected, limit, pair_order)
+    # Unions that are known to have no support can never be taken, so later queues look beyond them.
+    whole = "" in cache
+    unions = pair_unions(catalog, rejected, limit, pair_order, lambda key: cache.get(key, 0 if whole and key.count("|") == 1 else 1) == 0)
     while True:
         part = [u for _, u in zip(range(block), unions, strict=False)]
         if not part:

@@ -41,7 +41,10 @@ def mine(
     cap: str = "first", min_support: int = 1, prior: str = "none", prune: str | None = None, batch: int | None = None, weight: str = "neglog", kernel: str = "lazy_heap",
     generator: str = "unions", keep_singletons: bool = False, resume: MinerResult | None = None, save_to: str | None = None,
 ) -> MinerResult:
-    """Mine baskets (tid, items).  One iteration accepts one itemset at most; it ends when a queue holds none.
+    """Mine baskets (tid, items).  One iteration accepts one itemset at most.
+
+    It ends after max_iter, or when a queue that held all unions holds none that improves; a queue
+    that was cut at queue_size and holds none is followed by one of the unions beyond it.
 
     em_every: how many accepted sets pass between rounds of hard EM.  generator: "unions" of known
     sets, or "apriori".  A state saved to `save_to` after each EM round can be resumed.
@@ -56,18 +59,20 @@ def mine(
     since = 0
     try:
         for iteration in range(len(state.trace), max_iter):
-            began = time.time()
+            began, before = time.time(), len(cache)
             if generator == "apriori":
                 if queue is None:
                     queue = candidates.apriori_queue(compressed, supports, max(1, min_support), queue_size)
                 usable = [c for c in queue if c.key not in state.catalog and c.key not in state.rejected]
             else:
                 usable = candidates.build_queue(compressed, state.catalog, state.rejected, supports, queue_size, pair_order, cap, min_support, cache, prune, m)
+            counted, possible = len(cache), len(state.catalog) * (len(state.catalog) - 1) // 2
+            cut = generator != "apriori" and possible > queue_size and bool(usable or counted > before)
             done = structural.step(compressed, state.catalog, m, usable, batch, weight, prior, len(supports), iteration)
             state.rejected |= done.rejected
             if done.accepted is not None:
                 state.catalog, state.profit, since = done.catalog, done.profit, since + 1
-            last = done.accepted is None or iteration == max_iter - 1
+            last = done.accepted is None and not cut or iteration == max_iter - 1
             if since and (since >= em_every or last):
                 fitted = em.hard_em(compressed, state.catalog, m, eps, em_iter, weight=weight, kernel=kernel, keep_singletons=keep_singletons, start=state.profit if prior == "none" else None)
                 state.catalog, state.profit, since = fitted.catalog, fitted.profit, 0
@@ -76,7 +81,7 @@ def mine(
             state.trace.append(
                 {"iter": iteration, "secs": time.time() - began, "profit": state.profit, "tried": done.tried, "accepted": done.accepted.key if done.accepted else None, "passes": done.passes}
             )
-            if done.accepted is None:
+            if done.accepted is None and not cut:
                 state.converged = True
                 break
     finally:

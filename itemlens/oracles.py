@@ -17,6 +17,9 @@ LONG = {
     "part_attrs": "select distinct p_partkey as tid, unnest(list_concat(string_split(p_name, ' '), [p_brand, p_type])) as item from part",
     "line_attrs": "select row_number() over () as tid, unnest([concat('l_returnflag=', l_returnflag), concat('l_linestatus=', l_linestatus), concat('l_discount=', l_discount), concat('l_tax=', l_tax), concat('l_linenumber=', l_linenumber)]) as item from lineitem",
     "doc_words_en": r"select distinct doc_id as tid, unnest(regexp_extract_all(lower(text), '\p{L}+')) as item from documents where lang = 'en'",
+    "doc_stems_en": r"""select distinct tid, case when length(w) >= 5 and length(c) >= 3 then c else w end as item from (select tid, w, regexp_replace(w, '(ingly|edly|ations|ation|ings|ing|ies|ied|ness|ments|ment|ers|er|ed|ly|es|s)$', '') as c
+from (select distinct doc_id as tid, unnest(regexp_extract_all(lower(text), '\p{L}+')) as w from documents where lang = 'en')
+where w not in (select unnest(string_split('a an and are as at be but by for from has have he her his i if in into is it its not of on or our she so such that the their then there these they this to was we were which will with you your', ' '))))""",
     "doc_words": r"select distinct doc_id as tid, unnest(regexp_extract_all(lower(text), '\p{L}+')) as item from documents",
     "conv_words": r"select distinct concat(conv_id, '/', turn) as tid, unnest(regexp_extract_all(lower(text), '\p{L}+')) as item from conversations",
     "doc_lines": "select * from (select distinct doc_id as tid, unnest(string_split(text, chr(10))) as item from documents) where trim(item) <> ''",
@@ -227,6 +230,20 @@ select user_id, min(ts) as start, array_to_string(list_sort(list(distinct event_
     out["usage_rollup"] = f"with {base('order_geo')}, {DAILY} select year(ts)::int as year, month(ts)::int as month, count(*) as n from o where list_has_all(items, ['n15', 'r0']) group by rollup (year(ts)::int, month(ts)::int)"
     out["sql_functions"] = f"""with {base('order_geo')} select concat(a, '|', b) as itemset, (2 + 2 - 2 * len(list_intersect([a, b], ['n1', 'r1'])))::int as distance, b = 'r1' or a = 'r1' as has_r1,
 round({H.format('0.25::double')}, 6) as h, round((n - 100.0::double) ** 2 / 100 + (n - 100.0::double) ** 2 / 99900, 6) as chi2 from p"""
+    out["stemmed_words_en"] = f"select item, count(*) as support from ({LONG['doc_stems_en']}) group by item"
+    out["table_function_subsets"] = f"""with {base('order_regions')}, i as (select list(item order by item) as items from s),
+r as (select unnest(range(1, (2 ** len(items))::bigint - 1)) as mask, items from i)
+select array_to_string(list_filter(items, lambda x, j: (mask >> (j - 1)::int) % 2 = 1), '|') as subset from r"""
+    out["arrow_function_jaccard"] = f"with {base('order_geo')} select concat(a, '|', b) as itemset, round(len(list_intersect([a, b], ['n1', 'r1'])) / (4 - len(list_intersect([a, b], ['n1', 'r1']))), 6) as jaccard from p"
+    out["aggregate_mean_distance"] = f"select iid from ({out['iid_order_geo']})"
+    out["shared_spikes"] = f"""{geo}, z as (select day, itemset, n, avg(n) over (partition by itemset) as mu, stddev_pop(n) over (partition by itemset) as sd from daily),
+y as (select day, itemset from z where sd > 0 and n > mu + 2 * sd)
+select day, count(*) as sets, array_to_string(list(itemset order by itemset), '+') as itemsets from y group by day having count(*) > 1"""
+    out["rank_of_sets"] = f"""with {base('order_geo')}, t as (select concat(a, '|', b) as itemset, (row_number() over (order by n desc, concat(a, '|', b)))::int as rank from p),
+v as (select unnest(['n15|r0', 'n21|r1', 'n12|r2', 'a|b']) as itemset) select v.itemset, t.rank from v left join t on t.itemset = v.itemset and t.rank <= 20"""
+    out["shortfall_order_geo"] = f"with {base('order_geo')}, t as (select * from p where n > 1 limit 50) select count(*) as n_listed, count(*) < 50 as short from t"
+    out["log_odds_weights"] = f"with {base('order_geo')}, {catalog('implied')} select key, round(-ln(pi) + ln(1 - pi), 6) as weight from k0 where pi > 0 and pi < 1"
+    out["events_cube"] = "select event_type, day, count(*) as n from (select event_type, ts::date as day from events) group by cube (event_type, day)"
     # A set is accepted where, and only where, some pair gains in the first step.
     each = []
     for n in ("order_regions", "order_brands", "part_suppnations", "userday_events"):

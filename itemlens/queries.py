@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .baselines import codetable, frequent, maxent, tiling
@@ -344,6 +344,67 @@ def sql_functions(s, d):
     )
 
 
+def table_function_subsets(s, d):
+    fx.register(s)
+    _support("order_regions")(s, d).agg(F.sort_array(F.collect_list("item")).alias("items")).createOrReplaceTempView("_all_regions")
+    return s.sql("SELECT array_join(t.subset, '|') AS subset FROM _all_regions, LATERAL subsets(items) AS t")
+
+
+def arrow_function_jaccard(s, d):
+    fx.register(s)
+    _pairs(s, d, "order_geo").createOrReplaceTempView("_pairs_of_items")
+    return s.sql("SELECT itemset, round(jaccard(split(itemset, '[|]'), array('n1', 'r1')), 6) AS jaccard FROM _pairs_of_items")
+
+
+def aggregate_mean_distance(s, d):
+    fx.register(s)
+    _pairs(s, d, "order_geo").orderBy(F.desc("support"), "itemset").limit(50).createOrReplaceTempView("_top_pairs")
+    return s.sql("SELECT round(mean_distance(split(itemset, '[|]')), 6) AS iid FROM _top_pairs")
+
+
+def shared_spikes(s, d):
+    found = measures.spikes(_daily(s, d), 2.0)
+    return measures.shared_spikes(found).select("day", "sets", F.array_join("itemsets", "+").alias("itemsets"))
+
+
+def rank_of_sets(s, d):
+    listed = _pairs(s, d, "order_geo").orderBy(F.desc("support"), "itemset").limit(20)
+    ranks = listed.withColumn("rank", F.row_number().over(Window.orderBy(F.desc("support"), "itemset")))
+    return measures.rank_of(ranks, [*SEVERAL, "a|b"])
+
+
+def shortfall_order_geo(s, d):
+    return measures.shortfall(_pairs(s, d, "order_geo").where("support > 1").limit(50), 50)
+
+
+def cover_ratio_order_regions(s, d):
+    """Greedy against exact covers: the worst ratio, and whether the guarantee holds."""
+    made, compressed, _ = fixed_catalog(s, d, "order_regions")
+    keyed = compressed.select(F.array_join("items", "|").alias("tid"), "items")
+    greedy, exact = (cover.cover(keyed, made, kernel=k) for k in ("lazy_heap", "exact"))
+    return measures.cover_ratio(greedy, exact).select(F.round("worst", 6).alias("worst"), "bound_kept")
+
+
+def trace_planted(s, d):
+    """The miner's trace without its times."""
+    found = miner.mine(model.generate(s, workloads.planted_catalog(), 400, 7).where(F.size("items") > 0), max_iter=6)
+    return miner.trace_df(s, found).select("iter", F.round("profit", 6).alias("profit"), "tried", "accepted", "passes")
+
+
+def log_odds_weights(s, d):
+    made, _, _ = fixed_catalog(s, d, "order_geo")
+    rows = [(k, round(cover.weight_of(v.pi, "logodds"), 6)) for k, v in made.items() if 0 < v.pi < 1]
+    return s.createDataFrame(rows, "key string, weight double")
+
+
+def stemmed_words_en(s, d):
+    return encode.item_support(source(s, d, "doc_stems_en"))
+
+
+def events_cube(s, d):
+    return read(s, d, "events").cube("event_type", F.to_date("ts").alias("day")).agg(F.count("*").alias("n"))
+
+
 def null_accepts(s, d):
     return workloads.null_accepts(s, d, ("order_regions", "order_brands", "part_suppnations", "userday_events"))
 
@@ -379,6 +440,7 @@ def queries() -> dict[str, Query]:
     plain = (
         mine_small_planted, mine_small_userday_events, mine_small_order_geo, profit_closed_form, interestingness_order_geo, candidate_queue_order_geo, apriori_queue_order_geo, prefix_tree_order_regions, batch_support_order_geo, encoded_round_trip, compressed_baskets, codetable_bits, chi2_rank_order_regions,
         maxent_pair_logp, maxent_summary, code_table_from_pairs, code_table_from_candidates, tiling_max_coverage, tiling_budgeted, generate_md5, precision_recall, eleven_point, iid_order_geo, spikes, series_corr, moving_mentions, rules_order_geo,
-        tiles_order_regions, events_windows, events_sessions, stream_mentions, usage_rollup, sql_functions, null_accepts, description_length,
+        tiles_order_regions, events_windows, events_sessions, stream_mentions, usage_rollup, sql_functions, null_accepts,
+        table_function_subsets, arrow_function_jaccard, aggregate_mean_distance, shared_spikes, rank_of_sets, shortfall_order_geo, cover_ratio_order_regions, trace_planted, log_odds_weights, stemmed_words_en, events_cube, description_length,
     )
     return named | {f.__name__: f for f in plain}

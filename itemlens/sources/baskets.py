@@ -26,17 +26,28 @@ def from_array(rows: DataFrame, key: Column, values: Column) -> DataFrame:
 
 
 def from_text(rows: DataFrame, key: Column, text: Column, unit: str = "words", stop: tuple[str, ...] = (), stem: Callable[[Column], Column] | None = None) -> DataFrame:
-    """Distinct lower-cased letter runs (`words`), white-space pieces (`pieces`) or non-empty lines (`lines`) of a text, less `stop`."""
+    """Distinct lower-cased letter runs (`words`), white-space pieces (`pieces`) or non-empty lines (`lines`) of a text, less `stop`, then cut by `stem`."""
     whole = F.coalesce(text, F.lit(""))
     if unit == "words":
         parts = F.regexp_extract_all(F.lower(whole), F.lit(r"\p{L}+"), F.lit(0))
     else:
         parts = F.filter(F.split(whole, r"\n" if unit == "lines" else r"\s+"), lambda x: F.trim(x) != "")
-    parts = F.transform(parts, stem) if stem else parts
     parts = F.array_except(parts, F.array(*map(F.lit, stop))) if stop else F.array_distinct(parts)
+    parts = F.array_distinct(F.transform(parts, stem)) if stem else parts
     return rows.select(key.alias("tid"), F.array_sort(parts).alias("items"))
 
 
+#: Words that carry little meaning, and endings that are cut from English words of five letters and more.
+STOP_WORDS = tuple("a an and are as at be but by for from has have he her his i if in into is it its not of on or our she so such that the their then there these they this to was we were which will with you your".split())
+ENDINGS = "(ingly|edly|ations|ation|ings|ing|ies|ied|ness|ments|ment|ers|er|ed|ly|es|s)$"
+
+
+def stemmed(word: Column) -> Column:
+    """A word without one common ending, if three letters stay."""
+    cut = F.regexp_replace(word, ENDINGS, "")
+    return F.when((F.length(word) >= 5) & (F.length(cut) >= 3), cut).otherwise(word)
+
+
 def from_vector(rows: DataFrame, key: Column, vector: Column, threshold: float | None = None, top: int | None = None) -> DataFrame:
     """Dimensions above a threshold, or the `top` largest ones, as items `d<i>`."""
     values = F.transform(vector, lambda v, i: F.struct(v.alias("v"), i.alias("i")))
@@ -128,6 +139,7 @@ SOURCES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "part_attrs": _part_attrs,
     "line_attrs": _line_attrs,
     "doc_words_en": lambda s, d: from_text(read(s, d, "documents").where("lang = 'en'"), F.col("doc_id"), F.col("text")),
+    "doc_stems_en": lambda s, d: from_text(read(s, d, "documents").where("lang = 'en'"), F.col("doc_id"), F.col("text"), stop=STOP_WORDS, stem=stemmed),
     "doc_words": lambda s, d: from_text(read(s, d, "documents"), F.col("doc_id"), F.col("text")),
     "conv_words": lambda s, d: from_text(read(s, d, "conversations"), F.concat_ws("/", "conv_id", "turn"), F.col("text")),
     "doc_lines": lambda s, d: from_text(read(s, d, "documents"), F.col("doc_id"), F.col("text"), "lines"),

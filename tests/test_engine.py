@@ -495,3 +495,63 @@ def test_workloads_run(spark, small):
     assert iid["cover"] > iid["closed_chi2"]
     points = workloads.self_recovery(spark, small, 2000, methods=("cover",), max_iter=6).collect()
     assert max(r["precision"] for r in points) == 1.0
+
+
+def test_candidates_without_a_pass_equal_those_with_one(spark, monkeypatch):
+    """Gains from supports alone, against passes over the baskets for every candidate."""
+    r = random.Random(11)
+    rows = [(n, sorted({*r.sample("abcdefgh", r.randint(1, 3)), *(("p", "q") if r.random() < 0.4 else ()), *(("x", "y", "z") if r.random() < 0.2 else ())})) for n in range(300)]
+    baskets = spark.createDataFrame(rows, "tid long, items array<string>")
+    fast = miner.mine(baskets, max_iter=6)
+    real = structural.deltas
+    seen = []
+
+    def checked(compressed, catalog, batch, weight="neglog"):
+        seen.append(len(batch))
+        return real(compressed, catalog, batch, weight)
+
+    monkeypatch.setattr(structural, "deltas", checked)
+    monkeypatch.setattr(structural, "replaced", lambda c: {})
+    compressed, m, supports = miner.prepared(baskets)
+    catalog, queue = cat.from_support(sorted(supports.items()), m), None
+    queue = candidates.build_queue(compressed, catalog, set(), supports)
+    change = real(compressed, catalog, queue)
+    monkeypatch.undo()
+    assert all({k: n for k, n in structural.replaced(c).items() if n} == change[c.key] for c in queue)
+    assert [t["accepted"] for t in fast.trace][:2] == ["p|q", "x|y"] or fast.trace[0]["accepted"] in ("p|q", "x|y")
+
+
+def test_em_keeps_the_state_it_started_from(spark):
+    rows = spark.createDataFrame([(["a", "b"], 5), (["c"], 3)], "items array<string>, mult long")
+    start = {s.key: s for s in (Itemset.of(("a", "b"), 0.625, 5, 5), Itemset.of(("c",), 0.375, 3, 3))}
+    found = em.hard_em(rows, start, 8, max_iter=1, start=0.0)
+    assert found.profit == 0.0 and found.catalog == start
+    assert em.hard_em(rows, start, 8, max_iter=1).profit < 0
+
+
+def test_rules_of_large_sets_have_one_item_on_a_side(spark):
+    items = [f"i{n:02}" for n in range(14)]
+    baskets = spark.createDataFrame([(n, items if n < 3 else items[:2]) for n in range(5)], "tid long, items array<string>")
+    sets = spark.createDataFrame([("|".join(items), items, 3)], "key string, items array<string>, support long")
+    got = rules.from_catalog(sets, baskets).collect()
+    assert len(got) == 28 and {min(r["antecedent"].count("|"), r["consequent"].count("|")) for r in got} == {0}
+
+
+def test_table_function_mines_pairs(spark):
+    from itemlens.functions import expressions as fx
+
+    fx.register(spark)
+    spark.createDataFrame([(["a", "b"],)] * 5 + [(["c"],)] * 3, "items array<string>").createOrReplaceTempView("_few")
+    got = spark.sql("SELECT * FROM interesting_itemsets(TABLE(SELECT items FROM _few), 5)").collect()
+    assert [(r["rank"], r["itemset"], r["support"]) for r in got] == [(1, "a|b", 5)]
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    from datetime import datetime, timedelta
+
+    day = datetime(2024, 1, 10)
+    for n, times in enumerate([[day], [day + timedelta(days=9)], [day - timedelta(days=5), day + timedelta(days=9)], [day + timedelta(days=20)]]):
+        spark.createDataFrame([(n * 10 + k, t, 1, "view") for k, t in enumerate(times)], "event_id long, ts timestamp, user_id long, event_type string").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    like = spark.read.parquet(str(tmp_path / "in"))
+    query = streams.to_memory(streams.form_baskets(streams.source(spark, str(tmp_path / "in"), like)), "late_rows_told")
+    assert streams.dropped_late(query) == 1
