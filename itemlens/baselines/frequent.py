@@ -12,6 +12,8 @@ from ..operators.encode import item_support
 
 #: The chi-square list is drawn from this many closed sets of highest support.
 CLOSED_KEPT = 100_000
+#: By this factor the support falls while too few sets are found.
+STEP_DOWN = 0.85
 
 
 def frequent(baskets: DataFrame, min_support: float) -> DataFrame:
@@ -21,6 +23,23 @@ def frequent(baskets: DataFrame, min_support: float) -> DataFrame:
     return found.select(itemset_key(F.col("items")).alias("key"), "items", F.size("items").alias("size"), "support")
 
 
+def commonest(baskets: DataFrame, min_support: float, most: int = CLOSED_KEPT) -> DataFrame:
+    """The `most` frequent sets of highest support (ties by key), or all of them if there are fewer.
+
+    Where a few dozen words are in most texts, the sets above a low support are too many to list.
+    The support falls step by step until enough sets are found; what is below cannot be among them.
+    """
+    top = baskets.select(F.explode("items").alias("i")).groupBy("i").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0]
+    share = (top or 0) / max(1, baskets.count())
+    level = max(min_support, STEP_DOWN * share)
+    while True:
+        found = frequent(baskets, level).persist()
+        if level <= min_support or found.count() >= most:
+            return found.orderBy(F.desc("support"), "key").limit(most)
+        found.unpersist()
+        level = max(min_support, STEP_DOWN * level)
+
+
 def closed(itemsets: DataFrame) -> DataFrame:
     """Sets without a superset of equal support; supersets are met on support and on one item, one size up."""
     grown = itemsets.select("support", F.col("size").alias("bigger"), F.col("items").alias("superset"), F.explode("items").alias("anchor"))
@@ -30,9 +49,12 @@ def closed(itemsets: DataFrame) -> DataFrame:
 
 
 def chi2_list(baskets: DataFrame, min_support: float, k: int = 50, kept: int = CLOSED_KEPT) -> DataFrame:
-    """(rank, itemset, support, chi2): the k non-singletons of highest chi-square among the closed sets of highest support."""
+    """(rank, itemset, support, chi2): the k non-singletons of highest chi-square among the closed ones of the `kept` sets of highest support.
+
+    Whether a set is closed is decided among those kept; of sets cut off at the last support, ties by key stay.
+    """
     m = baskets.count()
-    best = closed(frequent(baskets, min_support)).orderBy(F.desc("support"), "key").limit(kept)
+    best = closed(commonest(baskets, min_support, kept))
     scored = rank.chi2(best.where("size > 1"), item_support(baskets), m)
     order = [F.desc(F.round("chi2", 6)), F.asc("key")]
     top = scored.orderBy(*order).limit(k)

@@ -67,7 +67,7 @@ class Subsets:
 
 
 class InterestingItemsets:
-    """interesting_itemsets(TABLE(baskets), k): the k best non-singletons of baskets (items) that one task can hold, by a plain miner.
+    """interesting_itemsets(TABLE(baskets) WITH SINGLE PARTITION, k): the k best non-singletons of baskets (items) that one task can hold, by a plain miner.
 
     Pairs that raise the profit of the singletons' model, best support first, each accepted pair
     taking its baskets from its items; for small inputs, without supersets of pairs.

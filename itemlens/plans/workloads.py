@@ -21,6 +21,8 @@ METHODS = ("cover", "maxent", "code_pairs", "code_candidates", "closed_chi2")
 #: Options of sources that stand for the published data sets.
 STAND_INS: dict[str, dict] = {"doc_words_en": {}, "page_words": {"max_vocab": 194}, "order_geo": {}, "order_parts": {}, "conv_words": {}}
 MIN_SUPPORT = 0.0575
+#: Frequent sets, those of highest support, whose closed ones are ranked by chi-square or offered to a code table.
+CANDIDATES = 10_000
 #: Sources whose items are independent, or all in every basket; the last two only from sf0.01 up.
 NULLS = ("order_regions", "order_brands", "order_tokens", "part_suppnations", "part_custnations", "cust_brands", "line_attrs", "userday_events", "vec_dims", "page_tags", "part_attrs", "user_props")
 
@@ -39,13 +41,13 @@ def listed(spark: SparkSession, baskets: DataFrame, method: str, k: int = 50, ma
         top = rank.top_k(miner.mine(baskets, max_iter, queue_size).to_df(spark), k)
         return top.select("rank", "itemset", F.split("itemset", r"\|").alias("items"))
     if method == "closed_chi2":
-        return frequent.chi2_list(baskets, min_support, k).select("rank", "itemset", "items")
+        return frequent.chi2_list(baskets, min_support, k, CANDIDATES).select("rank", "itemset", "items")
     if method == "maxent":
         sets = maxent.mine(baskets, min(k, max_iter), min_support)[1]
     elif method == "code_pairs":
         sets = codetable.ranked(codetable.mine_pairs(baskets, max_iter), k)
     elif method == "code_candidates":
-        sets = codetable.ranked(codetable.mine(baskets, frequent.closed(frequent.frequent(baskets, min_support))), k)
+        sets = codetable.ranked(codetable.mine(baskets, frequent.closed(frequent.commonest(baskets, min_support, CANDIDATES))), k)
     else:
         raise ValueError(method)
     rows = [(n, key, items) for n, (key, items) in enumerate(_keys(sets), 1)]
@@ -102,7 +104,7 @@ def scaling(spark: SparkSession, sizes: tuple[int, ...] = (10_000, 20_000, 40_00
     return data.crossJoin(data.agg(F.regr_slope("secs_per_iter", "m").alias("slope"), F.regr_r2("secs_per_iter", "m").alias("r2")))
 
 
-def redundancy(spark: SparkSession, sf_dir: str, sources: tuple[str, ...] = ("order_geo",), k: int = 50, methods: tuple[str, ...] = METHODS, max_iter: int = 20) -> DataFrame:
+def redundancy(spark: SparkSession, sf_dir: str, sources: tuple[str, ...] = ("order_geo",), k: int = 50, methods: tuple[str, ...] = METHODS, max_iter: int = 6) -> DataFrame:
     """(source, method, iid, n_listed, short)"""
     out = None
     for name in sources:
@@ -114,7 +116,7 @@ def redundancy(spark: SparkSession, sf_dir: str, sources: tuple[str, ...] = ("or
     return out
 
 
-def top_lists(spark: SparkSession, sf_dir: str, name: str = "doc_words_en", k: int = 10, methods: tuple[str, ...] = ("cover", "maxent", "code_pairs"), max_iter: int = 12) -> DataFrame:
+def top_lists(spark: SparkSession, sf_dir: str, name: str = "doc_words_en", k: int = 10, methods: tuple[str, ...] = ("cover", "maxent", "code_pairs"), max_iter: int = 6) -> DataFrame:
     """(rank, one column for each method)"""
     from .report import side_by_side
 

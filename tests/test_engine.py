@@ -404,7 +404,7 @@ def test_native_plans_stay_in_the_jvm(spark, small):
 
 def test_sql_functions(spark):
     names = fx.register(spark)
-    assert len(names) == 5
+    assert len(names) == 9
     assert spark.sql("SELECT sym_diff_size(array('a','b'), array('b','c')) AS d, itemset_contains(array('a','b'), array('a')) AS c, binary_entropy(0) AS h").first() == (2, True, 0.0)
     assert spark.range(1).select(F.size(fx.proper_subsets(F.array(*map(F.lit, "abc"))))).first()[0] == 6
 
@@ -542,7 +542,7 @@ def test_table_function_mines_pairs(spark):
 
     fx.register(spark)
     spark.createDataFrame([(["a", "b"],)] * 5 + [(["c"],)] * 3, "items array<string>").createOrReplaceTempView("_few")
-    got = spark.sql("SELECT * FROM interesting_itemsets(TABLE(SELECT items FROM _few), 5)").collect()
+    got = spark.sql("SELECT * FROM interesting_itemsets(TABLE(SELECT items FROM _few) WITH SINGLE PARTITION, 5)").collect()
     assert [(r["rank"], r["itemset"], r["support"]) for r in got] == [(1, "a|b", 5)]
 
 
@@ -555,3 +555,11 @@ def test_late_rows_are_counted(spark, tmp_path):
     like = spark.read.parquet(str(tmp_path / "in"))
     query = streams.to_memory(streams.form_baskets(streams.source(spark, str(tmp_path / "in"), like)), "late_rows_told")
     assert streams.dropped_late(query) == 1
+
+
+def test_commonest_sets_are_the_first_of_all(spark):
+    r = random.Random(3)
+    baskets = spark.createDataFrame([(n, sorted({i for i in "abcdefghij" if r.random() < 0.7})) for n in range(200)], "tid long, items array<string>").where(F.size("items") > 0)
+    every = sorted(((-x["support"], x["key"]) for x in frequent.frequent(baskets, 0.05).collect()))
+    for most in (30, 200, 10**6):
+        assert sorted((-x["support"], x["key"]) for x in frequent.commonest(baskets, 0.05, most).collect()) == every[:most]
