@@ -90,9 +90,8 @@ def build_queue(
     limit = q if cap == "first" else len(catalog) ** 2
     heap: list[tuple[int, str]] = []
     out: dict[str, Candidate] = {}
-    # Unions that are known to have no support can never be taken, so later queues look beyond them.
-    whole = "" in cache
-    unions = pair_unions(catalog, rejected, limit, pair_order, lambda key: cache.get(key, 0 if whole and key.count("|") == 1 else 1) == 0)
+    # Unions that an earlier queue found to have no support can never be taken, so this one looks beyond them.
+    unions = pair_unions(catalog, rejected, limit, pair_order, lambda key: ("barren", key) in cache)
     while True:
         part = [u for _, u in zip(range(block), unions, strict=False)]
         if not part:
@@ -102,6 +101,8 @@ def build_queue(
         cache.update({"|".join(u): got.get("|".join(u), 0) for u in new})
         for u in part:
             c = Candidate("|".join(u), u, cache.get("|".join(u), 0))
+            if not c.support:
+                cache["barren", c.key] = 0
             if c.support >= max(1, min_support):
                 out[c.key] = c
                 if cap != "first":
