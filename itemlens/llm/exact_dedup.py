@@ -1,6 +1,6 @@
 """Exact duplicates by deterministic block naming.
 
-A text is cut into blocks of a fixed number of characters.  Distinct blocks are sorted, by a digest
+A text is cut into blocks of a fixed number of bytes.  Distinct blocks are sorted, by a digest
 of 64 bits and then by content, and named by their rank; then the names of adjacent blocks are
 paired, distinct pairs sorted and named in turn, until every text is one name.  Names stand for
 contents, never for hashes of them: blocks of one digest with different contents are told apart, so
@@ -9,12 +9,14 @@ two texts get one name only if they are equal.  Names do not depend on how rows
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import common
 
-BLOCK_CHARS = 8192
+BLOCK_BYTES = 8192
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -23,25 +25,32 @@ def normalised(text: Column) -> Column:
     return F.translate(F.coalesce(text, F.lit("")), UPPER, LOWER)
 
 
-def _blocks(block_chars: int) -> Column:
-    """The blocks of a normalised column `text` as an array; an empty text has one empty block."""
-    count = F.greatest(F.lit(1), F.ceil(F.length("text") / block_chars)).cast("int")
-    many = F.transform(F.sequence(F.lit(0), count - 1), lambda i: F.substring(F.col("text"), i * block_chars + 1, F.lit(block_chars)))
-    return F.when(count == 1, F.array("text")).otherwise(many)
+def _blocks(text: Column, block_bytes: int) -> Column:
+    """The blocks of a binary text as an array; an empty text has one empty block.
+
+    Bytes are cut, not characters: a block is then found without walking over those before it.
+    """
+    last = F.greatest(F.lit(1), F.ceil(F.octet_length(text) / block_bytes)).cast("int") - 1
+    return F.transform(F.sequence(F.lit(0), last), lambda i: F.substring(text, i * block_bytes + 1, F.lit(block_bytes)))
+
+
+def _once(made: Callable[[Column], Column]) -> Column:
+    """made(normalised text in UTF-8), a struct, as columns: a variable holds the text, so that it is normalised once for all blocks."""
+    return F.inline(F.transform(F.array(normalised(F.col("text")).cast("binary")), made))
 
 
 def digest(block: Column) -> Column:
     return F.xxhash64(block)
 
 
-def block_rows(docs: DataFrame, key: str, block_chars: int) -> DataFrame:
+def block_rows(docs: DataFrame, key: str, block_bytes: int) -> DataFrame:
     """(key, pos, left, block, digest): the `left` blocks of each normalised text."""
-    cut = docs.select(key, normalised(F.col("text")).alias("text")).select(key, _blocks(block_chars).alias("blocks"))
+    cut = docs.select(key, _once(lambda text: F.struct(_blocks(text, block_bytes).alias("blocks"))))
     rows = cut.select(key, F.size("blocks").alias("left"), F.posexplode("blocks").alias("pos", "block"))
     return rows.select(key, "pos", "left", "block", digest(F.col("block")).alias("digest"))
 
 
-def block_names(docs: DataFrame, key: str, block_chars: int = BLOCK_CHARS, digests: DataFrame | None = None) -> DataFrame:
+def block_names(docs: DataFrame, key: str, block_bytes: int = BLOCK_BYTES, digests: DataFrame | None = None) -> DataFrame:
     """(key, level, name) for each row of docs (key unique, text): the text's identity.
 
     Contents move through one shuffle, folded on the map side; a digest brings each name back to its
@@ -49,13 +58,12 @@ def block_names(docs: DataFrame, key: str, block_chars: int = BLOCK_CHARS, diges
     digests: (key, digests) of all rows, if known.
     """
     if digests is None:
-        cut = docs.select(key, normalised(F.col("text")).alias("text"))
-        digests = cut.select(key, F.transform(_blocks(block_chars), digest).alias("digests"))
-    contents = common.checkpointed(block_rows(docs, key, block_chars).groupBy("digest", "block").agg(F.count("*").alias("uses")).select("digest", "uses"))
+        digests = docs.select(key, _once(lambda text: F.struct(F.transform(_blocks(text, block_bytes), digest).alias("digests"))))
+    contents = common.checkpointed(block_rows(docs, key, block_bytes).groupBy("digest", "block").agg(F.count("*").alias("uses")).select("digest", "uses"))
     by_digest = contents.groupBy("digest").agg(F.count("*").alias("contents"), F.sum("uses").alias("uses"))
     clash = common.checkpointed(by_digest.where("contents > 1").select("digest"))
-    sure = by_digest.where("contents = 1").select("digest", F.lit(None).cast("string").alias("block"), "uses")
-    unsure = block_rows(docs, key, block_chars).join(clash, "digest", "left_semi") if not clash.isEmpty() else None
+    sure = by_digest.where("contents = 1").select("digest", F.lit(None).cast("binary").alias("block"), "uses")
+    unsure = block_rows(docs, key, block_bytes).join(clash, "digest", "left_semi") if not clash.isEmpty() else None
     if unsure is not None:
         sure = sure.unionByName(unsure.groupBy("digest", "block").agg(F.count("*").alias("uses")))
     names = common.ranked(sure, "digest", "block")
@@ -88,7 +96,7 @@ def block_names(docs: DataFrame, key: str, block_chars: int = BLOCK_CHARS, diges
     return out
 
 
-def exact_duplicates(docs: DataFrame, block_chars: int = BLOCK_CHARS) -> DataFrame:
+def exact_duplicates(docs: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """One row per row of docs: doc_id, keep_id, group_size, kept, text_sha256.
 
     Texts are equal when identical after lower-casing A-Z; null counts as empty.  keep_id is the
@@ -101,9 +109,10 @@ def exact_duplicates(docs: DataFrame, block_chars: int = BLOCK_CHARS) -> DataFra
         # Repeated ids: number the rows within their text's copies of the id.
         docs = common.checkpointed(docs.withColumn("row", F.monotonically_increasing_id()))
     # One scan for the digests of blocks and of the whole text.
-    cut = docs.select("row", "doc_id", normalised(F.col("text")).alias("text"))
-    marked = common.checkpointed(cut.select("row", "doc_id", F.sha2("text", 256).alias("text_sha256"), F.transform(_blocks(block_chars), digest).alias("digests")))
-    names = block_names(docs, "row", block_chars, marked.select("row", "digests"))
+    marked = common.checkpointed(docs.select(
+        "row", "doc_id", _once(lambda text: F.struct(F.sha2(text, 256).alias("text_sha256"), F.transform(_blocks(text, block_bytes), digest).alias("digests")))
+    ))
+    names = block_names(docs, "row", block_bytes, marked.select("row", "digests"))
     identity = common.checkpointed(marked.join(names, "row").select("doc_id", F.struct("level", "name").alias("identity"), "text_sha256"))
     common.discard(marked)
     groups = common.checkpointed(identity.groupBy("identity").agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"), F.count("*").alias("uses")))
