@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import itertools
 import math
+from bisect import bisect_left
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
@@ -141,14 +142,6 @@ def deltas(compressed: DataFrame, table: Table, batch: list[tuple[str, tuple[str
         for n, (_, items) in enumerate(new):
             new_by_item.setdefault(min(items), []).append(n)
 
-        def covered(basket, usable):
-            left, out = set(basket), []
-            for (_, _, key), items in usable:
-                if items <= left:
-                    out.append(key)
-                    left -= items
-            return out + list(left)
-
         sums: dict[tuple[int, str], int] = {}
         for b in batches:
             for items, mult in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
@@ -156,11 +149,26 @@ def deltas(compressed: DataFrame, table: Table, batch: list[tuple[str, tuple[str
                 mine = [n for i in basket for n in new_by_item.get(i, ()) if new[n][1] <= basket]
                 if not mine:
                     continue
-                usable = [sets[n] for i in basket for n in by_item.get(i, ()) if sets[n][1] <= basket]
-                before = covered(basket, sorted(usable, key=lambda s: s[0]))
+                usable = sorted((sets[n] for i in basket for n in by_item.get(i, ()) if sets[n][1] <= basket), key=lambda s: s[0])
+                # What is left before each set's turn: a candidate changes nothing before its own.
+                turns, lefts, taken = [s[0] for s in usable], [basket], []
+                for n, (spot, content) in enumerate(usable):
+                    fits = content <= lefts[-1]
+                    lefts.append(lefts[-1] - content if fits else lefts[-1])
+                    if fits:
+                        taken.append((n, spot[2]))
                 for n in mine:
-                    after = covered(basket, sorted([*usable, new[n]], key=lambda s: s[0]))
-                    for keys, sign in ((after, mult), (before, -mult)):
+                    spot, content = new[n]
+                    turn = bisect_left(turns, spot)
+                    if not content <= lefts[turn]:
+                        continue
+                    left, after = lefts[turn] - content, {spot[2]}
+                    for later, other in usable[turn:]:
+                        if other <= left:
+                            after.add(later[2])
+                            left -= other
+                    before = {key for at, key in taken if at >= turn}
+                    for keys, sign in ((after - before, mult), (before - after, -mult), (left - lefts[-1], mult), (lefts[-1] - left, -mult)):
                         for k in keys:
                             sums[n, k] = sums.get((n, k), 0) + sign
         rows = [(n, k, d) for (n, k), d in sums.items() if d]
