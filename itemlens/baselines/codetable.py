@@ -44,15 +44,15 @@ def cover_order(table: Table) -> list[str]:
     return sorted(table, key=lambda k: (-len(table[k][0]), -table[k][1], k))
 
 
-def cover(baskets: DataFrame, table: Table) -> DataFrame:
-    """baskets with `cover`: sets in table order, each taken if all its items are still uncovered."""
+def cover(baskets: DataFrame, table: Table, shown: frozenset[str] | None = None) -> DataFrame:
+    """baskets with `cover`: sets in table order, each taken if all its items are still uncovered; only those `shown` are written, if given."""
     spark = baskets.sparkSession
-    shared = spark.sparkContext.broadcast([(k, frozenset(table[k][0])) for k in cover_order(table) if len(table[k][0]) > 1])
+    shared = spark.sparkContext.broadcast(([(k, frozenset(table[k][0])) for k in cover_order(table) if len(table[k][0]) > 1], shown))
     names = [f.name for f in baskets.schema]
     at = names.index("items")
 
     def run(batches):
-        sets = shared.value
+        sets, only = shared.value
         by_item: dict[str, list[int]] = {}
         for n, (_, items) in enumerate(sets):
             by_item.setdefault(min(items), []).append(n)
@@ -64,7 +64,8 @@ def cover(baskets: DataFrame, table: Table) -> DataFrame:
                     if sets[n][1] <= left:
                         used.append(sets[n][0])
                         left -= sets[n][1]
-                out.append(used + sorted(left))
+                whole = used + sorted(left)
+                out.append(whole if only is None else [k for k in whole if k in only])
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.list_(pa.string()))], [*names, "cover"])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in baskets.schema)
@@ -88,6 +89,8 @@ def native_cover(baskets: DataFrame, table: Table) -> DataFrame:
 
 #: Pairs of table sets that the pair search fetches at once, those of highest estimated gain first.
 PAIRS_BLOCK = 20_000
+#: The pair search looks at the pairs of so many sets of highest usage first, then at those of this many times as many, until all sets.
+FIRST_SETS, MORE_SETS = 512, 8
 #: Candidates that are scored in one pass: as many to begin with, then twice as many each time, up to the second number.
 FIRST_BATCH, LARGEST_BATCH = 32, 1024
 
@@ -97,11 +100,12 @@ def usages(compressed: DataFrame, table: Table) -> dict[str, int]:
     return {r["k"]: r["n"] for r in covered.groupBy("k").agg(F.sum("mult").alias("n")).toLocalIterator()}
 
 
-def pair_gains(compressed: DataFrame, table: Table, used: dict[str, int]) -> DataFrame:
-    """(a, b, n, gain) of all pairs of table sets that are used together and whose estimated gain is positive."""
+def pair_gains(compressed: DataFrame, table: Table, used: dict[str, int], least: int = 0) -> DataFrame:
+    """(a, b, n, gain) of all pairs of table sets with a usage of `least` or more that are used together and whose estimated gain is positive."""
     spark, total = compressed.sparkSession, float(sum(used.values()))
+    shown = frozenset(k for k, u in used.items() if u >= least) if least else None
     uses = spark.createDataFrame([(k, float(u)) for k, u in used.items()], "k string, u double")
-    covers = cover(compressed, table).select(F.array_sort("cover").alias("c"), "mult")
+    covers = cover(compressed, table, shown).select(F.array_sort("cover").alias("c"), "mult")
     flat = covers.select("c", "mult", F.posexplode("c").alias("i", "a")).select("mult", "a", F.explode(F.slice("c", F.col("i") + 2, F.size("c"))).alias("b"))
     met = flat.groupBy("a", "b").agg(F.sum("mult").alias("n"))
     met = met.join(uses.select(F.col("k").alias("a"), F.col("u").alias("x")), "a").join(uses.select(F.col("k").alias("b"), F.col("u").alias("y")), "b")
@@ -126,6 +130,33 @@ def descending(gains: DataFrame, block: int | None = None) -> Iterator:
         last = rows[-1]
 
 
+def falling_pairs(compressed: DataFrame, table: Table, used: dict[str, int]) -> Iterator:
+    """All pairs of positive estimated gain, falling, as `descending` gives them, without counting the pairs of seldom used sets before they are due.
+
+    The gain of a pair grows with the common usage once it is positive, so a set of usage u is in no
+    pair of more than T log T - (T - u) log(T - u) - u log u bits, T being the total.  Pairs above that
+    bound are complete as soon as the sets used more often have been counted.
+    """
+    total, falling = sum(used.values()), sorted(used.values(), reverse=True)
+    part = lambda n: n * math.log2(n) if n > 0 else 0.0
+    size, above = FIRST_SETS, None
+    while True:
+        rest = falling[size] if size < len(falling) else 0
+        # A little more than the bound, for sums are rounded.
+        cut = (part(total) - part(total - rest) - part(rest)) * (1 + 1e-9) + 1e-6 if 0 < rest < total / 2 else 0.0
+        if cut or size >= len(falling):
+            gains = pair_gains(compressed, table, used, rest + 1 if cut else 0).where(F.col("gain") > cut)
+            gains = (gains if above is None else gains.where(F.col("gain") <= above)).persist()
+            try:
+                yield from descending(gains)
+            finally:
+                gains.unpersist()
+            above = cut
+        if size >= len(falling):
+            return
+        size *= MORE_SETS
+
+
 def deltas(compressed: DataFrame, table: Table, batch: list[tuple[str, tuple[str, ...], int]]) -> list[dict[str, int]]:
     """For each candidate (key, items, support), how the usage of each set changes if it joins the table; one pass for all."""
     spark = compressed.sparkSession
@@ -288,8 +319,7 @@ def mine_pairs(baskets: DataFrame, max_iter: int = 100) -> CodeTable:
     compressed, m, table, used, single, bits = _start(baskets)
     try:
         for _ in range(max_iter):
-            gains = pair_gains(compressed, table, used).persist()
-            pairs, seen, size, found = descending(gains), set(table), FIRST_BATCH, None
+            pairs, seen, size, found = falling_pairs(compressed, table, used), set(table), FIRST_BATCH, None
             while found is None:
                 batch: list[tuple[str, tuple[str, ...], int]] = []
                 for r in pairs:
@@ -303,7 +333,7 @@ def mine_pairs(baskets: DataFrame, max_iter: int = 100) -> CodeTable:
                     break
                 found = first_shorter(compressed, table, used, single, bits, batch)
                 size = min(LARGEST_BATCH, 2 * size)
-            gains.unpersist()
+            pairs.close()
             if found is None:
                 break
             _, table, used, bits = found

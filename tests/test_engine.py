@@ -268,6 +268,23 @@ def test_code_table_ranks_all_pairs_of_positive_gain(spark):
     compressed.unpersist()
 
 
+def test_pairs_fall_alike_by_levels_of_usage(spark, monkeypatch):
+    """Counting seldom used sets last gives the same pairs in the same order, whole, at any size of the first level."""
+    import random
+
+    rng = random.Random(5)
+    rows = [sorted({f"w{int(rng.paretovariate(0.7)) % 60:02d}" for _ in range(rng.randint(1, 9))}) for _ in range(300)]
+    compressed, m, table, used, single, bits = codetable._start(spark.createDataFrame(list(enumerate(rows)), "tid long, items array<string>"))
+    table["w01|w02"] = (("w01", "w02"), 1)
+    used = codetable.usages(compressed, table)
+    want = [(r["a"], r["b"], r["n"], r["gain"]) for r in codetable.descending(codetable.pair_gains(compressed, table, used))]
+    assert len(want) > 200
+    for first, more in ((2, 2), (7, 3), (512, 8)):
+        monkeypatch.setattr(codetable, "FIRST_SETS", first)
+        monkeypatch.setattr(codetable, "MORE_SETS", more)
+        assert [(r["a"], r["b"], r["n"], r["gain"]) for r in codetable.falling_pairs(compressed, table, used)] == want
+
+
 def test_code_table_takes_all_candidates(spark, monkeypatch):
     r = random.Random(9)
     twins = [(f"a{n}", f"b{n}") for n in range(6)]
