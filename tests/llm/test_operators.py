@@ -796,3 +796,55 @@ def test_training_bounds_are_in_the_readme():
 
     told = (Path(__file__).resolve().parents[2] / "README.md").read_text()
     assert "language_id.TRAINING_ROWS" in told and "quality.TRAINING_ROWS" in told
+
+
+def _met_in_prefixes(rows):
+    sigs = [set(similarity_join.prefix_signatures(t, w, w > 100, 3, 4).tolist()) for t, w in rows]
+    return len(sigs[0] & sigs[1])
+
+
+@pytest.mark.parametrize("seed", range(6))
+def test_prefix_signatures_meet_often_enough(seed):
+    r = random.Random(seed)
+    universe = list(range(1, 3000))
+    weight = {t: r.choice([1, 2, 3, 500, 900]) for t in universe}
+    tried = 0
+    for _ in range(200):
+        n = r.choice([3, 4, 5, 6, 7, 8, 11, 12, 16, 23, 40, 44, 58, 86, 87, 88, 116, 117, 200, 400])
+        x = set(r.sample(universe, n))
+        y = set(x)
+        for _ in range(r.randint(0, max(1, n // 4))):
+            y.discard(r.choice(sorted(y)))
+            if r.random() < 0.4:
+                y.add(r.choice(universe))
+        if len(y) < 3 or 4 * len(x & y) < 3 * len(x | y):
+            continue
+        tried += 1
+        rows = [(np.array(sorted(s), np.uint64), np.array([weight[v] for v in sorted(s)])) for s in (x, y)]
+        assert _met_in_prefixes(rows) >= similarity_join.SHARED
+    assert tried > 30
+
+
+def test_chance_meetings_tie_no_families(spark):
+    # A ring of 400 unlike texts: each shares one shingle with the next, so a single common signature joins all of them.
+    texts = [" ".join([f"s{i}_{j}" for j in range(5)] + [f"w{i}_{j}" for j in range(14)] + [f"s{(i + 1) % 400}_{j}" for j in range(5)]) for i in range(400)]
+    texts += [f"{texts[i]} more" for i in range(20)]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    found = {r["id"]: r["component"] for r in similarity_join.candidates(rows, 400 * 20, 3, 4).collect()}
+    assert all(found[400 + i] == found[i] for i in range(20)) and len(found) == 40 and len(set(found.values())) == 20
+
+
+def test_candidates_in_large_and_split_groups(spark, monkeypatch):
+    monkeypatch.setattr(similarity_join, "WHOLE_GROUP", 3)
+    sets = [(k, i, 40 + i % 3) for k in range(30) for i in range(k % 8 + 1)]
+    rows = [(s, 100 * k + i, n, None) for k, i, n in sets for s in (3 * k, 3 * k + 1, 3 * k + 2)]
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "5")
+    try:
+        got = similarity_join.chains(spark.createDataFrame(rows, "sig long, id long, n int, other long"), 3, 4).collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    parent = {100 * k + i: 100 * k + i for k, i, _ in sets}
+    for a, b in got:
+        low, high = sorted((parent[a], parent[b]))
+        parent = {x: low if y == high else y for x, y in parent.items()}
+    assert all(y == x // 100 * 100 for x, y in parent.items()) and len({(a, b) for a, b in got}) == len(got)
