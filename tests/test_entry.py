@@ -41,3 +41,8 @@ def test_query_equals_sql(spark, small, con, name):
     a = sorted((tuple(_plain(r[c]) for c in columns) for r in got.collect()), key=key)
     b = sorted((tuple(_plain(r[want.columns.index(c)]) for c in columns) for r in want.fetchall()), key=key)
     assert a == b
+
+
+@pytest.mark.parametrize("name", ["generate_md5", "precision_recall", "eleven_point"])
+def test_query_reads_given_tables(spark, small, name):
+    assert any(f.startswith(f"file://{small}") or f.startswith(f"file:{small}") for f in driver.queries()[name](spark, small).inputFiles())
