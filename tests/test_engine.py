@@ -580,3 +580,28 @@ def test_commonest_sets_are_the_first_of_all(spark):
     every = sorted(((-x["support"], x["key"]) for x in frequent.frequent(baskets, 0.05).collect()))
     for most in (30, 200, 10**6):
         assert sorted((-x["support"], x["key"]) for x in frequent.commonest(baskets, 0.05, most).collect()) == every[:most]
+
+
+def _shuffled(spark):
+    listed = spark.sparkContext._jsc.sc().statusStore().executorList(True)
+    return sum(listed.apply(i).totalShuffleWrite() for i in range(listed.size()))
+
+
+def test_counting_sets_shuffles_no_baskets(spark):
+    r = random.Random(5)
+    rows = [(sorted(f"w{i}" for i in r.sample(range(400), 150)), r.randint(1, 3)) for _ in range(200)]
+    compressed = spark.createDataFrame(rows, "items array<string>, mult long").persist()
+    supports = {f"w{i}": sum(m for items, m in rows if f"w{i}" in items) for i in range(400)}
+    unions = sorted({tuple(sorted(f"w{i}" for i in r.sample(range(401), r.choice((1, 2, 3))))) for _ in range(2000)})
+    compressed.count()
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        before = _shuffled(spark)
+        got = candidates.counted(compressed, unions, supports)
+        after = _shuffled(spark)
+        sets = spark.createDataFrame([("|".join(u), list(u), u[0]) for u in unions], "key string, items array<string>, anchor string")
+        assert got == {x["key"]: x["support"] for x in cat.count_support(compressed, sets, "mult").collect()}
+        assert _shuffled(spark) - after > 5 * (after - before)
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+        compressed.unpersist()
