@@ -605,3 +605,20 @@ def test_counting_sets_shuffles_no_baskets(spark):
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
         compressed.unpersist()
+
+
+def test_first_step_by_hash_shuffles_no_pairs_by_name(spark, monkeypatch):
+    r = random.Random(8)
+    rows = [[f"{r.randrange(30):03d}" for _ in range(r.randint(0, 8))] + [f"{'x' * 200}{n}_{i}" for i in range(r.randint(0, 40))] for n in range(120)]
+    rows = [sorted(set(x)) for x in rows]
+    compressed = encode.compress(db(spark, rows + rows[:20])).persist()
+    compressed.count()
+    written, found = [], []
+    for named in (10**6, 0):
+        monkeypatch.setattr(structural, "NAMED_ITEMS", named)
+        before = _shuffled(spark)
+        found.append(sorted((x["a"], x["b"], x["support"], round(x["gain"], 9)) for x in structural.first_step_gains(compressed, 140).collect()))
+        written.append(_shuffled(spark) - before)
+    compressed.unpersist()
+    assert found[0] == found[1] and len(found[0]) > 10_000
+    assert written[1] < written[0] / 3
