@@ -622,3 +622,40 @@ def test_first_step_by_hash_shuffles_no_pairs_by_name(spark, monkeypatch):
     compressed.unpersist()
     assert found[0] == found[1] and len(found[0]) > 10_000
     assert written[1] < written[0] / 3
+
+
+def test_code_table_decides_many_candidates_a_pass(spark, monkeypatch):
+    import itertools
+    import random
+
+    rng = random.Random(3)
+    kinds = [[f"w{i:02}" for i in range(g, g + 4)] for g in range(0, 80, 4)]
+    lists = [sorted({x for k in rng.sample(kinds, 4) for x in k if rng.random() < 0.8}) for _ in range(300)]
+    rows = spark.createDataFrame(list(enumerate(lists)), "tid long, items array<string>")
+    met = {c: sum(set(c) <= set(x) for x in lists) for k in kinds for n in (2, 3) for c in itertools.combinations(k, n)}
+    order = sorted(((c, n) for c, n in met.items() if n), key=lambda c: (-c[1], -len(c[0]), "|".join(c[0])))[:60]
+    # One at a time, by plain covers.
+    table = {i: ((i,), sum(i in x for x in lists)) for i in {i for x in lists for i in x}}
+
+    def used(table):
+        sets, out = [(k, set(table[k][0])) for k in codetable.cover_order(table)], {}
+        for x in lists:
+            left = set(x)
+            for k, s in sets:
+                if s <= left:
+                    out[k], left = out.get(k, 0) + 1, left - s
+        return out
+
+    single = used(table)
+    bits = codetable.total_bits(table, single, single)
+    for c, n in order:
+        tried = {**table, "|".join(c): (c, n)}
+        if (b := codetable.total_bits(tried, used(tried), single)) < bits - 1e-9:
+            table, bits = tried, b
+    passes, real = [], codetable.deltas
+    monkeypatch.setattr(codetable, "deltas", lambda *a, **k: passes.append(1) or real(*a, **k))
+    monkeypatch.setattr(codetable, "PACKED_ROWS", 50)
+    got = codetable.mine(rows, order)
+    accepted = len(table) - len(single)
+    assert accepted > 20 and set(got.table) == set(table) and got.bits == pytest.approx(bits) and got.usage == used(table)
+    assert len(passes) < accepted
