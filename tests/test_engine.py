@@ -625,9 +625,6 @@ def test_first_step_by_hash_shuffles_no_pairs_by_name(spark, monkeypatch):
 
 
 def test_code_table_decides_many_candidates_a_pass(spark, monkeypatch):
-    import itertools
-    import random
-
     rng = random.Random(3)
     kinds = [[f"w{i:02}" for i in range(g, g + 4)] for g in range(0, 80, 4)]
     lists = [sorted({x for k in rng.sample(kinds, 4) for x in k if rng.random() < 0.8}) for _ in range(300)]
@@ -659,3 +656,52 @@ def test_code_table_decides_many_candidates_a_pass(spark, monkeypatch):
     accepted = len(table) - len(single)
     assert accepted > 20 and set(got.table) == set(table) and got.bits == pytest.approx(bits) and got.usage == used(table)
     assert len(passes) < accepted
+
+
+def test_rounds_of_em_read_the_baskets_once(spark, monkeypatch):
+    r = random.Random(5)
+    rows = [(n, sorted({*r.sample("abcdefgh", r.randint(1, 4)), *(("p", "q") if r.random() < 0.4 else ()), *(("q", "x", "y") if r.random() < 0.3 else ())})) for n in range(300)]
+    compressed, m, supports = miner.prepared(spark.createDataFrame(rows, "tid long, items array<string>"))
+    start = cat.from_support(sorted(supports.items()), m)
+    start |= {s.key: s for s in (Itemset.of(("p", "q"), 0.3, 0, 120), Itemset.of(("q", "x", "y"), 0.2, 0, 80), Itemset.of(("a", "b"), 0.1, 0, 30))}
+    slow = em.hard_em(compressed, start, m, 0.0, 4, kernel="lazy_heap")
+    for most in (20_000, 0):
+        monkeypatch.setattr(em, "FRAGMENTS", most)
+        fast = em.hard_em(compressed, start, m, 0.0, 4, kernel="lazy_heap", supports=supports)
+        assert fast.catalog == slow.catalog and fast.profit == pytest.approx(slow.profit)
+    # Where a set is missing, baskets that cannot be covered use nothing, as before.
+    short = {k: s for k, s in start.items() if k not in ("x", "c")}
+    assert em.hard_em(compressed, short, m, 0.0, 2, kernel="lazy_heap", supports=supports).catalog == em.hard_em(compressed, short, m, 0.0, 2, kernel="lazy_heap").catalog
+    # The gains of candidates against covers of whole baskets.
+    queue = candidates.build_queue(compressed, slow.catalog, set(), supports)
+    got = structural.deltas(compressed, slow.catalog, queue)
+    index = cover.Index([*slow.catalog.values(), *(Itemset.of(c.items, 1.0, 0, c.support) for c in queue)])
+    want = {c.key: {} for c in queue}
+    for _, items in rows:
+        basket = frozenset(items)
+        known = [k for k in index.applicable(basket) if k in slow.catalog]
+        for c in queue:
+            if basket.issuperset(c.items):
+                for used, sign in ((index.lazy(basket, [*known, c.key], c.key), 1), (index.lazy(basket, known), -1)):
+                    for k in used:
+                        want[c.key][k] = want[c.key].get(k, 0) + sign
+    assert got == {k: {s: n for s, n in x.items() if n} for k, x in want.items()}
+    monkeypatch.setattr(em, "FRAGMENTS", 20_000)
+    passes, real = [], em.e_step
+    monkeypatch.setattr(em, "e_step", lambda *a, **k: passes.append(1) or real(*a, **k))
+    miner.mine(compressed.select("items"), max_iter=3)
+    assert not passes
+
+
+def test_counting_many_sets_of_short_baskets(spark):
+    """Both ways to look sets up count alike; the level-wise queue equals plain counts."""
+    r = random.Random(9)
+    lists = [sorted(r.sample("abcdefghijkl", r.randint(0, 7))) for _ in range(200)]
+    compressed, m, supports = miner.prepared(spark.createDataFrame(list(enumerate(lists)), "tid long, items array<string>"))
+    sets = [c for s in (1, 2, 3, 4) for c in itertools.combinations("abcdefghijkl", s)]
+    want = {"|".join(c): n for c in sets if (n := sum(set(c) <= set(x) for x in lists))}
+    assert candidates.counted(compressed, sets, supports) == want
+    few = sets[100:103]
+    assert candidates.counted(compressed, few, supports) == {k: want[k] for c in few if (k := "|".join(c)) in want}
+    queue = candidates.apriori_queue(compressed, supports, 2)
+    assert {c.key: c.support for c in queue} == {k: n for k, n in want.items() if n >= 2 and "|" in k}
