@@ -652,6 +652,8 @@ def test_code_table_decides_many_candidates_a_pass(spark, monkeypatch):
     passes, real = [], codetable.deltas
     monkeypatch.setattr(codetable, "deltas", lambda *a, **k: passes.append(1) or real(*a, **k))
     monkeypatch.setattr(codetable, "PACKED_ROWS", 50)
+    assert codetable.mine(rows, order).usage == used(table) and not passes
+    monkeypatch.setattr(codetable, "FEW_BASKETS", 0)
     got = codetable.mine(rows, order)
     accepted = len(table) - len(single)
     assert accepted > 20 and set(got.table) == set(table) and got.bits == pytest.approx(bits) and got.usage == used(table)
