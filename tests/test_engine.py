@@ -707,3 +707,43 @@ def test_counting_many_sets_of_short_baskets(spark):
     assert candidates.counted(compressed, few, supports) == {k: want[k] for c in few if (k := "|".join(c)) in want}
     queue = candidates.apriori_queue(compressed, supports, 2)
     assert {c.key: c.support for c in queue} == {k: n for k, n in want.items() if n >= 2 and "|" in k}
+
+
+def test_held_baskets_give_the_same_lists(spark, monkeypatch):
+    """Baskets of few items that the driver holds, in one word or two, give what jobs give, and need no job for a pass."""
+    r = random.Random(23)
+    many = [f"i{n}" for n in range(70)]
+    bundles = [r.sample(many, 3) for _ in range(4)]
+    for lists in ([sorted({*r.sample("abcdefghij", r.randint(0, 5)), *r.choice(["ab", "cde", ""])}) for _ in range(300)], [sorted({*r.sample(many, 2), *r.choice(bundles)}) for _ in range(400)]):
+        baskets = spark.createDataFrame(list(enumerate(lists)), "tid long, items array<string>").persist()
+
+        def results():
+            given = miner.ready(baskets)
+            mined = miner.mine(given, 6)
+            common = frequent.commonest(given, 0.01, 60)
+            table, pairs = codetable.mine(given, common), codetable.mine_pairs(given, 4)
+            return (
+                {k: (s.usage, s.support) for k, s in mined.catalog.items()}, [(t["tried"], t["passes"], t["accepted"]) for t in mined.trace], round(mined.profit, 9), sorted(map(tuple, common.select("key", "size", "support").collect())),
+                list(table.table), table.usage, round(table.bits, 6), list(pairs.table), pairs.usage, round(pairs.bits, 6), maxent.mine(given, 4, 0.02)[1], [tuple(x) for x in frequent.chi2_list(given, 0.02, 5, 60).select("rank", "itemset", "support").collect()],
+            )
+
+        got = results()
+        with monkeypatch.context() as m:
+            m.setattr(miner, "held", lambda *a: None)
+            m.setattr(codetable, "held", lambda *a: None)
+            assert got == results()
+        with monkeypatch.context() as m:
+            for module, name in ((structural, "deltas"), (em, "fragments"), (candidates, "counted"), (maxent, "counted"), (codetable, "row_deltas"), (codetable, "pair_gains"), (frequent, "frequent")):
+                m.setattr(module, name, lambda *a, name=name, **k: pytest.fail(name))
+            assert got == results()
+
+
+def prepared_times(monkeypatch):
+    times, real = [], miner.prepared
+    monkeypatch.setattr(miner, "prepared", lambda baskets: times.append(1) or real(baskets))
+    return times
+
+
+def test_mentions_prepare_baskets_once(spark, small, monkeypatch):
+    times = prepared_times(monkeypatch)
+    assert workloads.mentions_over_time(spark, small, k=3, max_iter=2, methods=("cover", "maxent", "code_pairs")).count() and len(times) == 1
