@@ -747,3 +747,8 @@ def prepared_times(monkeypatch):
 def test_mentions_prepare_baskets_once(spark, small, monkeypatch):
     times = prepared_times(monkeypatch)
     assert workloads.mentions_over_time(spark, small, k=3, max_iter=2, methods=("cover", "maxent", "code_pairs")).count() and len(times) == 1
+
+
+def test_rank_compare_prepares_baskets_once(spark, small, monkeypatch):
+    times = prepared_times(monkeypatch)
+    assert workloads.rank_compare(spark, small, methods=("cover", "maxent", "code_pairs"), k=5, max_iter=2).count() and len(times) == 1
