@@ -752,3 +752,8 @@ def test_mentions_prepare_baskets_once(spark, small, monkeypatch):
 def test_rank_compare_prepares_baskets_once(spark, small, monkeypatch):
     times = prepared_times(monkeypatch)
     assert workloads.rank_compare(spark, small, methods=("cover", "maxent", "code_pairs"), k=5, max_iter=2).count() and len(times) == 1
+
+
+def test_self_recovery_prepares_baskets_once(spark, small, monkeypatch):
+    times = prepared_times(monkeypatch)
+    assert workloads.self_recovery(spark, small, n=300, methods=("cover", "maxent"), max_iter=2, k=5).count() == 22 and len(times) == 2
