@@ -757,3 +757,26 @@ def test_rank_compare_prepares_baskets_once(spark, small, monkeypatch):
 def test_self_recovery_prepares_baskets_once(spark, small, monkeypatch):
     times = prepared_times(monkeypatch)
     assert workloads.self_recovery(spark, small, n=300, methods=("cover", "maxent"), max_iter=2, k=5).count() == 22 and len(times) == 2
+
+
+def test_parts_of_wide_baskets_are_held(spark, monkeypatch):
+    """Of more items than the driver holds, those of frequent sets and candidates are few: lists need no job for them."""
+    r = random.Random(31)
+    lists = [sorted({*r.sample("abcdefgh", r.randint(0, 5)), *(f"w{r.randrange(400)}" for _ in range(3))}) for _ in range(300)]
+    baskets = spark.createDataFrame(list(enumerate(lists)), "tid long, items array<string>").persist()
+
+    def results():
+        given = miner.ready(baskets)
+        assert given.near is None
+        common = frequent.commonest(given, 0.05, 80)
+        table = codetable.mine(given, frequent.closed(common))
+        return sorted(map(tuple, common.select("key", "support").collect())), list(table.table), table.usage, round(table.bits, 6), maxent.mine(given, 4, 0.05)[1]
+
+    got = results()
+    with monkeypatch.context() as m:
+        m.setattr(miner, "held", lambda *a: None)
+        m.setattr(codetable, "held", lambda *a: None)
+        assert got == results()
+    for module, name in ((candidates, "counted"), (maxent, "counted"), (codetable, "row_deltas"), (codetable, "deltas"), (frequent, "frequent")):
+        monkeypatch.setattr(module, name, lambda *a, name=name, **k: pytest.fail(name))
+    assert got == results()
