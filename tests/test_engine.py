@@ -504,6 +504,14 @@ def test_workloads_are_registered_whole(spark, small, monkeypatch):
     assert {c["name"] for c, _ in seen["mentions_over_time"]} == {"order_geo", "userday_events"} and {len(c["sources"]) for c, _ in seen["null_accepts"]} == {4, 12}
 
 
+def test_mine_all_takes_all_iterations(spark, small):
+    """Until no candidate improves, which five iterations are too few for."""
+    (row,) = workloads.mine_all(spark, small, ("order_geo",)).collect()
+    found = miner.mine(workloads.stand_in(spark, small, "order_geo"))
+    assert found.converged and (row["iterations"], row["n_nonsingleton"]) == (len(found.trace), sum(len(s.items) > 1 for s in found.catalog.values())) and row["iterations"] > 5
+    assert inspect.signature(workloads.mine_all).parameters["max_iter"].default == inspect.signature(miner.mine).parameters["max_iter"].default == 1000
+
+
 def test_workloads_run(spark, small):
     assert workloads.scaling(spark, (300, 600), 1).count() == 2
     assert {r["kernel"] for r in workloads.cover_ablation(spark, small, max_iter=2).collect()} == {"exact", "greedy", "lazy_heap", "primal_dual"}
