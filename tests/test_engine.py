@@ -512,6 +512,14 @@ def test_mine_all_takes_all_iterations(spark, small):
     assert inspect.signature(workloads.mine_all).parameters["max_iter"].default == inspect.signature(miner.mine).parameters["max_iter"].default == 1000
 
 
+def test_redundancy_lists_all_sets(spark, small):
+    """The list of a method that runs until no candidate improves, not of its first six iterations."""
+    got = {r["method"]: r["n_listed"] for r in workloads.redundancy(spark, small, ("order_geo",), methods=("cover", "maxent", "code_pairs")).collect()}
+    baskets = src.source(spark, small, "order_geo")
+    assert got["cover"] == min(50, sum(len(s.items) > 1 for s in miner.mine(baskets).catalog.values())) and got["maxent"] == len(maxent.mine(baskets, 50)[1])
+    assert got["code_pairs"] == len(codetable.ranked(codetable.mine_pairs(baskets, 1000), 50)) and max(got.values()) > 6
+
+
 def test_workloads_run(spark, small):
     assert workloads.scaling(spark, (300, 600), 1).count() == 2
     assert {r["kernel"] for r in workloads.cover_ablation(spark, small, max_iter=2).collect()} == {"exact", "greedy", "lazy_heap", "primal_dual"}
