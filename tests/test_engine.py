@@ -520,6 +520,16 @@ def test_redundancy_lists_all_sets(spark, small):
     assert got["code_pairs"] == len(codetable.ranked(codetable.mine_pairs(baskets, 1000), 50)) and max(got.values()) > 6
 
 
+def test_top_lists_are_those_of_all_iterations(spark, small):
+    """Lists of the first sets of a whole run: six iterations find six sets, so no list of more."""
+    got = workloads.top_lists(spark, small, "order_geo", 10, ("cover", "maxent", "code_pairs")).orderBy("rank").collect()
+    baskets = src.source(spark, small, "order_geo")
+    for method in ("cover", "maxent", "code_pairs"):
+        whole = {r["rank"]: r["itemset"] for r in workloads.listed(spark, baskets, method, 10, 1000).collect()}
+        assert [r[method] for r in got if r[method]] == [whole[n] for n in sorted(whole)]
+    assert sum(r["code_pairs"] is not None for r in got) == 10
+
+
 def test_workloads_run(spark, small):
     assert workloads.scaling(spark, (300, 600), 1).count() == 2
     assert {r["kernel"] for r in workloads.cover_ablation(spark, small, max_iter=2).collect()} == {"exact", "greedy", "lazy_heap", "primal_dual"}
