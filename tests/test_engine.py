@@ -530,6 +530,27 @@ def test_top_lists_are_those_of_all_iterations(spark, small):
     assert sum(r["code_pairs"] is not None for r in got) == 10
 
 
+def test_lists_draw_on_all_closed_sets(spark, monkeypatch):
+    """No frequent set is left out before closed ones are ranked or offered to a code table, held or not; a list has k sets however many iterations."""
+    r = random.Random(41)
+    lists = [sorted({x for x in "abcdefghijklmn" if r.random() < 0.5} | (set("pq") if r.random() < 0.3 else set())) for _ in range(420)]
+    baskets = spark.createDataFrame(list(enumerate(lists)), "tid long, items array<string>").persist()
+    given = miner.ready(baskets)
+    want = sorted(map(tuple, frequent.closed(frequent.frequent(baskets, 0.0071)).select("key", "support").collect()))
+    assert len(want) > 10_000
+    found = list(frequent.held_closed(given.near, 3))
+    assert [(-n, "|".join(s)) for s, n in found] == sorted((-n, "|".join(s)) for s, n in found) and sorted(("|".join(s), n) for s, n in found) == want
+    offered, real = [], codetable.mine
+    monkeypatch.setattr(codetable, "mine", lambda b, c, **k: offered.append(sorted(map(tuple, c.select("key", "support").collect()))) or real(b, [(("p", "q"), 1)]))
+    for listed_at_most in (200_000, 5):
+        monkeypatch.setattr(frequent, "LISTED", listed_at_most)
+        workloads.listed(spark, miner.ready(baskets), "code_candidates", 50, 1, 0.0071)
+    assert offered == [want, want]
+    ranks = frequent.chi2_list(baskets, 0.0071, 20, 50_000).select("rank", "itemset").collect()
+    assert workloads.listed(spark, given, "closed_chi2", 20, 1, 0.0071).select("rank", "itemset").collect() == ranks
+    assert workloads.listed(spark, given, "maxent", 2, 1, 0.0071).count() == len(maxent.mine(given, 2, 0.0071)[1])
+
+
 def test_workloads_run(spark, small):
     assert workloads.scaling(spark, (300, 600), 1).count() == 2
     assert {r["kernel"] for r in workloads.cover_ablation(spark, small, max_iter=2).collect()} == {"exact", "greedy", "lazy_heap", "primal_dual"}
