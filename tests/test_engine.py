@@ -551,6 +551,33 @@ def test_lists_draw_on_all_closed_sets(spark, monkeypatch):
     assert workloads.listed(spark, given, "maxent", 2, 1, 0.0071).count() == len(maxent.mine(given, 2, 0.0071)[1])
 
 
+def test_pairs_are_counted_anew_where_covers_change(spark, monkeypatch):
+    """The counts that rounds of the pair search keep are those of all covers, and only the first round reads all baskets."""
+    r = random.Random(43)
+    lists = [sorted({*r.sample("abcdefghijkl", r.randint(1, 4)), *(x for g in ("abc", "cde", "fg", "hijk") if r.random() < 0.3 for x in g)}) for _ in range(400)]
+    given = miner.ready(db(spark, lists))
+    whole, real = [], type(given.near).columns
+    monkeypatch.setattr(type(given.near), "columns", lambda self, start: (self is given.near and whole.append(start)) or real(self, start))
+    monkeypatch.setattr(codetable, "COVERS_AT_ONCE", 7)
+    found = codetable.mine_pairs(given, 50)
+    assert sum(len(items) > 1 for items, _ in found.table.values()) > 4 and whole == [0]
+    counts = codetable.HeldPairs(given.near, found.table)
+    order, met = [(k, set(found.table[k][0])) for k in codetable.cover_order(found.table)], {}
+    for basket in lists:
+        left, used = set(basket), []
+        for k, items in order:
+            if items <= left:
+                used.append(k)
+                left -= items
+        for pair in itertools.combinations(sorted(used), 2):
+            met[pair] = met.get(pair, 0) + 1
+    got = {tuple(sorted((counts.keys[x], counts.keys[y]))): int(counts.met[x, y]) for x, y in itertools.combinations(range(len(counts.keys)), 2) if counts.met[x, y]}
+    assert got == met
+    want = {(a, b): gain for (a, b), n in met.items() if (gain := codetable.estimated_gain(found.usage[a], found.usage[b], n, sum(found.usage.values()))) > 1e-6}
+    rows = [r for r in counts.falling(found.usage) if r["gain"] > 1e-6]
+    assert {(r["a"], r["b"]): pytest.approx(r["gain"]) for r in rows} == want and [r["gain"] for r in rows] == sorted((r["gain"] for r in rows), reverse=True)
+
+
 def test_workloads_run(spark, small):
     assert workloads.scaling(spark, (300, 600), 1).count() == 2
     assert {r["kernel"] for r in workloads.cover_ablation(spark, small, max_iter=2).collect()} == {"exact", "greedy", "lazy_heap", "primal_dual"}
