@@ -578,6 +578,23 @@ def test_pairs_are_counted_anew_where_covers_change(spark, monkeypatch):
     assert {(r["a"], r["b"]): pytest.approx(r["gain"]) for r in rows} == want and [r["gain"] for r in rows] == sorted((r["gain"] for r in rows), reverse=True)
 
 
+def test_many_candidates_share_the_covers_of_held_baskets(spark, monkeypatch):
+    """Changes in usage from covers that are known equal those from covering each candidate's baskets, which a large batch does not do again."""
+    r = random.Random(47)
+    lists = [sorted({*r.sample("abcdefghijkl", r.randint(1, 5)), *(x for g in ("abc", "cde", "fg", "hijk") if r.random() < 0.3 for x in g)}) for _ in range(300)]
+    given = miner.ready(db(spark, lists))
+    found = codetable.mine_pairs(given, 8)
+    sets = codetable.held_order(given.near, found.table)
+    covers = codetable.HeldCovers(given.near, sets)
+    batch = [("|".join(c), c, n) for size in (2, 3, 4) for c in itertools.combinations("abcdefghijkl", size) if "|".join(c) not in found.table and (n := given.near.supports([c]).get("|".join(c)))]
+    want = [codetable.held_delta(given.near, sets, c) for c in batch]
+    assert [codetable.held_delta(given.near, sets, c, covers) for c in batch] == want and sum(len(w) > 2 for w in want) > 50
+    shared, real = [], codetable.held_delta
+    monkeypatch.setattr(codetable, "held_delta", lambda near, sets, c, covers=None: shared.append(covers is not None) or real(near, sets, c, covers))
+    codetable.first_shorter(given.near, found.table, found.usage, given.supports, 0.0, batch[:100])
+    assert shared and all(shared)
+
+
 def test_workloads_run(spark, small):
     assert workloads.scaling(spark, (300, 600), 1).count() == 2
     assert {r["kernel"] for r in workloads.cover_ablation(spark, small, max_iter=2).collect()} == {"exact", "greedy", "lazy_heap", "primal_dual"}
